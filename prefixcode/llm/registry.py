@@ -6,18 +6,22 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from prefixcode.llm import ogg, packing, pivotal
+from prefixcode.llm import brown, chat, exthash, hdlang, ogg, packing, pivotal
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
     return {
+        "op1_chat_views": chat.op1,
         "op2_ogg_media": ogg.op2,
+        "op4_hyperdimensional_lang": hdlang.op4,
+        "op5_extendible_hash_dedup": exthash.op5,
+        "op6_brown_class_lm": brown.op6,
         "op9_pivotal_mix": pivotal.op9,
         "op10_config_lp_packing": packing.op10,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op1_chat_views": chat.SQL, "op5_extendible_hash_dedup": exthash.SQL}
