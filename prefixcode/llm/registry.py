@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from prefixcode.llm import brown, chat, exthash, hdlang, ogg, packing, pivotal
+from prefixcode.llm import brown, chat, exthash, hdlang, icws, ogg, packing, pivotal
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -15,6 +15,7 @@ def queries() -> dict[str, Query]:
     return {
         "op1_chat_views": chat.op1,
         "op2_ogg_media": ogg.op2,
+        "op3_icws_near_dedup": icws.op3,
         "op4_hyperdimensional_lang": hdlang.op4,
         "op5_extendible_hash_dedup": exthash.op5,
         "op6_brown_class_lm": brown.op6,
