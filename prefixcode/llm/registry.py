@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from prefixcode.llm import brown, chat, exthash, hdlang, icws, ogg, packing, pivotal, windows
+from prefixcode.llm import brown, chat, exthash, hdlang, icws, kneser, ogg, packing, pivotal, windows
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -19,6 +19,7 @@ def queries() -> dict[str, Query]:
         "op4_hyperdimensional_lang": hdlang.op4,
         "op5_extendible_hash_dedup": exthash.op5,
         "op6_brown_class_lm": brown.op6,
+        "op7_kneser_ney_quality": kneser.op7,
         "op8_compact_window_passages": windows.op8,
         "op9_pivotal_mix": pivotal.op9,
         "op10_config_lp_packing": packing.op10,
