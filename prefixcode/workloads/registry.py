@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from prefixcode.workloads import core, surround
+
 
 def queries() -> dict:
-    return {}
+    return {**core.QUERIES, **surround.QUERIES}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {**core.SQL, **surround.SQL}
