@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 import weakref
@@ -75,6 +76,12 @@ def cut(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Let go of the shuffle files of frames that nothing refers to any more."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def id_text(docs: DataFrame) -> DataFrame:
     """``doc_id`` and the whole text, null read as empty."""
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text(docs))
@@ -113,25 +120,6 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
-class WordHash(dict):
-    """word -> 64-bit hash, remembered for as many words as fit the bound."""
-
-    def __init__(self, most: int = 400_000):
-        from xxhash import xxh3_64_intdigest
-
-        super().__init__()
-        self.most, self.digest = most, xxh3_64_intdigest
-
-    def __missing__(self, word: str) -> int:
-        if len(self) >= self.most:
-            self.clear()
-        self[word] = h = self.digest(word.encode("utf-8", "surrogatepass"))
-        return h
-
-    def of(self, words: list[str]) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, words), dtype=np.uint64, count=len(words))
-
-
 def shingle_hashes(words: np.ndarray, n: int = 5) -> np.ndarray:
     """Hashes of all runs of ``n`` words; a shorter non-empty text is one shingle of all its words."""
     if not len(words):
@@ -143,3 +131,112 @@ def shingle_hashes(words: np.ndarray, n: int = 5) -> np.ndarray:
         h += words[i : len(words) - n + 1 + i]
         h ^= h >> np.uint64(29)
     return mix64(h)
+
+
+#: Buckets of ``only_of``: at most so many rows are ever broadcast.
+SIEVE = 1 << 20
+
+
+def only_of(rows: DataFrame, ids: DataFrame, name: str) -> DataFrame:
+    """Rows whose id occurs in ids (one bigint column of the same name, without repeats).
+
+    Ids are hashed to SIEVE buckets; those in use, a table of bounded size, sieve the rows where
+    they are read, so few others are moved; an exact join of what is left follows.
+    """
+    bucket = F.pmod(F.xxhash64(name), F.lit(SIEVE))
+    used = ids.select(bucket.alias("__sieve")).distinct()
+    sieved = rows.withColumn("__sieve", bucket).join(F.broadcast(used), "__sieve", "left_semi").drop("__sieve")
+    return sieved.join(ids.hint("merge"), name, "left_semi")
+
+
+class TokenHasher:
+    """64-bit hashes of all words of many texts at once, without making the words.
+
+    A word is a run of bytes other than the six blanks. Its hash is a polynomial in its bytes modulo
+    2**64, from differences of a running sum, then mixed.
+    """
+
+    _P = 0x9E3779B97F4A7C15 * 2 + 1 & (1 << 64) - 1
+
+    def __init__(self) -> None:
+        self.blank = np.zeros(256, dtype=bool)
+        self.blank[[0x20, *range(0x09, 0x0E)]] = True
+        self.up = self.down = np.ones(1, dtype=np.uint64)
+
+    def _powers(self, n: int) -> None:
+        if len(self.up) < n:
+            n = max(n, 1 << 16)
+            for name, base in (("up", self._P), ("down", pow(self._P, -1, 1 << 64))):
+                p = np.full(n, base, dtype=np.uint64)
+                p[0] = 1
+                setattr(self, name, np.multiply.accumulate(p))
+
+    def of(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """(hash of every word, how many words each text has)."""
+        raw = np.frombuffer(b" ".join(texts) + b" ", dtype=np.uint8)
+        gap = self.blank[raw]
+        edge = np.flatnonzero(gap[1:] != gap[:-1]) + 1
+        if not gap[0]:
+            edge = np.concatenate(([0], edge))
+        start, end = edge[0::2], edge[1::2]
+        self._powers(len(raw))
+        total = np.zeros(len(raw) + 1, dtype=np.uint64)
+        np.cumsum((raw.astype(np.uint64) + np.uint64(1)) * self.up[: len(raw)], out=total[1:])
+        h = mix64((total[end] - total[start]) * self.down[start] + (end - start).astype(np.uint64))
+        sizes = np.fromiter(map(len, texts), dtype=np.int64, count=len(texts))
+        stops = np.cumsum(sizes + 1)
+        upto = np.searchsorted(start, stops, side="left")
+        return h, np.diff(upto, prepend=0)
+
+    def one(self, word: bytes) -> int:
+        return int(self.of([word])[0][0])
+
+
+class HashIndex:
+    """Places of 64-bit keys: an open-addressing table, looked up for many keys at once."""
+
+    def __init__(self, keys: np.ndarray):
+        size = 1 << max(4, int(np.ceil(np.log2(max(len(keys), 1) * 2 + 1))))
+        self.mask = np.uint64(size - 1)
+        self.keys = np.zeros(size, dtype=np.uint64)
+        self.at = np.full(size, -1, dtype=np.int32)
+        todo = np.arange(len(keys))
+        spot = (keys & self.mask).astype(np.int64)
+        while len(todo):
+            free = self.at[spot] < 0
+            first = np.full(size, -1, dtype=np.int64)
+            first[spot[free][::-1]] = todo[free][::-1]
+            won = free & (first[spot] == todo)
+            self.keys[spot[won]], self.at[spot[won]] = keys[todo[won]], todo[won]
+            todo, spot = todo[~won], (spot[~won] + 1) % size
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """The place of each key among those given at the start, or -1."""
+        spot = (keys & self.mask).astype(np.int64)
+        out = self.at[spot]
+        miss = np.flatnonzero((self.keys[spot] != keys) & (out >= 0))
+        out[miss] = -1
+        spot = spot[miss]
+        while len(miss):
+            spot = (spot + 1) & int(self.mask)
+            hit = self.at[spot]
+            same = (hit >= 0) & (self.keys[spot] == keys[miss])
+            out[miss[same]] = hit[same]
+            go = (hit >= 0) & ~same
+            miss, spot = miss[go], spot[go]
+        return out.astype(np.int64)
+
+
+def lowered(texts: list[str]) -> list[bytes]:
+    return [t.lower().encode("utf-8", "surrogatepass") for t in texts]
+
+
+def shingled(texts: list[str], hasher: TokenHasher, n: int = 5) -> list[np.ndarray]:
+    """Each text's shingles of ``n`` lower-cased words, in order. 1 to n - 1 words are one shingle."""
+    words, sizes = hasher.of(lowered(texts))
+    all_ = shingle_hashes(words, n) if len(words) >= n else words[:0]
+    out, at = [], 0
+    for size in sizes.tolist():
+        out.append(all_[at : at + size - n + 1] if size >= n else shingle_hashes(words[at : at + size], n))
+        at += size
+    return out
