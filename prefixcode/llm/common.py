@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import gc
+import re
 import tempfile
 import uuid
 import weakref
@@ -156,6 +157,8 @@ class TokenHasher:
     2**64, from differences of a running sum, then mixed.
     """
 
+    PART = 1 << 19
+    _BLANKS = re.compile(rb"[\x20\x09-\x0D]")
     _P = 0x9E3779B97F4A7C15 * 2 + 1 & (1 << 64) - 1
 
     def __init__(self) -> None:
@@ -172,7 +175,38 @@ class TokenHasher:
                 setattr(self, name, np.multiply.accumulate(p))
 
     def of(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """(hash of every word, how many words each text has)."""
+        """(hash of every word, how many words each text has). Memory follows the longest word, not
+        the texts: they are taken in parts of about PART bytes, cut at blanks."""
+        parts: list[list[bytes]] = [[]]
+        owner: list[list[int]] = [[]]
+        room = self.PART
+        for k, text in enumerate(texts):
+            at = 0
+            while at < len(text) or not text:
+                end = len(text)
+                if end - at > self.PART:
+                    cut_at = self._BLANKS.search(text, at + self.PART)
+                    end = cut_at.start() if cut_at else end
+                if room < end - at and parts[-1]:
+                    parts.append([])
+                    owner.append([])
+                    room = self.PART
+                parts[-1].append(text[at:end] if at or end < len(text) else text)
+                owner[-1].append(k)
+                room -= end - at + 1
+                at = end
+                if not text:
+                    break
+        sizes = np.zeros(len(texts), dtype=np.int64)
+        out = []
+        for part, own in zip(parts, owner, strict=True):
+            if part:
+                h, n = self._of(part)
+                out.append(h)
+                np.add.at(sizes, own, n)
+        return np.concatenate(out) if out else np.zeros(0, dtype=np.uint64), sizes
+
+    def _of(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         raw = np.frombuffer(b" ".join(texts) + b" ", dtype=np.uint8)
         gap = self.blank[raw]
         edge = np.flatnonzero(gap[1:] != gap[:-1]) + 1
