@@ -10,9 +10,13 @@ shingles a document has over the width, in units of N, at any scale).
 Improved consistent weighted sampling draws, for each shingle and hash function, r and c from
 Gamma(2, 1) and b from U(0, 1), all by hash; t = floor(ln w / r + b); the sample is the (shingle, t)
 with the smallest c / exp(r (t - b) + r). Two texts draw the same sample with a probability equal to
-their similarity. Bands of samples give buckets; in a bucket a leader meets all others, those that
-aren't its near-duplicates choose another leader, until all are settled. Sample agreement screens
-pairs, then the exact similarity of the whole texts decides. Classes are connected components.
+their similarity. Bands of samples give buckets. A small bucket is compared all with all. In a large
+one a leader, drawn by hash, meets all others, then another leader among those that aren't near to
+it, and so on, TURNS times. Where several are left, texts related to each other but not near enough,
+the bucket is dealt anew to buckets of two bands' keys, again with leaders. Work stays in proportion
+to rows. A pair is compared unless all buckets it shares are large and neither of the two is drawn
+in any. Sample agreement screens pairs, then the exact similarity of the whole texts decides. Classes
+are connected components.
 
 Cases: null text is empty; texts without words resemble only their exact copies; a text of fewer
 than five words is one shingle; exact copies share a class and are compared once; a null doc_id is
@@ -31,7 +35,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, BinaryType, LongType, StructField, StructType
 
-from prefixcode.llm.common import WordHash, cut, mix64, shingle_hashes, slices, table, whole_text
+from prefixcode.llm.common import TokenHasher, cut, mix64, only_of, release, shingled, slices, table, whole_text
 from prefixcode.llm.components import components
 
 WORDS = 5
@@ -43,19 +47,23 @@ WIDTH = 1 << 20
 CHUNK = 1 << 14
 #: Pairs with fewer agreeing samples aren't compared: 5 standard deviations below the mean at 0.8.
 AGREE = 17
+#: Leaders chosen in a bucket one after another; then so many again in buckets of two bands' keys.
+TURNS = 3
+#: A bucket of no more than this is compared all with all.
+FEW = 16
 SEED = 0x1C35
 
 
 # ---------------------------------------------------------------- weights
-def shingles(text: str, words: WordHash) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct shingle hashes, ascending, and how often each occurs."""
-    return np.unique(shingle_hashes(words.of(text.lower().split()), WORDS), return_counts=True)
+def shingles(texts: list[str], hasher: TokenHasher) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Of each text the distinct shingle hashes, ascending, and how often each occurs."""
+    return [np.unique(x, return_counts=True) for x in shingled(texts, hasher, WORDS)]
 
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    words, seen, docs = WordHash(), np.zeros(WIDTH, dtype=np.int64), 0
-    for batch in slices(batches):
-        found = [shingles(t, words)[0] for t in batch.column("text").to_pylist()]
+    hasher, seen, docs = TokenHasher(), np.zeros(WIDTH, dtype=np.int64), 0
+    for batch in slices(batches, most_bytes=2 << 20):
+        found = [x for x, _ in shingles(batch.column("text").to_pylist(), hasher)]
         docs += len(found)
         seen += np.bincount((np.concatenate(found) >> np.uint64(44)).astype(np.int64), minlength=WIDTH)
     if docs:
@@ -156,11 +164,11 @@ def _sign(batches: Iterator[pa.RecordBatch], idf: np.ndarray, names: list[str])
     from xxhash import xxh3_128_digest
 
     row = TaskContext.get().partitionId() << 36
-    words, sampler = WordHash(), Sampler()
+    hasher, sampler = TokenHasher(), Sampler()
     for batch in slices(batches, _TEXT, most_bytes=1 << 20, most_rows=1024):
         texts = batch.column(_TEXT).to_pylist()
         n = len(texts)
-        found = [shingles(t, words) for t in texts]
+        found = shingles(texts, hasher)
         some = [i for i in range(n) if len(found[i][0])]
         keys: list = [[] for _ in range(n)]
         prints: list = [b""] * n
@@ -200,16 +208,16 @@ def _agree(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _verify(batches: Iterator[pa.RecordBatch], idf: np.ndarray) -> Iterator[pa.RecordBatch]:
-    words, known = WordHash(), {}
-    for batch in slices(batches, "ta"):
+    hasher, known = TokenHasher(), {}
+    for batch in slices(batches, "ta", most_rows=512):
+        first, second = batch.column("a").to_pylist(), batch.column("b").to_pylist()
+        new = {a: t for a, t in zip(first, batch.column("ta").to_pylist(), strict=True) if a not in known}
+        if len(known) > 64:
+            known = {a: known[a] for a in set(first) & set(known)}
+        for a, s in zip(new, shingles(list(new.values()), hasher), strict=True):
+            known[a] = s[0], weights(s, idf)
         out = []
-        for a, b, ta, tb in zip(*(batch.column(c).to_pylist() for c in ("a", "b", "ta", "tb")), strict=True):
-            if a not in known:
-                if len(known) > 64:
-                    known.clear()
-                s = shingles(ta, words)
-                known[a] = s[0], weights(s, idf)
-            s = shingles(tb, words)
+        for a, b, s in zip(first, second, shingles(batch.column("tb").to_pylist(), hasher), strict=True):
             out.append((a, b, similarity(known[a], (s[0], weights(s, idf)))))
         yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=["a", "b", "sim"])
 
@@ -220,30 +228,59 @@ def links(rows: DataFrame, idf: np.ndarray, similar: float = SIMILAR) -> tuple[D
     nodes = cut(rows.groupBy(F.col(_KEY).alias("digest")).agg(first.alias("x")).select("digest", "x.*"), "near-nodes")
     buckets = nodes.select(F.explode("bands").alias("k"), "node", "print")
     full = buckets.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    todo = cut(buckets.join(full.select("k"), "k"), "near-buckets")
+    todo = cut(buckets.join(full, "k"), "near-buckets")
     wanted = todo.select(F.col("node").alias(_ROW)).distinct()
-    texts = cut(rows.join(wanted, _ROW).select(F.col(_ROW).alias("node"), F.col(_TEXT).alias("t")), "near-texts")
+    texts = cut(only_of(rows.select(_ROW, _TEXT), wanted, _ROW).select(F.col(_ROW).alias("node"), F.col(_TEXT).alias("t")), "near-texts")
+    release(rows.sparkSession)
     found = None
-    turn = 0
-    while True:
-        lead = todo.groupBy("k").agg(F.min(F.struct(F.xxhash64(F.lit(turn), "node").alias("h"), F.col("node").alias("a"), F.col("print").alias("p"))).alias("l"), F.count(F.lit(1)).alias("n")).where("n > 1")
-        met = todo.join(lead.select("k", "l.a", "l.p"), "k").where("node <> a").select("k", "a", F.col("node").alias("b"), "p", F.col("print").alias("q"))
-        met = cut(met.mapInArrow(_agree, "k long, a long, b long, good boolean"), f"near-met{turn}")
+
+    def compare(met: DataFrame, label: str) -> DataFrame:
+        """Screen rows (k, a, p, b, q), compare new pairs; gives the screened rows."""
+        nonlocal found
+        met = cut(met.select("k", "a", "b", "p", "q").mapInArrow(_agree, "k long, a long, b long, good boolean"), f"near-met{label}")
         pairs = met.where("good").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
         if found is not None:
             pairs = pairs.join(found.select("a", "b"), ["a", "b"], "left_anti")
         both = pairs.join(texts.select(F.col("node").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("t").alias("tb")), "b")
-        new = cut(both.select("a", "b", "ta", "tb").mapInArrow(lambda x: _verify(x, idf), "a long, b long, sim double"), f"near-pairs{turn}")
-        found = new if found is None else found.unionAll(new)
-        true = found.where(F.col("sim") >= similar).select(F.col("a").alias("__a"), F.col("b").alias("__b"))
-        open_ = met.join(true, (F.least("a", "b") == F.col("__a")) & (F.greatest("a", "b") == F.col("__b")), "left_anti").select("k", F.col("b").alias("node"))
-        crowd = open_.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("k")
-        todo = cut(todo.join(open_.join(crowd, "k"), ["k", "node"], "left_semi"), f"near-open{turn}")
-        turn += 1
-        if not todo.limit(1).count():
-            return nodes, found.where(F.col("sim") >= similar)
-
-
+        new = cut(both.select("a", "b", "ta", "tb").mapInArrow(lambda x: _verify(x, idf), "a long, b long, sim double"), f"near-pairs{label}")
+        found = new if found is None else cut(found.unionAll(new), f"near-found{label}")
+        return met
+
+    def led(members: DataFrame, label: str) -> DataFrame:
+        """Leaders meet all members of their buckets. A leader is one that no earlier leader is near to.
+
+        Gives what is left: members (k, node, print) of buckets that still have several such rows.
+        """
+        open_ = members.select("k", "node")
+        for turn in range(TURNS):
+            draw = F.min(F.struct(F.xxhash64(F.lit(f"{label}{turn}"), F.pmod("k", F.lit(3)), "node").alias("h"), F.col("node").alias("a")))
+            lead = open_.groupBy("k").agg(draw.alias("l")).select("k", "l.a")
+            lead = lead.join(members.select("k", F.col("node").alias("a"), F.col("print").alias("p")), ["k", "a"])
+            met = compare(members.join(lead, "k").where("node <> a").select("k", "a", F.col("node").alias("b"), "p", F.col("print").alias("q")), f"{label}{turn}")
+            true = found.where(F.col("sim") >= similar).select(F.col("a").alias("__a"), F.col("b").alias("__b"))
+            near = met.join(true, (F.least("a", "b") == F.col("__a")) & (F.greatest("a", "b") == F.col("__b")), "left_semi").select("k", F.col("b").alias("node"))
+            settled = near.unionAll(lead.select("k", F.col("a").alias("node")))
+            rest = open_.join(settled, ["k", "node"], "left_anti")
+            crowd = rest.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("k")
+            open_ = cut(rest.join(crowd, "k", "left_semi"), f"near-open{label}{turn}")
+            members = cut(members.join(crowd, "k", "left_semi"), f"near-members{label}{turn}")
+            if not open_.limit(1).count():
+                break
+        return members
+
+    few = todo.where(F.col("n") <= FEW).drop("n")
+    other = few.select("k", F.col("node").alias("b"), F.col("print").alias("q"))
+    compare(few.select("k", F.col("node").alias("a"), F.col("print").alias("p")).join(other, "k").where("a < b"), "few")
+    left = led(cut(todo.where(F.col("n") > FEW).drop("n"), "near-large"), "a")
+    if left.limit(1).count():
+        finer = left.join(nodes.select("node", "bands"), "node").select("k", "node", "print", F.explode("bands").alias("k2")).where("k <> k2")
+        finer = finer.select(F.xxhash64(F.least("k", "k2"), F.greatest("k", "k2")).alias("k"), "node", "print").distinct()
+        several = finer.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("k")
+        led(cut(finer.join(several, "k"), "near-finer"), "b")
+    return nodes, found.where(F.col("sim") >= similar)
+
+
+# ---------------------------------------------------------------- classes
 def classes(docs: DataFrame, similar: float = SIMILAR) -> tuple[DataFrame, DataFrame]:
     """(signed rows, their classes): __x_row, __x_class (a number), __x_stays, __x_class_id (doc_id of the
     row that stays, the largest of the class), __x_size and __x_links (of its text)."""
