@@ -435,13 +435,13 @@ def count_distinct_instream(s: SparkSession, d: str) -> DataFrame:
 def _visitors(unit: str) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
         x = t(s, d, "events").select(F.date_trunc(unit, F.col("ts")).cast("date").alias("period"), "user_id")
-        return stream.count_distinct(derive.attach(x, ["period", "user_id"], 1), 1, "visitors")
+        return stream.count_distinct(derive.attach(x, ["period", "user_id"], 1), 1, "visitors").withColumn("period", F.col("period").cast("string"))
 
     return run
 
 
 for _unit in ("day", "month"):
-    add(f"unique_visitors_{_unit}", f"SELECT CAST(date_trunc('{_unit}', ts) AS DATE) AS period, count(DISTINCT user_id) AS visitors FROM events GROUP BY 1")(_visitors(_unit))
+    add(f"unique_visitors_{_unit}", f"SELECT CAST(CAST(date_trunc('{_unit}', ts) AS DATE) AS VARCHAR) AS period, count(DISTINCT user_id) AS visitors FROM events GROUP BY 1")(_visitors(_unit))
 
 
 _TAIL = ["l_returnflag", "l_linestatus", "l_linenumber", "l_quantity"]
@@ -638,3 +638,27 @@ def stepped_merge(s: SparkSession, d: str) -> DataFrame:
 def key_depth(s: SparkSession, d: str) -> DataFrame:
     counts = stream.group_counts(derive.attach(lines(s, d, K8), K8, 3))
     return counts.select(F.lit(round(measures.key_depth(1e10, 3))).alias("columns_for_ten_billion_of_three"), "*")
+
+
+def _experiment(name: str, rows: int) -> Query:
+    def run(s: SparkSession, d: str) -> DataFrame:
+        """The experiment in a task of its own; a row of JSON for each of its rows."""
+        import json
+
+        import pyarrow as pa
+
+        def work(batches):
+            from prefixcode.workloads import experiments
+
+            for b in batches:
+                if b.num_rows:
+                    lines = [json.dumps(x) for x in experiments.ALL[name](rows)]
+                    yield pa.RecordBatch.from_arrays([pa.array([name] * len(lines)), pa.array(lines)], names=["experiment", "result"])
+
+        return s.range(1).coalesce(1).mapInArrow(work, "experiment string, result string")
+
+    return run
+
+
+for _e, _rows in (("run_generation", 10_000), ("merging", 1_000), ("constant_prefix", 1_000), ("hash_values", 3_000), ("duplicates", 1_000), ("compression", 10_000), ("segmentation", 10_000), ("aggregation", 10_000), ("run_sizes", 10_000)):
+    add(f"experiment_{_e}")(_experiment(_e, _rows))

@@ -170,10 +170,10 @@ same("fn_string", "SELECT p_partkey, lower(p_name) AS lo, upper(p_brand) AS up,
 same("fn_math", "SELECT l_orderkey, l_linenumber, l_partkey, round(l_extendedprice, 1) AS r, CAST(floor(l_quantity / 3) AS BIGINT) AS f, CAST(ceil(l_quantity / 3) AS BIGINT) AS c, abs(l_discount - 0.05) AS a, l_partkey % 7 AS m, round(power(l_quantity, 2), 4) AS p, round(sqrt(l_extendedprice), 4) AS s, round(ln(l_extendedprice), 4) AS l, greatest(l_tax, l_discount) AS g, least(l_tax, l_discount) AS le FROM lineitem", "lineitem")
 
 
-@add("fn_date", "SELECT o_orderkey, CAST(date_trunc('month', o_orderdate) AS DATE) AS month, CAST(extract(year FROM o_orderdate) AS INT) AS y, CAST(o_orderdate + INTERVAL 10 DAY AS DATE) AS later, CAST(date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS INT) AS days, strftime(o_orderdate, '%Y-%m') AS ym FROM orders")
+@add("fn_date", "SELECT o_orderkey, CAST(CAST(date_trunc('month', o_orderdate) AS DATE) AS VARCHAR) AS month, CAST(extract(year FROM o_orderdate) AS INT) AS y, CAST(CAST(o_orderdate + INTERVAL 10 DAY AS DATE) AS VARCHAR) AS later, CAST(date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS INT) AS days, strftime(o_orderdate, '%Y-%m') AS ym FROM orders")
 def fn_date(s: SparkSession, d: str) -> DataFrame:
     o = F.col("o_orderdate")
-    return t(s, d, "orders").select("o_orderkey", F.date_trunc("month", o).cast("date").alias("month"), F.year(o).alias("y"), F.date_add(o.cast("date"), 10).alias("later"), F.datediff(o.cast("date"), F.lit("1992-01-01").cast("date")).alias("days"), F.date_format(o, "yyyy-MM").alias("ym"))
+    return t(s, d, "orders").select("o_orderkey", F.date_trunc("month", o).cast("date").cast("string").alias("month"), F.year(o).alias("y"), F.date_add(o.cast("date"), 10).cast("string").alias("later"), F.datediff(o.cast("date"), F.lit("1992-01-01").cast("date")).alias("days"), F.date_format(o, "yyyy-MM").alias("ym"))
 
 
 @add("fn_array", "SELECT vec_id, CAST(len(embedding) AS INT) AS n, round(CAST(list_max(embedding) AS DOUBLE), 4) AS high, round(CAST(embedding[1] AS DOUBLE), 4) AS first, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INT) AS positive, round(list_sum(list_transform(embedding[1:4], lambda x: CAST(x AS DOUBLE))), 4) + 0.0 AS four FROM embeddings")
