@@ -91,9 +91,7 @@ class LoserTree:
     def merge(self, inputs: list[Iterable[tuple[int, tuple]]]) -> Iterator[tuple[int, tuple]]:
         """inputs: (code relative to the row before, row) in order. Gives the same, merged."""
         sources = [iter(x) for x in inputs]
-        n = 1
-        while n < max(2, len(sources)):
-            n *= 2
+        n = max(2, len(sources))
         self.codes, self.rows = [LATE] * n, [None] * n
         for i, source in enumerate(sources):
             self._fetch(i, source)

@@ -19,11 +19,12 @@ from pyspark.sql import functions as F
 
 from prefixcode.functions.codes import pack_array
 from prefixcode.functions.keys import key_spec, kinds, normalize
+from prefixcode.functions.measures import lower_bound
 from prefixcode.kernels import baselines, formats
 from prefixcode.kernels import tree as kernel
 from prefixcode.plans.frame import CODE, OFFSET
 
-_COUNTS = "rows long, by_code long, columns long, bypassed long, runs long, spilled_bytes long, plain_bytes long"
+_COUNTS = "row_cmp long, by_code long, columns long, bypassed long, runs long, spilled_bytes long, plain_bytes long"
 
 
 class Spill:
@@ -181,9 +182,10 @@ def measured(df: DataFrame, keys: list, partitions: int, method: str, memory: in
             raise ValueError(method)
         plain = len(pickle.dumps(rows, protocol=5))
         values = [len(rows), ctr.rows, ctr.by_code, ctr.columns, ctr.bypassed, sizes.get("runs", 0), sizes.get("spilled", 0), plain]
-        yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in values], names=["n", *[c.split()[0] for c in _COUNTS.replace("rows long", "row_cmp long").split(", ")]])
+        names_out = ["n", *[c.split()[0] for c in _COUNTS.split(", ")], "lower_bound"]
+        yield pa.RecordBatch.from_arrays([*(pa.array([v], pa.int64()) for v in values), pa.array([lower_bound(len(rows))])], names=names_out)
 
-    return ranged.mapInArrow(run, "n long, " + _COUNTS.replace("rows long", "row_cmp long"))
+    return ranged.mapInArrow(run, f"n long, {_COUNTS}, lower_bound double")
 
 
 def merging_exchange(runs: DataFrame, keys: list[str], run_id: str, buckets: int, by: str = "range") -> DataFrame:

@@ -78,7 +78,7 @@ def codes_arrow(s: SparkSession, d: str) -> DataFrame:
 @add(
     "codes_bytes_url",
     "WITH u AS (SELECT DISTINCT encode(url) AS b FROM pages), l AS (SELECT b, lag(b) OVER (ORDER BY b) AS p FROM u) "
-    "SELECT hex(b) AS key_hex, CASE WHEN p IS NULL THEN 0 ELSE len(list_filter(range(1, 1 + least(octet_length(b), octet_length(p))), lambda i: left(hex(b), CAST(2 * i AS INT)) = left(hex(p), CAST(2 * i AS INT)))) END AS off FROM l",
+    "SELECT hex(b) AS key_hex, CASE WHEN p IS NULL THEN 0 ELSE CAST(len(list_filter(range(1, 1 + least(octet_length(b), octet_length(p))), lambda i: left(hex(b), CAST(2 * i AS INT)) = left(hex(p), CAST(2 * i AS INT)))) AS INT) END AS off FROM l",
 )
 def codes_bytes_url(s: SparkSession, d: str) -> DataFrame:
     x = t(s, d, "pages").select(normalize_bytes(["url"]).alias("k")).distinct()
@@ -168,14 +168,14 @@ def _numbered(s: SparkSession, d: str) -> DataFrame:
 
 @add("row_comparisons_rungen")
 def row_comparisons_rungen(s: SparkSession, d: str) -> DataFrame:
-    """Run generation on scrambled keys: queue of losers against quicksort, and the bound."""
-    x = scratch.cut(_numbered(s, d).orderBy("l_orderkey", "l_partkey", "l_linenumber").limit(20_000).select("h"), "rungen")  # an experiment of one run in memory
+    """Run generation on scrambled keys, a run for each key range: queue of losers against quicksort, and the bound."""
+    x = scratch.cut(_numbered(s, d).select("h"), "rungen")
     out = None
     for method in ("generate", "full"):
-        y = sort.measured(x, ["h"], 1, method).withColumn("method", F.lit({"generate": "tree of losers", "full": "quicksort"}[method]))
+        y = sort.measured(x, ["h"], 8, method).agg(*[F.sum(c).alias(c) for c in ("n", "row_cmp", "by_code", "columns", "lower_bound")])
+        y = y.select(F.lit({"generate": "tree of losers", "full": "quicksort"}[method]).alias("method"), "*", (F.col("row_cmp") / F.col("lower_bound")).alias("over_bound"))
         out = y if out is None else out.unionByName(y)
-    bound = F.lit(measures.lower_bound(x.count()))
-    return out.select("method", "n", "row_cmp", "by_code", "columns", bound.alias("lower_bound"), (F.col("row_cmp") / bound).alias("over_bound"))
+    return out
 
 
 @add("row_comparisons_merge")
@@ -472,10 +472,10 @@ def resort(s: SparkSession, d: str) -> DataFrame:
     return off(derive.attach(lines(s, d, _TAIL), _TAIL, 1)).groupBy(*_TAIL, "off").agg(F.count(F.lit(1)).alias("n"))
 
 
-@add("filter_keep_codes", f"SELECT {', '.join(K6)}, off, count(*) AS n FROM {q.offsets('(SELECT * FROM lineitem WHERE l_partkey % 7 = 0)', K6)} GROUP BY ALL")
+@add("filter_keep_codes", f"SELECT {', '.join(K6)}, off, count(*) AS n FROM {q.offsets('(SELECT * FROM lineitem WHERE l_extendedprice > 40000)', K6)} GROUP BY ALL")
 def filter_keep_codes(s: SparkSession, d: str) -> DataFrame:
-    of = derive.attach(lines(s, d, K6, ("l_partkey",)), K6, 1)
-    return off(stream.keep(of, F.col("l_partkey") % 7 == 0)).groupBy(*K6, "off").agg(F.count(F.lit(1)).alias("n"))
+    of = derive.attach(lines(s, d, K6, ("l_extendedprice",)), K6, 1)
+    return off(stream.keep(of, F.col("l_extendedprice") > 40000)).groupBy(*K6, "off").agg(F.count(F.lit(1)).alias("n"))
 
 
 @add("project_keep_codes", f"SELECT {', '.join(K6[:3])}, off, count(*) AS n FROM {q.offsets('lineitem', K6[:3])} GROUP BY ALL")
@@ -528,8 +528,8 @@ def topk_per_segment(s: SparkSession, d: str) -> DataFrame:
 # ---------------------------------------------------------------- joins and sets
 def _join(how: str) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        o = derive.attach(t(s, d, "orders").where("o_orderkey % 3 <> 0").select("o_orderkey", "o_custkey"), ["o_orderkey"], 1)
-        x = derive.attach(t(s, d, "lineitem").where("l_orderkey % 2 = 0").select("l_orderkey", "l_partkey"), ["l_orderkey"], 1)
+        o = derive.attach(t(s, d, "orders").where("o_totalprice < 400000").select("o_orderkey", "o_custkey"), ["o_orderkey"], 1)
+        x = derive.attach(t(s, d, "lineitem").where("l_returnflag <> 'N'").select("l_orderkey", "l_partkey"), ["l_orderkey"], 1)
         out = off(join.merge_join(o, x, how))
         cols = ["o_orderkey", "o_custkey"] + (["l_partkey"] if how not in ("semi", "anti") else [])
         return out.groupBy(*cols).agg(F.count(F.lit(1)).alias("n"))
@@ -537,8 +537,8 @@ def _join(how: str) -> Query:
     return run
 
 
-_L = "(SELECT l_orderkey, l_partkey FROM lineitem WHERE l_orderkey % 2 = 0)"
-_O = "(SELECT o_orderkey, o_custkey FROM orders WHERE o_orderkey % 3 <> 0)"
+_L = "(SELECT l_orderkey, l_partkey FROM lineitem WHERE l_returnflag <> 'N')"
+_O = "(SELECT o_orderkey, o_custkey FROM orders WHERE o_totalprice < 400000)"
 for _how in ("inner", "left", "right", "full"):
     add(f"merge_join_{_how}", f"SELECT coalesce(o.o_orderkey, l.l_orderkey) AS o_orderkey, o_custkey, l_partkey, count(*) AS n FROM {_O} o {_how.upper()} JOIN {_L} l ON o.o_orderkey = l.l_orderkey GROUP BY ALL")(_join(_how))
 for _how in ("semi", "anti"):
@@ -547,8 +547,8 @@ for _how in ("semi", "anti"):
 
 @add("merge_join_codes", f"WITH j AS (SELECT o_orderkey FROM {_O} o JOIN {_L} l ON o.o_orderkey = l.l_orderkey) SELECT o_orderkey, off, count(*) AS n FROM {q.offsets('j', ['o_orderkey'])} GROUP BY ALL")
 def merge_join_codes(s: SparkSession, d: str) -> DataFrame:
-    o = derive.attach(t(s, d, "orders").where("o_orderkey % 3 <> 0").select("o_orderkey", "o_custkey"), ["o_orderkey"], 1)
-    x = derive.attach(t(s, d, "lineitem").where("l_orderkey % 2 = 0").select("l_orderkey", "l_partkey"), ["l_orderkey"], 1)
+    o = derive.attach(t(s, d, "orders").where("o_totalprice < 400000").select("o_orderkey", "o_custkey"), ["o_orderkey"], 1)
+    x = derive.attach(t(s, d, "lineitem").where("l_returnflag <> 'N'").select("l_orderkey", "l_partkey"), ["l_orderkey"], 1)
     return off(join.merge_join(o, x, "inner")).groupBy("o_orderkey", "off").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -573,14 +573,14 @@ def pipeline_join_agg(s: SparkSession, d: str) -> DataFrame:
     return stream.aggregate(joined, 1, [F.sum("n").alias("n"), F.round(F.sum("r"), 2).alias("revenue")])
 
 
-_A, _B = "(SELECT l_partkey, l_linenumber FROM lineitem WHERE l_orderkey % 2 = 0)", "(SELECT l_partkey, l_linenumber FROM lineitem WHERE l_orderkey % 3 = 0)"
+_A, _B = "(SELECT l_partkey, l_linenumber FROM lineitem WHERE l_returnflag = 'R')", "(SELECT l_partkey, l_linenumber FROM lineitem WHERE l_linestatus = 'O')"
 for _kind in ("union", "intersect", "except"):
     for _all in (False, True):
 
         def _set(s: SparkSession, d: str, kind: str = _kind, rows: bool = _all) -> DataFrame:
             x = t(s, d, "lineitem")
             keys = ["l_partkey", "l_linenumber"]
-            return join.set_operation(x.where("l_orderkey % 2 = 0").select(*keys), x.where("l_orderkey % 3 = 0").select(*keys), keys, kind, rows)
+            return join.set_operation(x.where("l_returnflag = 'R'").select(*keys), x.where("l_linestatus = 'O'").select(*keys), keys, kind, rows)
 
         add(f"setop_{_kind}{'_all' if _all else ''}", f"SELECT * FROM {_A} {_kind.upper()}{' ALL' if _all else ''} SELECT * FROM {_B}")(_set)
 
@@ -593,14 +593,14 @@ def setop_text(s: SparkSession, d: str) -> DataFrame:
 def _index(on_hash: bool) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
         path = store.build_index(t(s, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey"), ["l_orderkey"], 8, on_hash)
-        probe = t(s, d, "orders").where("o_orderkey between 100 and 900").select("o_orderkey", "o_custkey")
+        probe = t(s, d, "orders").select("o_orderkey", "o_custkey")
         return store.lookup_join(probe, "o_orderkey", path, "l_orderkey", on_hash)
 
     return run
 
 
 for _on, _hash in (("index_lookup_join", False), ("index_lookup_hash", True)):
-    add(_on, "SELECT o_orderkey, o_custkey, l_orderkey, l_linenumber, l_partkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE o_orderkey BETWEEN 100 AND 900")(_index(_hash))
+    add(_on, "SELECT o_orderkey, o_custkey, l_orderkey, l_linenumber, l_partkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey")(_index(_hash))
 
 
 @add("join_interval", "SELECT a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.event_id BETWEEN a.event_id AND a.event_id + 200 WHERE a.event_type = 'click' AND b.event_type = 'purchase'")
