@@ -98,3 +98,8 @@ def to_rows(columns: list[list[tuple[object, int]]], ctr: Counters, carry: bool
                     left[j], first = columns[j][at[j]][1], min(first, j)
         yield first, tuple(columns[j][at[j]][0] for j in range(first, k))
         done += 1
+
+
+def coded_rows(columns: list[list[tuple[object, int]]], ctr: Counters) -> Iterator[tuple[int, tuple]]:
+    """Merge input straight from runs: of each row only the values that begin runs are read."""
+    return expand(to_rows(columns, ctr), len(columns))

@@ -59,6 +59,34 @@ def to_rle(of: OrderedFrame) -> DataFrame:
     return starts.select(*[f"__block_{c}" for c in of.partitioned_by], F.col("c.col_no").alias("col_no"), F.col(POS).alias("run_start"), length.alias("run_len"), F.col("c.value").alias("value"))
 
 
+def pack_runs(runs: DataFrame, blocks: list[str]) -> DataFrame:
+    """One row for each block and column: its runs as an array of (value, how many rows), in order.
+
+    Blocks should be bounded (see ``blocked``), as a block's runs come together in one array.
+    """
+    cells = F.sort_array(F.collect_list(F.struct("run_start", "value", "run_len")))
+    packed = F.transform(cells, lambda c: F.struct(c["value"].alias("value"), c["run_len"].alias("run_len")))
+    return runs.groupBy(*[f"__block_{c}" for c in blocks], "col_no").agg(packed.alias("runs"))
+
+
+def unpack_runs(packed: DataFrame, blocks: list[str]) -> DataFrame:
+    """Back to a row for each run; its start is the sum of the lengths before it."""
+    starts = F.expr("transform(runs, (r, i) -> struct(aggregate(slice(runs, 1, i), 0L, (s, x) -> s + x.run_len) AS run_start, r.run_len AS run_len, r.value AS value))")
+    return packed.select(*[f"__block_{c}" for c in blocks], "col_no", F.explode(starts).alias("r")).select(*[f"__block_{c}" for c in blocks], "col_no", "r.*")
+
+
+def blocked(of: OrderedFrame, rows: int) -> OrderedFrame:
+    """Cut the partitions into blocks of so many rows; a block's first row has offset 0 and stands alone."""
+    x = positions(of).withColumn("__blockno", F.floor(F.col(POS) / rows))
+    first = F.col(POS) % rows == 0
+    from prefixcode.functions.codes import pack
+    from prefixcode.operators.derive import value_at
+
+    zero = pack(F.lit(0), value_at(x, of.keys, F.lit(0)), of.k)
+    x = x.withColumn(CODE, F.when(first, zero).otherwise(F.col(CODE))).withColumn(OFFSET, F.when(first, F.lit(0)).otherwise(F.col(OFFSET))).drop(POS)
+    return OrderedFrame(x, of.keys, "block", (*of.partitioned_by, "__blockno"))
+
+
 def from_rle(runs: DataFrame, names: list[str], blocks: list[str]) -> DataFrame:
     """Runs -> rows (texts) with their offset: the first column whose run begins there, or all."""
     block = [f"__block_{c}" for c in blocks]

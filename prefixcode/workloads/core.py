@@ -271,6 +271,16 @@ def rle_roundtrip(s: SparkSession, d: str) -> DataFrame:
     return formats.from_rle(runs, keys, ["l_returnflag"]).select(*KL)
 
 
+@add("rle_packed_roundtrip", "SELECT CAST(l_orderkey AS VARCHAR) AS l_orderkey, CAST(l_linenumber AS VARCHAR) AS l_linenumber FROM lineitem")
+def rle_packed(s: SparkSession, d: str) -> DataFrame:
+    """Run lengths packed in arrays for blocks of 4096 rows, and back to rows."""
+    keys = ["l_returnflag", *KL]
+    of = formats.blocked(derive.attach(lines(s, d, KL, ("l_returnflag",)), keys, 1), 4096)
+    names = list(of.partitioned_by)
+    packed = scratch.cut(formats.pack_runs(formats.to_rle(of), names), "rle-packed")
+    return formats.from_rle(formats.unpack_runs(packed, names), keys, names).select(*KL)
+
+
 @add("rle_aggregate", "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM lineitem GROUP BY ALL")
 def rle_aggregate(s: SparkSession, d: str) -> DataFrame:
     keys = ["l_returnflag", "l_linestatus", "l_quantity"]

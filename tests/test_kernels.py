@@ -84,6 +84,7 @@ def test_format_round_trips(case, carry):
     assert columns == formats.to_columns(stored, k, Counters(), not carry)
     if rows:
         assert list(formats.to_rows(columns, Counters(), carry)) == stored
+        assert list(formats.coded_rows(columns, Counters())) == list(coded(rows))
     assert sum(len(tail) for _, tail in stored) == sum(len(c) for c in columns)
 
 
