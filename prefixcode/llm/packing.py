@@ -162,6 +162,8 @@ def plan(histogram: dict[int, int], room: int = ROOM) -> list[tuple[list[tuple[i
             total[tuple((int(ids[i]), n) for i, n in config)] += often
         if chosen is None or sum(total.values()) < sum(chosen.values()):
             chosen = total
+        if sum(chosen.values()) * room < int((lengths * counts).sum()) + room:  # no fewer sequences can hold all
+            break
     for config, often in sorted(chosen.items()):
         out.append(([(int(lengths[i]), n) for i, n in config], often))
     return out
