@@ -16,7 +16,7 @@
 
 Cases: null text equals the empty text; among equal texts the largest doc_id stays, a null doc_id
 counts below all others, and of rows that tie on doc_id exactly one stays; an empty table gives an
-empty result; extra columns may have any names.
+empty result; extra columns may have any names but those starting with __x_.
 """
 
 from __future__ import annotations
@@ -136,7 +136,7 @@ def _chain(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         return out
 
     now, chain, out = None, [], []
-    names = ["v_rep", "v_keep", "v_size", "v_stays"]
+    names = ["__x_v_rep", "__x_v_keep", "__x_v_size", "__x_v_stays"]
     types = [pa.int64(), pa.int64(), pa.int64(), pa.bool_()]
 
     def pack(rows: list[tuple]) -> pa.RecordBatch:
@@ -165,8 +165,8 @@ def index(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(rows, verdicts).
 
     rows: the columns of docs, and hash, representative's number, whether the row is it, sha256 and
-    rows represented; the text is there for representatives only. verdicts: v_rep, v_keep (doc_id
-    that stays), v_size (rows of the group), v_stays (whether this representative is the one).
+    rows represented; the text is there for representatives only. verdicts: __x_v_rep, __x_v_keep (doc_id
+    that stays), __x_v_size (rows of the group), __x_v_stays (whether this representative is the one).
     """
     spark = docs.sparkSession
     plain = docs.select(*[c for c in docs.columns if c != "text"], F.col("doc_id").cast("long").alias(_ID), whole_text(docs).alias(_TEXT))
@@ -186,22 +186,22 @@ def index(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
         known = spark.createDataFrame(list(enumerate(directory)), "__entry long, __bucket int")
         dealt = reps.withColumn("__entry", entry).join(F.broadcast(known), "__entry")  # at most 2**MAX_DEPTH rows
     owned = dealt.select("__bucket", _HASH, _TEXT, _REP, _ID, _N).repartition("__bucket").sortWithinPartitions("__bucket", _HASH)
-    verdicts = cut(owned.drop("__bucket").mapInArrow(_chain, "v_rep long, v_keep long, v_size long, v_stays boolean"), "dedup-verdicts")
+    verdicts = cut(owned.drop("__bucket").mapInArrow(_chain, "__x_v_rep long, __x_v_keep long, __x_v_size long, __x_v_stays boolean"), "dedup-verdicts")
     return rows, verdicts
 
 
 def deduplicate(docs: DataFrame) -> DataFrame:
     """One row per document: doc_id, keep_id, group_size, kept, text_sha256."""
     rows, verdicts = index(docs)
-    return rows.join(verdicts, F.col(_REP) == F.col("v_rep")).select(
-        F.col(_ID).alias("doc_id"), F.col("v_keep").alias("keep_id"), F.col("v_size").alias("group_size"), (F.col(_IS) & F.col("v_stays")).alias("kept"), F.col(_SHA).alias("text_sha256")
+    return rows.join(verdicts, F.col(_REP) == F.col("__x_v_rep")).select(
+        F.col(_ID).alias("doc_id"), F.col("__x_v_keep").alias("keep_id"), F.col("__x_v_size").alias("group_size"), (F.col(_IS) & F.col("__x_v_stays")).alias("kept"), F.col(_SHA).alias("text_sha256")
     )
 
 
 def distinct_documents(docs: DataFrame) -> DataFrame:
     """The rows that stay, with the columns of docs. A null text that stays comes back empty."""
     rows, verdicts = index(docs)
-    kept = rows.where(F.col(_IS)).join(verdicts.where("v_stays").select("v_rep"), F.col(_REP) == F.col("v_rep"), "left_semi")
+    kept = rows.where(F.col(_IS)).join(verdicts.where("__x_v_stays").select("__x_v_rep"), F.col(_REP) == F.col("__x_v_rep"), "left_semi")
     return kept.select(*[F.col(_TEXT).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns])
 
 

@@ -12,7 +12,7 @@ Training sends one count for each language and n-gram from a task; prototypes ar
 
 Cases: null, empty or letterless text gives ``und`` with score 0; a language label that is null is
 not learned; with nothing to learn from every text is ``und``; ties go to the first language by
-name; equal texts get equal answers; extra columns are left alone.
+name; equal texts get equal answers; extra columns may have any names but those starting with __x_.
 """
 
 from __future__ import annotations

@@ -155,6 +155,17 @@ def test_exact_copies(odd, docs, empty, window, monkeypatch):
         assert got == expected_copies([(r.doc_id, r.text) for r in df.select("doc_id", "text").collect()])
 
 
+def test_clashing_names(spark):
+    from prefixcode.llm import hdlang, icws
+
+    rows = [(i, f"some words that make a text number {i} and more", "en", "a", 3, 1, 2, 3, 4) for i in range(6)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, k int, node int, size int, digest int")
+    for stage in (hdlang.identified_documents, exthash.distinct_documents, icws.representatives, pivotal.mix_documents):
+        out = stage(df)
+        assert out.columns == df.columns and out.count() > 0
+    assert packing.packed(df).count() == 6
+
+
 def test_distinct_documents(odd):
     out = exthash.distinct_documents(odd)
     assert out.columns == odd.columns
