@@ -15,12 +15,13 @@ def components(links: DataFrame, label: str = "components") -> DataFrame:
     of its label, so paths halve. Rounds are cut at written tables; minima combine before shuffles.
     No links: an empty table.
     """
-    both = cut(links.select("a", "b").unionAll(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b").distinct(), f"{label}-edges")
-    state = cut(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("component")).withColumnRenamed("a", "node"), f"{label}-0")
+    one = links.select(F.col("a").alias("node"), F.col("b").alias("neighbour"))
+    both = cut(one.unionAll(one.select(F.col("neighbour").alias("node"), F.col("node").alias("neighbour"))).where("node <> neighbour").distinct(), f"{label}-edges")
+    state = cut(both.groupBy("node").agg(F.least(F.min("neighbour"), F.col("node")).alias("component")), f"{label}-0")
     k = 0
     while True:
         k += 1
-        near = both.join(state.withColumnRenamed("node", "b"), "b").groupBy("a").agg(F.min("component").alias("low")).withColumnRenamed("a", "node")
+        near = both.join(state.withColumnRenamed("node", "neighbour"), "neighbour").groupBy("node").agg(F.min("component").alias("low"))
         better = state.join(near, "node").select("node", F.col("component").alias("old"), F.least("component", "low").alias("component"))
         over = state.select(F.col("node").alias("component"), F.col("component").alias("top"))
         jumped = better.join(over, "component").select("node", "old", F.least("component", "top").alias("component"))

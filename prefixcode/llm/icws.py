@@ -47,7 +47,7 @@ WIDTH = 1 << 20
 CHUNK = 1 << 14
 #: Pairs with fewer agreeing samples aren't compared: 5 standard deviations below the mean at 0.8.
 AGREE = 17
-#: Leaders chosen in a bucket one after another; then so many again in buckets of two bands' keys.
+#: Leaders chosen in a bucket one after another; then one fewer in buckets of two bands' keys.
 TURNS = 3
 #: A bucket of no more than this is compared all with all.
 FEW = 16
@@ -246,37 +246,38 @@ def links(rows: DataFrame, idf: np.ndarray, similar: float = SIMILAR) -> tuple[D
         found = new if found is None else cut(found.unionAll(new), f"near-found{label}")
         return met
 
-    def led(members: DataFrame, label: str) -> DataFrame:
+    def led(members: DataFrame, label: str, turns: int, last: bool = False) -> DataFrame:
         """Leaders meet all members of their buckets. A leader is one that no earlier leader is near to.
 
-        Gives what is left: members (k, node, print) of buckets that still have several such rows.
+        Gives the rows (k, node) near to no leader, where a bucket has several.
         """
         open_ = members.select("k", "node")
-        for turn in range(TURNS):
+        for turn in range(turns):
             draw = F.min(F.struct(F.xxhash64(F.lit(f"{label}{turn}"), F.pmod("k", F.lit(3)), "node").alias("h"), F.col("node").alias("a")))
             lead = open_.groupBy("k").agg(draw.alias("l")).select("k", "l.a")
             lead = lead.join(members.select("k", F.col("node").alias("a"), F.col("print").alias("p")), ["k", "a"])
             met = compare(members.join(lead, "k").where("node <> a").select("k", "a", F.col("node").alias("b"), "p", F.col("print").alias("q")), f"{label}{turn}")
+            if last and turn == turns - 1:
+                break
             true = found.where(F.col("sim") >= similar).select(F.col("a").alias("__a"), F.col("b").alias("__b"))
             near = met.join(true, (F.least("a", "b") == F.col("__a")) & (F.greatest("a", "b") == F.col("__b")), "left_semi").select("k", F.col("b").alias("node"))
             settled = near.unionAll(lead.select("k", F.col("a").alias("node")))
             rest = open_.join(settled, ["k", "node"], "left_anti")
             crowd = rest.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("k")
             open_ = cut(rest.join(crowd, "k", "left_semi"), f"near-open{label}{turn}")
-            members = cut(members.join(crowd, "k", "left_semi"), f"near-members{label}{turn}")
             if not open_.limit(1).count():
                 break
-        return members
+        return open_
 
     few = todo.where(F.col("n") <= FEW).drop("n")
     other = few.select("k", F.col("node").alias("b"), F.col("print").alias("q"))
     compare(few.select("k", F.col("node").alias("a"), F.col("print").alias("p")).join(other, "k").where("a < b"), "few")
-    left = led(cut(todo.where(F.col("n") > FEW).drop("n"), "near-large"), "a")
+    left = led(cut(todo.where(F.col("n") > FEW).drop("n"), "near-large"), "a", TURNS)
     if left.limit(1).count():
-        finer = left.join(nodes.select("node", "bands"), "node").select("k", "node", "print", F.explode("bands").alias("k2")).where("k <> k2")
+        finer = left.join(nodes.select("node", "bands", "print"), "node").select("k", "node", "print", F.explode("bands").alias("k2")).where("k <> k2")
         finer = finer.select(F.xxhash64(F.least("k", "k2"), F.greatest("k", "k2")).alias("k"), "node", "print").distinct()
         several = finer.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("k")
-        led(cut(finer.join(several, "k"), "near-finer"), "b")
+        led(cut(finer.join(several, "k"), "near-finer"), "b", TURNS - 1, last=True)
     return nodes, found.where(F.col("sim") >= similar)
 
 
@@ -306,7 +307,7 @@ def near_duplicates(docs: DataFrame, similar: float = SIMILAR) -> DataFrame:
 def representatives(docs: DataFrame, similar: float = SIMILAR) -> DataFrame:
     """One document of each class, with the columns of docs."""
     rows, own = classes(docs, similar)
-    return rows.join(own.where("__x_stays").select(_ROW), _ROW, "left_semi").select(*[f"`{c}`" for c in docs.columns])
+    return rows.join(own.where("__x_stays").select(_ROW).hint("merge"), _ROW, "left_semi").select(*[f"`{c}`" for c in docs.columns])
 
 
 def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
