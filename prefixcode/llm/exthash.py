@@ -201,7 +201,7 @@ def deduplicate(docs: DataFrame) -> DataFrame:
 def distinct_documents(docs: DataFrame) -> DataFrame:
     """The rows that stay, with the columns of docs. A null text that stays comes back empty."""
     rows, verdicts = index(docs)
-    kept = rows.where(F.col(_IS)).join(verdicts.where("__x_v_stays").select("__x_v_rep"), F.col(_REP) == F.col("__x_v_rep"), "left_semi")
+    kept = rows.where(F.col(_IS)).join(verdicts.where("__x_v_stays").select("__x_v_rep").hint("merge"), F.col(_REP) == F.col("__x_v_rep"), "left_semi")
     return kept.select(*[F.col(_TEXT).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns])
 
 

@@ -187,7 +187,7 @@ def mix_documents(docs: DataFrame) -> DataFrame:
     units = cut(units, "mix-copies")
     same = (F.col("__id").eqNullSafe(F.col("doc_id"))) & (F.col("__src").eqNullSafe(F.col("source"))) & (F.col("__size") == F.col("size"))
     single = units.where("m = 1 and copies > 0")
-    out = x.join(single, same).select("__row", F.col("copies").alias("__n"))
+    out = x.join(single.hint("merge"), same).select("__row", F.col("copies").alias("__n"))
     if units.where("m > 1").limit(1).count():
         several = units.where("m > 1")
         order = W.partitionBy("__id", "__src", "__size").orderBy(F.xxhash64("__row"))
