@@ -11,12 +11,13 @@ Improved consistent weighted sampling draws, for each shingle and hash function,
 Gamma(2, 1) and b from U(0, 1), all by hash; t = floor(ln w / r + b); the sample is the (shingle, t)
 with the smallest c / exp(r (t - b) + r). Two texts draw the same sample with a probability equal to
 their similarity. Bands of samples give buckets. A small bucket is compared all with all. In a large
-one a leader, drawn by hash, meets all others, then another leader among those that aren't near to
-it, and so on, TURNS times. Where several are left, texts related to each other but not near enough,
-the bucket is dealt anew to buckets of two bands' keys, again with leaders. Work stays in proportion
-to rows. A pair is compared unless all buckets it shares are large and neither of the two is drawn
-in any. Sample agreement screens pairs, then the exact similarity of the whole texts decides. Classes
-are connected components.
+one leaders, drawn by hash, meet all members that aren't in their class yet, then classes are made anew
+from the links, then rows outside the largest class of the bucket that haven't led yet give the next
+leaders, twice as many each turn, until there are none. So any two texts that share a bucket were
+compared or are in one class, and classes are those of all pairs in all buckets. Work is in proportion
+to a bucket's rows times those outside its largest class; leaders travel in packs, and pairs are
+screened where the packs meet the members. Sample agreement screens pairs, then the exact similarity
+of the whole texts decides. Classes are connected components.
 
 Cases: null text is empty; texts without words resemble only their exact copies; a text of fewer
 than five words is one shingle; exact copies share a class and are compared once; a null doc_id is
@@ -47,8 +48,8 @@ WIDTH = 1 << 20
 CHUNK = 1 << 14
 #: Pairs with fewer agreeing samples aren't compared: 5 standard deviations below the mean at 0.8.
 AGREE = 17
-#: Leaders chosen in a bucket one after another; then one fewer in buckets of two bands' keys.
-TURNS = 3
+#: About so many leaders of a bucket travel in one row.
+PACK = 8
 #: A bucket of no more than this is compared all with all.
 FEW = 16
 SEED = 0x1C35
@@ -200,11 +201,19 @@ def signed(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
 
 # ---------------------------------------------------------------- pairs
 def _agree(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        if batch.num_rows:
-            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), dtype=np.uint8).reshape(-1, HASHES) for c in ("p", "q"))
-            good = (x == y).sum(axis=1) >= AGREE
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("k", "a", "b")), pa.array(good)], names=["k", "a", "b", "good"])
+    """Pairs of different classes whose samples agree often enough. Rows: leads (a, p, ca), b, q, cb."""
+    for whole in batches:
+        for start in range(0, whole.num_rows, 512):
+            batch = whole.slice(start, 512)
+            lists = batch.column("leads")
+            lead = pa.compute.list_flatten(lists)
+            at = np.repeat(np.arange(batch.num_rows), pa.compute.list_value_length(lists).to_numpy(zero_copy_only=False))
+            x, y = (np.frombuffer(b"".join(c.to_pylist()), dtype=np.uint8).reshape(-1, HASHES) for c in (pa.compute.struct_field(lead, "p"), batch.column("q")))
+            a, ca = (pa.compute.struct_field(lead, c).to_numpy(zero_copy_only=False) for c in ("a", "ca"))
+            b, cb = (batch.column(c).to_numpy(zero_copy_only=False)[at] for c in ("b", "cb"))
+            good = np.flatnonzero(ca != cb)
+            good = good[(x[good] == y[at[good]]).sum(axis=1) >= AGREE]
+            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a[good], b[good])), pa.array(np.maximum(a[good], b[good]))], names=["a", "b"])
 
 
 def _verify(batches: Iterator[pa.RecordBatch], idf: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -234,50 +243,41 @@ def links(rows: DataFrame, idf: np.ndarray, similar: float = SIMILAR) -> tuple[D
     release(rows.sparkSession)
     found = None
 
-    def compare(met: DataFrame, label: str) -> DataFrame:
-        """Screen rows (k, a, p, b, q), compare new pairs; gives the screened rows."""
+    def compare(met: DataFrame, label: str) -> None:
+        """Screen rows (leads, b, q, cb) and compare the pairs that are new."""
         nonlocal found
-        met = cut(met.select("k", "a", "b", "p", "q").mapInArrow(_agree, "k long, a long, b long, good boolean"), f"near-met{label}")
-        pairs = met.where("good").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        pairs = met.select("leads", "b", "q", "cb").mapInArrow(_agree, "a long, b long").distinct()
         if found is not None:
             pairs = pairs.join(found.select("a", "b"), ["a", "b"], "left_anti")
         both = pairs.join(texts.select(F.col("node").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("t").alias("tb")), "b")
         new = cut(both.select("a", "b", "ta", "tb").mapInArrow(lambda x: _verify(x, idf), "a long, b long, sim double"), f"near-pairs{label}")
-        found = new if found is None else cut(found.unionAll(new), f"near-found{label}")
-        return met
-
-    def led(members: DataFrame, label: str, turns: int, last: bool = False) -> DataFrame:
-        """Leaders meet all members of their buckets. A leader is one that no earlier leader is near to.
-
-        Gives the rows (k, node) near to no leader, where a bucket has several.
-        """
-        open_ = members.select("k", "node")
-        for turn in range(turns):
-            draw = F.min(F.struct(F.xxhash64(F.lit(f"{label}{turn}"), F.pmod("k", F.lit(3)), "node").alias("h"), F.col("node").alias("a")))
-            lead = open_.groupBy("k").agg(draw.alias("l")).select("k", "l.a")
-            lead = lead.join(members.select("k", F.col("node").alias("a"), F.col("print").alias("p")), ["k", "a"])
-            met = compare(members.join(lead, "k").where("node <> a").select("k", "a", F.col("node").alias("b"), "p", F.col("print").alias("q")), f"{label}{turn}")
-            if last and turn == turns - 1:
-                break
-            true = found.where(F.col("sim") >= similar).select(F.col("a").alias("__a"), F.col("b").alias("__b"))
-            near = met.join(true, (F.least("a", "b") == F.col("__a")) & (F.greatest("a", "b") == F.col("__b")), "left_semi").select("k", F.col("b").alias("node"))
-            settled = near.unionAll(lead.select("k", F.col("a").alias("node")))
-            rest = open_.join(settled, ["k", "node"], "left_anti")
-            crowd = rest.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("k")
-            open_ = cut(rest.join(crowd, "k", "left_semi"), f"near-open{label}{turn}")
-            if not open_.limit(1).count():
-                break
-        return open_
+        found = new if found is None else found.unionAll(new)
 
     few = todo.where(F.col("n") <= FEW).drop("n")
-    other = few.select("k", F.col("node").alias("b"), F.col("print").alias("q"))
-    compare(few.select("k", F.col("node").alias("a"), F.col("print").alias("p")).join(other, "k").where("a < b"), "few")
-    left = led(cut(todo.where(F.col("n") > FEW).drop("n"), "near-large"), "a", TURNS)
-    if left.limit(1).count():
-        finer = left.join(nodes.select("node", "bands", "print"), "node").select("k", "node", "print", F.explode("bands").alias("k2")).where("k <> k2")
-        finer = finer.select(F.xxhash64(F.least("k", "k2"), F.greatest("k", "k2")).alias("k"), "node", "print").distinct()
-        several = finer.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("k")
-        led(cut(finer.join(several, "k"), "near-finer"), "b", TURNS - 1, last=True)
+    own = F.array(F.struct(F.col("node").alias("a"), F.col("print").alias("p"), F.col("node").alias("ca"))).alias("leads")
+    other = few.select("k", F.col("node").alias("b"), F.col("print").alias("q"), F.col("node").alias("cb"))
+    compare(few.select("k", "node", own).join(other, "k").where("node < b"), "few")
+    members = cut(todo.where(F.col("n") > FEW).select("k", "node", "print"), "near-large")
+    led, turn = None, 0
+    while True:
+        part = components(found.where(F.col("sim") >= similar), f"near-part{turn}")
+        state = cut(members.join(part, "node", "left").select("k", "node", "print", F.coalesce("component", "node").alias("c")), f"near-state{turn}")
+        main = state.groupBy("k", "c").agg(F.count(F.lit(1)).alias("n")).groupBy("k").agg(F.max(F.struct("n", "c")).alias("m")).select("k", F.col("m.c").alias("main"))
+        open_ = state.join(main, "k").where("c <> main").select("k", "node", "print", "c", F.xxhash64(F.lit(turn), "k", "node").alias("h"))
+        if led is not None:
+            open_ = open_.join(led, ["k", "node"], "left_anti")
+        open_ = cut(open_, f"near-open{turn}")
+        crowd = open_.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.min("h").alias("least"))
+        if not open_.limit(1).count():
+            break
+        # about 2 ** turn of a bucket's open rows, and one at least
+        lead = cut(open_.join(crowd, "k").where(f"h = least or pmod(h, greatest(1, shiftright(n, {min(turn, 62)}))) = 0"), f"near-lead{turn}")
+        packs = lead.groupBy("k", F.expr(f"pmod(shiftright(h, 20), greatest(1, least(n, shiftleft(1L, {min(turn, 40)})) div {PACK}))").alias("pack"))
+        packs = packs.agg(F.collect_list(F.struct(F.col("node").alias("a"), F.col("print").alias("p"), F.col("c").alias("ca"))).alias("leads"))
+        compare(state.select("k", F.col("node").alias("b"), F.col("print").alias("q"), F.col("c").alias("cb")).join(packs, "k"), str(turn))
+        now = lead.select("k", "node")
+        led = now if led is None else led.unionAll(now)
+        turn += 1
     return nodes, found.where(F.col("sim") >= similar)
 
 

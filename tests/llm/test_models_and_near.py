@@ -9,6 +9,7 @@ import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from prefixcode.llm import brown, common, hdlang, icws, kneser, windows
 from prefixcode.llm.components import components
@@ -132,6 +133,57 @@ def test_near_copies_against_brute_force(spark):
     assert Counter(x.class_id for x in got.values() if x.kept) == Counter(dict.fromkeys(sizes, 1))
 
 
+def drifting(seed: int, n: int, size: int = 200, step: int = 3) -> list[str]:
+    """Texts that change by a few words from one to the next: near to their neighbours only."""
+    r, w, out = np.random.default_rng(seed), prose(seed, size), []
+    for _ in range(n):
+        out.append(" ".join(w))
+        for at in r.integers(0, size, step):
+            w[at] = LOREM[int(r.integers(0, 3000))]
+    return out
+
+
+def linked(spark, texts, keys):
+    """Classes by links where all texts share the buckets ``keys`` and no other."""
+    rows, idf = icws.signed(spark.createDataFrame([(i, t, None, None, 0, None) for i, t in enumerate(texts)], SCHEMA))
+    nodes, found = icws.links(rows.withColumn(icws._BANDS, F.array(*[F.lit(k).cast("long") for k in keys])), idf)
+    own = {r[icws._ROW]: r.doc_id for r in rows.select(icws._ROW, "doc_id").collect()}
+    parent = {d: d for d in own.values()}
+
+    def find(d):
+        while parent[d] != d:
+            d = parent[d]
+        return d
+
+    for r in found.collect():
+        parent[find(own[r.a])] = find(own[r.b])
+    by = defaultdict(set)
+    for d in parent:
+        by[find(d)].add(d)
+    return {frozenset(x) for x in by.values()}
+
+
+def around(seed: int, members: int, outliers: int) -> list[str]:
+    """A text, members near to it, and outliers each near to one member only."""
+    r, base, out = np.random.default_rng(seed), prose(seed, 200), []
+
+    def edited(w, places):
+        w = list(w)
+        for at in places:
+            w[at] = f"x{r.integers(10**9)}"
+        return w
+
+    own = [r.permutation(np.arange(5, 195, 5)) for _ in range(members)]
+    near = [edited(base, p[:2]) for p in own]
+    out = [base, *near, *(edited(near[i], own[i][2:5]) for i in range(outliers))]
+    return [" ".join(w) for w in out]
+
+
+def test_large_buckets_go_on_until_no_row_is_open(spark):
+    """Texts near to their neighbours only, in one large bucket: more than a few leaders are needed."""
+    assert linked(spark, drifting(40, 60), [7]) == {frozenset(range(60))}
+
+
 def test_near_copies_edges(odd, empty):
     got = icws.near_duplicates(odd).collect()
     assert len(got) == 9 and sum(x.kept for x in got) == 6
