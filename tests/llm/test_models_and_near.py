@@ -184,6 +184,11 @@ def test_large_buckets_go_on_until_no_row_is_open(spark):
     assert linked(spark, drifting(40, 60), [7]) == {frozenset(range(60))}
 
 
+def test_open_rows_meet_settled_members(spark):
+    """Several outliers, each near to one settled member only, in two large buckets of the same rows."""
+    assert linked(spark, around(41, 40, 8), [7, 8]) == {frozenset(range(49))}
+
+
 def test_near_copies_edges(odd, empty):
     got = icws.near_duplicates(odd).collect()
     assert len(got) == 9 and sum(x.kept for x in got) == 6
