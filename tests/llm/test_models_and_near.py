@@ -189,6 +189,11 @@ def test_open_rows_meet_settled_members(spark):
     assert linked(spark, around(41, 40, 8), [7, 8]) == {frozenset(range(49))}
 
 
+def test_last_open_row_of_a_bucket_meets_all_members(spark):
+    for seed in (42, 43):
+        assert linked(spark, around(seed, 30, 1), [7]) == {frozenset(range(32))}
+
+
 def test_near_copies_edges(odd, empty):
     got = icws.near_duplicates(odd).collect()
     assert len(got) == 9 and sum(x.kept for x in got) == 6
