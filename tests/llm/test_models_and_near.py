@@ -276,6 +276,18 @@ def test_passages_against_brute_force(spark):
             assert abs(x.start_word - a) <= 12 and abs(x.end_word - b) <= 12
 
 
+def test_passages_at_the_thresholds(spark):
+    """50 words, one of them replaced in the middle (41 of 51 shingles): 0.993 of the pairs are expected."""
+    rows = []
+    for k in range(150):
+        one = prose(3000 + k, 50)
+        for side, own in enumerate((one, [*one[:25], f"x{k}", *one[26:]])):
+            rows.append((2 * k + side, " ".join([*prose(5000 + 2 * k + side, 60), *own, *prose(7000 + 2 * k + side, 60)]), None, None, 0, None))
+    got = {frozenset((x.doc_id, x.partner_id)) for x in windows.repeated_passages(spark.createDataFrame(rows, SCHEMA)).collect()}
+    want = {frozenset((2 * k, 2 * k + 1)) for k in range(150)}
+    assert got <= want and len(got) >= 146
+
+
 def test_passages_edges(odd, empty):
     got = windows.repeated_passages(odd).collect()
     assert {(x.doc_id, x.partner_id) for x in got} == {(4, 4)}
