@@ -436,6 +436,19 @@ def test_quality_keeps_trusted_and_drops_junk(spark):
     assert np.mean(good) > 0.97 and np.mean(bad) < 0.5
 
 
+def test_every_trusted_row_trains_or_sets_thresholds(spark):
+    """A language with 40 trusted rows beside one with 400 has its own threshold, over all rows not trained on."""
+    r = np.random.default_rng(6)
+    rows = [(i, " ".join(f"a{k}" for k in r.zipf(1.5, 40) % 50), "aa") for i in range(400)]
+    rows += [(1000 + i, " ".join(f"b{k}" for k in r.integers(0, 2000, 40)), "bb") for i in range(40)]
+    rows += [(2000 + i, " ".join(f"c{k}" for k in r.integers(0, 2000, 40)), "cc") for i in range(4)]  # too few: the threshold of all
+    labels = spark.createDataFrame([(i, 1, 0) for i, *_ in rows], "doc_id long, quality int, toxic int")
+    got = kneser.classify(spark.createDataFrame(rows, "doc_id long, text string, lang string"), labels).collect()
+    limit = {x.lang: x.threshold for x in got}
+    assert len(set(limit.values())) == 3
+    assert sum(x.kept for x in got if x.lang == "bb") == 40 and np.mean([x.kept for x in got]) > 0.97
+
+
 def test_quality_edges(spark, odd, empty):
     labels = spark.createDataFrame([(4, 1, 0), (4, 1, 0), (2, 1, None), (None, 1, 0), (5, 0, 1)], "doc_id long, quality int, toxic int")
     assert kneser.classify(odd, labels).count() == 9 and kneser.classify(empty, labels).count() == 0
