@@ -6,6 +6,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -240,6 +241,16 @@ def test_windows_stop_at_fences():
     assert got == want
 
 
+def test_windows_of_a_text_longer_than_its_places(monkeypatch):
+    """Each run of the shortest length lies in a window of its minimum, behind 2 ** _POSITION too."""
+    monkeypatch.setattr(windows, "_POSITION", 10)
+    text = " ".join(f"w{i}" for i in range(5000))
+    batch = pa.RecordBatch.from_pydict({"node": [1], "text": [text]})
+    for got in windows._windows(iter([batch]), 46):
+        left, right = got.column("at").to_numpy() >> 32, got.column("r").to_numpy()
+        assert all(((left <= i) & (i + 45 <= right)).any() for i in range(5000 - 4 - 45)) and right.max() < 4996
+
+
 def test_stretches():
     m = np.array([1] * 10 + [0] * 30 + [1] * 8 + [0] + [1] * 8, dtype=float)
     assert sorted(windows.stretches(m, 8, 0.8)) == [(0, 10), (40, 57)]
