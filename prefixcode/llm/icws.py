@@ -13,11 +13,13 @@ with the smallest c / exp(r (t - b) + r). Two texts draw the same sample with a
 their similarity. Bands of samples give buckets. A small bucket is compared all with all. In a large
 one leaders, drawn by hash, meet all members that aren't in their class yet, then classes are made anew
 from the links, then rows outside the largest class of the bucket that haven't led yet give the next
-leaders, twice as many each turn, until there are none. So any two texts that share a bucket were
-compared or are in one class, and classes are those of all pairs in all buckets. Work is in proportion
-to a bucket's rows times those outside its largest class; leaders travel in packs, and pairs are
-screened where the packs meet the members. Sample agreement screens pairs, then the exact similarity
-of the whole texts decides. Classes are connected components.
+leaders, sixteen times as many each turn, until there are none. So any two texts that share a bucket
+were compared or are in one class, and classes are those of all pairs in all buckets. Work is in
+proportion to a bucket's rows times those outside its largest class, in arithmetic; rows moved are a
+bucket's rows times its packs of leaders, as leaders are held in a task and members stream by, first
+with their sample bytes, then, those that may be near, with their texts. Sample agreement screens
+pairs, then the exact similarity of the whole texts decides. Of the links found in one task those that
+join classes are kept: classes are connected components, so the others change nothing.
 
 Cases: null text is empty; texts without words resemble only their exact copies; a text of fewer
 than five words is one shingle; exact copies share a class and are compared once; a null doc_id is
@@ -41,15 +43,17 @@ from prefixcode.llm.components import components
 
 WORDS = 5
 SIMILAR = 0.8
-BANDS, ROWS = 12, 3
+BANDS, ROWS = 12, 4
 HASHES = BANDS * ROWS
 RARE = 0.01
 WIDTH = 1 << 20
 CHUNK = 1 << 14
 #: Pairs with fewer agreeing samples aren't compared: 5 standard deviations below the mean at 0.8.
-AGREE = 17
-#: About so many leaders of a bucket travel in one row.
-PACK = 8
+AGREE = int(SIMILAR * HASHES - 5 * math.sqrt(SIMILAR * (1 - SIMILAR) * HASHES))
+#: So many leaders' sample bytes are held at once, and met by shares of about so many members.
+LEADERS = MEMBERS = 1024
+#: Leaders whose texts are held at once: about so many, of about so many bytes in all (or one).
+PACK, PACK_BYTES = 64, 4 << 20
 #: A bucket of no more than this is compared all with all.
 FEW = 16
 SEED = 0x1C35
@@ -201,19 +205,12 @@ def signed(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
 
 # ---------------------------------------------------------------- pairs
 def _agree(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs of different classes whose samples agree often enough. Rows: leads (a, p, ca), b, q, cb."""
+    """Pairs (a, p, b, q) whose samples agree often enough."""
     for whole in batches:
-        for start in range(0, whole.num_rows, 512):
-            batch = whole.slice(start, 512)
-            lists = batch.column("leads")
-            lead = pa.compute.list_flatten(lists)
-            at = np.repeat(np.arange(batch.num_rows), pa.compute.list_value_length(lists).to_numpy(zero_copy_only=False))
-            x, y = (np.frombuffer(b"".join(c.to_pylist()), dtype=np.uint8).reshape(-1, HASHES) for c in (pa.compute.struct_field(lead, "p"), batch.column("q")))
-            a, ca = (pa.compute.struct_field(lead, c).to_numpy(zero_copy_only=False) for c in ("a", "ca"))
-            b, cb = (batch.column(c).to_numpy(zero_copy_only=False)[at] for c in ("b", "cb"))
-            good = np.flatnonzero(ca != cb)
-            good = good[(x[good] == y[at[good]]).sum(axis=1) >= AGREE]
-            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a[good], b[good])), pa.array(np.maximum(a[good], b[good]))], names=["a", "b"])
+        for start in range(0, whole.num_rows, 4096):
+            batch = whole.slice(start, 4096)
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), dtype=np.uint8).reshape(-1, HASHES) for c in ("p", "q"))
+            yield batch.select(["a", "b"]).filter(pa.array((x == y).sum(axis=1) >= AGREE))
 
 
 def _verify(batches: Iterator[pa.RecordBatch], idf: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -231,6 +228,153 @@ def _verify(batches: Iterator[pa.RecordBatch], idf: np.ndarray) -> Iterator[pa.R
         yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=["a", "b", "sim"])
 
 
+def _groups(batches: Iterator[pa.RecordBatch], by: list[str]) -> Iterator[tuple[bool, pa.RecordBatch]]:
+    """(whether a group begins, its rows of one kind) of batches sorted by group, then kind (0 leads, 1 follows)."""
+    last = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        key = np.stack([batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in [*by, "kind"]])
+        edge = np.concatenate(([0], np.flatnonzero((key[:, 1:] != key[:, :-1]).any(axis=0)) + 1, [batch.num_rows]))
+        for start, end in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+            group = tuple(key[:-1, start].tolist())
+            yield group != last, batch.slice(start, end - start)
+            last = group
+
+
+def _prints(part: pa.RecordBatch) -> np.ndarray:
+    return np.frombuffer(b"".join(part.column("print").to_pylist()), dtype=np.uint8).reshape(-1, HASHES)
+
+
+def _screen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Leaders of a bucket, then its members: for every member the leaders of another class whose
+    samples agree often enough, by the pack they travel in. No more than LEADERS leaders are held."""
+    held: list[pa.RecordBatch] = []
+    lead = None
+    for begins, part in _groups(batches, ["k", "pack", "salt"]):
+        if begins:
+            held, lead = [], None
+        if part.column("kind")[0].as_py() == 0:
+            held.append(part)
+            continue
+        if not held:
+            continue
+        if lead is None:
+            own = [(r["home"], r["sub"]) for x in held for r in x.select(["home", "sub"]).to_pylist()]
+            packs = {v: i for i, v in enumerate(dict.fromkeys(own))}
+            ids, cls = (np.concatenate([x.column(c).to_numpy() for x in held]) for c in ("node", "c"))
+            lead = ids, cls, np.concatenate([_prints(x) for x in held]), np.array([packs[v] for v in own]), np.array(list(packs), dtype=np.int64)
+        ids, cls, prints, code, packs = lead
+        step = max(1, (1 << 13) // len(ids))
+        for start in range(0, part.num_rows, step):
+            some = part.slice(start, step)
+            node, c, q = some.column("node").to_numpy(), some.column("c").to_numpy(), _prints(some)
+            good = (c[:, None] != cls[None, :]) & ((q[:, None, :] == prints[None, :, :]).sum(axis=2, dtype=np.int16) >= AGREE)
+            i, j = np.nonzero(good)
+            if not len(i):
+                continue
+            to = i * len(packs) + code[j]
+            order = np.argsort(to, kind="stable")
+            at = np.flatnonzero(np.diff(to[order], prepend=-1))
+            i, j = i[order], j[order]
+            leads = pa.ListArray.from_arrays(pa.array(np.append(at, len(j)), pa.int32()), pa.array(ids[j]))
+            pack = packs[code[j[at]]]
+            yield pa.RecordBatch.from_arrays([pa.array(node[i[at]]), pa.array(c[i[at]]), pa.array(pack[:, 0]), pa.array(pack[:, 1]), leads], names=["node", "c", "home", "sub", "leads"])
+
+
+class _Pack:
+    """Leaders held in one task: similarities of one text with many of them at once."""
+
+    def __init__(self, ids: list[int], found: list[tuple[np.ndarray, np.ndarray]]):
+        self.place = {a: i for i, a in enumerate(ids)}
+        self.found = found
+        sizes = np.array([len(x) for x, _ in found])
+        self.some = np.flatnonzero(sizes)
+        self.starts = np.concatenate(([0], np.cumsum(sizes[self.some])[:-1])).astype(np.int64)
+        self.words, at = np.unique(np.concatenate([x for x, _ in found]), return_inverse=True)
+        self.at, self.w = at, np.concatenate([w for _, w in found])
+        self.total = np.array([float(w.sum(dtype=np.float64)) for _, w in found])
+        self.dense = np.zeros(len(self.words), dtype=np.float32)
+
+    def similarities(self, own: tuple[np.ndarray, np.ndarray], places: list[int]) -> np.ndarray:
+        if not len(own[0]) or not len(self.words):
+            return np.zeros(len(places))
+        if len(places) * 8 < len(self.found):
+            return np.array([similarity(self.found[i], own) for i in places])
+        spot = np.searchsorted(self.words, own[0])
+        spot[spot == len(self.words)] = 0
+        same = self.words[spot] == own[0]
+        spot = spot[same]
+        self.dense[spot] = own[1][same]
+        low = np.zeros(len(self.found))
+        low[self.some] = np.add.reduceat(np.minimum(self.dense[self.at], self.w), self.starts, dtype=np.float64)
+        self.dense[spot] = 0
+        low = low[places]
+        return low / (self.total[places] + float(own[1].sum(dtype=np.float64)) - low)
+
+
+def _confirm(batches: Iterator[pa.RecordBatch], idf: np.ndarray, similar: float) -> Iterator[pa.RecordBatch]:
+    """Leaders with their texts, then members with theirs and the leaders to compare with: links that
+    join classes which no link before them in this group has joined."""
+    hasher = TokenHasher()
+    held: list[tuple[int, int, np.ndarray, np.ndarray]] = []
+    pack, over = None, {}
+
+    def top(c: int) -> int:
+        while over.get(c, c) != c:
+            over[c] = c = over.get(over[c], over[c])
+        return c
+
+    for begins, whole in _groups(batches, ["home", "sub", "salt"]):
+        if begins:
+            held, pack, over = [], None, {}
+        leads = whole.column("kind")[0].as_py() == 0
+        for part in slices(iter([whole]), "t", most_bytes=1 << 20, most_rows=512):
+            ids, cls = part.column("node").to_pylist(), part.column("c").to_pylist()
+            found = [(s[0], weights(s, idf)) for s in shingles(part.column("t").to_pylist(), hasher)]
+            if leads:
+                held += [(a, c, *s) for a, c, s in zip(ids, cls, found, strict=True)]
+                continue
+            if pack is None:
+                pack = _Pack([x[0] for x in held], [(x[2], x[3]) for x in held])
+            out = []
+            for b, cb, own, wanted in zip(ids, cls, found, part.column("leads").to_pylist(), strict=True):
+                places = [pack.place[a] for a in wanted]
+                for i, sim in zip(places, pack.similarities(own, places).tolist(), strict=True):
+                    if sim >= similar and (x := top(held[i][1])) != (y := top(cb)):
+                        over[x] = y
+                        out.append((min(held[i][0], b), max(held[i][0], b), sim))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=["a", "b", "sim"])
+
+
+def _meet(state: DataFrame, lead: DataFrame, texts: DataFrame, idf: np.ndarray, similar: float, label: str) -> DataFrame:
+    """Links between leaders (k, node, print, c) and all members of their buckets, as far as they join classes.
+
+    Leaders and members stream through (bucket, pack of leaders, share of members), first by their
+    sample bytes; then those that may be near, each text once for a pack, with whole texts. What a
+    task holds is one pack.
+    """
+    homes = lead.groupBy("node").agg(F.min("k").alias("home"), F.first("c").alias("c")).join(texts.select("node", "size"), "node")
+    rooms = homes.groupBy("home").agg(F.expr(f"greatest((count(1) + {PACK - 1}) div {PACK}, sum(size) div {PACK_BYTES} + 1)").alias("subs"))
+    homes = cut(homes.join(rooms, "home").select("node", "home", F.expr("pmod(xxhash64(node), subs)").alias("sub"), "c"), f"near-homes{label}")
+    led = lead.groupBy("k").agg(F.expr(f"(count(1) + {LEADERS - 1}) div {LEADERS}").alias("packs"))
+    sizes = state.groupBy("k").agg(F.expr(f"(count(1) + {MEMBERS - 1}) div {MEMBERS}").alias("salts")).join(led, "k")
+    first = lead.join(homes.select("node", "home", "sub"), "node").join(sizes, "k")
+    first = first.select("k", F.expr("pmod(xxhash64(node, 1), packs)").alias("pack"), F.explode(F.expr("sequence(0L, salts - 1)")).alias("salt"), F.lit(0).alias("kind"), "node", "print", "c", "home", "sub")
+    then = state.join(sizes, "k")
+    then = then.select("k", F.explode(F.expr("sequence(0L, packs - 1)")).alias("pack"), F.expr("pmod(xxhash64(node, 2), salts)").alias("salt"), F.lit(1).alias("kind"), "node", "print", "c", F.lit(0).cast("long").alias("home"), F.lit(0).cast("long").alias("sub"))
+    dealt = first.unionByName(then).repartition("k", "pack", "salt").sortWithinPartitions("k", "pack", "salt", "kind")
+    near = dealt.mapInArrow(_screen, "node long, c long, home long, sub long, leads array<long>")
+    met = cut(near.groupBy("home", "sub", "node", "c").agg(F.array_distinct(F.flatten(F.collect_list("leads"))).alias("leads")), f"near-met{label}")
+    salts = met.groupBy("home", "sub").agg(F.expr(f"(count(1) + {MEMBERS - 1}) div {MEMBERS}").alias("salts"))
+    full = texts.select("node", "t")
+    first = homes.join(salts, ["home", "sub"]).join(full, "node").select("home", "sub", F.explode(F.expr("sequence(0L, salts - 1)")).alias("salt"), F.lit(0).alias("kind"), "node", "c", F.lit(None).cast("array<long>").alias("leads"), "t")
+    then = met.join(salts, ["home", "sub"]).join(full, "node").select("home", "sub", F.expr("pmod(xxhash64(node, 3), salts)").alias("salt"), F.lit(1).alias("kind"), "node", "c", "leads", "t")
+    dealt = first.unionByName(then).repartition("home", "sub", "salt").sortWithinPartitions("home", "sub", "salt", "kind")
+    return cut(dealt.mapInArrow(lambda x: _confirm(x, idf, similar), "a long, b long, sim double"), f"near-links{label}")
+
+
 def links(rows: DataFrame, idf: np.ndarray, similar: float = SIMILAR) -> tuple[DataFrame, DataFrame]:
     """(nodes, links). nodes: node and digest of each distinct text; links: a, b, sim."""
     first = F.min(F.struct(F.col(_ROW).alias("node"), F.col(_BANDS).alias("bands"), F.col(_PRINT).alias("print")))
@@ -239,58 +383,44 @@ def links(rows: DataFrame, idf: np.ndarray, similar: float = SIMILAR) -> tuple[D
     full = buckets.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     todo = cut(buckets.join(full, "k"), "near-buckets")
     wanted = todo.select(F.col("node").alias(_ROW)).distinct()
-    texts = cut(only_of(rows.select(_ROW, _TEXT), wanted, _ROW).select(F.col(_ROW).alias("node"), F.col(_TEXT).alias("t")), "near-texts")
+    texts = cut(only_of(rows.select(_ROW, _TEXT), wanted, _ROW).select(F.col(_ROW).alias("node"), F.col(_TEXT).alias("t"), F.octet_length(_TEXT).cast("long").alias("size")), "near-texts")
     release(rows.sparkSession)
-    found = None
-
-    def compare(met: DataFrame, label: str) -> None:
-        """Screen rows (leads, b, q, cb) and compare the pairs that are new."""
-        nonlocal found
-        pairs = met.select("leads", "b", "q", "cb").mapInArrow(_agree, "a long, b long").distinct()
-        if found is not None:
-            pairs = pairs.join(found.select("a", "b"), ["a", "b"], "left_anti")
-        both = pairs.join(texts.select(F.col("node").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("t").alias("tb")), "b")
-        new = cut(both.select("a", "b", "ta", "tb").mapInArrow(lambda x: _verify(x, idf), "a long, b long, sim double"), f"near-pairs{label}")
-        found = new if found is None else found.unionAll(new)
-
-    few = todo.where(F.col("n") <= FEW).drop("n")
-    own = F.array(F.struct(F.col("node").alias("a"), F.col("print").alias("p"), F.col("node").alias("ca"))).alias("leads")
-    other = few.select("k", F.col("node").alias("b"), F.col("print").alias("q"), F.col("node").alias("cb"))
-    compare(few.select("k", "node", own).join(other, "k").where("node < b"), "few")
+    few = todo.where(F.col("n") <= FEW)
+    one, other = (few.select("k", F.col("node").alias(x), F.col("print").alias(y)) for x, y in (("a", "p"), ("b", "q")))
+    pairs = one.join(other, "k").where("a < b").drop("k").mapInArrow(_agree, "a long, b long").distinct()
+    both = pairs.join(texts.select(F.col("node").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("t").alias("tb")), "b")
+    compared = cut(both.select("a", "b", "ta", "tb").mapInArrow(lambda x: _verify(x, idf), "a long, b long, sim double"), "near-pairs")
+    found = compared.where(F.col("sim") >= similar)
     members = cut(todo.where(F.col("n") > FEW).select("k", "node", "print"), "near-large")
     led, turn = None, 0
     while True:
-        part = components(found.where(F.col("sim") >= similar), f"near-part{turn}")
+        part = components(found, f"near-part{turn}")
         state = cut(members.join(part, "node", "left").select("k", "node", "print", F.coalesce("component", "node").alias("c")), f"near-state{turn}")
         main = state.groupBy("k", "c").agg(F.count(F.lit(1)).alias("n")).groupBy("k").agg(F.max(F.struct("n", "c")).alias("m")).select("k", F.col("m.c").alias("main"))
-        open_ = state.join(main, "k").where("c <> main").select("k", "node", "print", "c", F.xxhash64(F.lit(turn), "k", "node").alias("h"))
+        open_ = state.join(main, "k").where("c <> main").select("k", "node", "print", "c", F.xxhash64(F.lit(turn), "node").alias("h"))
         if led is not None:
             open_ = open_.join(led, ["k", "node"], "left_anti")
         open_ = cut(open_, f"near-open{turn}")
-        crowd = open_.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.min("h").alias("least"))
         if not open_.limit(1).count():
-            break
-        # about 2 ** turn of a bucket's open rows, and one at least
-        lead = cut(open_.join(crowd, "k").where(f"h = least or pmod(h, greatest(1, shiftright(n, {min(turn, 62)}))) = 0"), f"near-lead{turn}")
-        packs = lead.groupBy("k", F.expr(f"pmod(shiftright(h, 20), greatest(1, least(n, shiftleft(1L, {min(turn, 40)})) div {PACK}))").alias("pack"))
-        packs = packs.agg(F.collect_list(F.struct(F.col("node").alias("a"), F.col("print").alias("p"), F.col("c").alias("ca"))).alias("leads"))
-        compare(state.select("k", F.col("node").alias("b"), F.col("print").alias("q"), F.col("c").alias("cb")).join(packs, "k"), str(turn))
+            return nodes, found
+        # about 4 * 16 ** turn of a bucket's open rows, and one at least
+        crowd = open_.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.min("h").alias("least"))
+        lead = cut(open_.join(crowd, "k").where(f"h = least or pmod(h, greatest(1, shiftright(n, {min(4 * turn + 2, 62)}))) = 0").select("k", "node", "print", "c"), f"near-lead{turn}")
+        found = found.unionAll(_meet(state, lead, texts, idf, similar, str(turn)))
         now = lead.select("k", "node")
         led = now if led is None else led.unionAll(now)
         turn += 1
-    return nodes, found.where(F.col("sim") >= similar)
 
 
 # ---------------------------------------------------------------- classes
 def classes(docs: DataFrame, similar: float = SIMILAR) -> tuple[DataFrame, DataFrame]:
     """(signed rows, their classes): __x_row, __x_class (a number), __x_stays, __x_class_id (doc_id of the
-    row that stays, the largest of the class), __x_size and __x_links (of its text)."""
+    row that stays, the largest of the class) and __x_size."""
     rows, idf = signed(docs)
     nodes, found = links(rows, idf, similar)
     found = cut(found, "near-links")
     part = components(found, "near")
-    degree = found.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("__x_links"))
-    labelled = cut(nodes.select("digest", "node").join(part, "node", "left").join(degree, "node", "left").select("digest", F.coalesce("component", "node").alias("__x_class"), F.coalesce("__x_links", F.lit(0)).alias("__x_links")), "near-labels")
+    labelled = cut(nodes.select("digest", "node").join(part, "node", "left").select("digest", F.coalesce("component", "node").alias("__x_class")), "near-labels")
     slim = cut(rows.select(_ROW, F.col("doc_id").cast("long").alias("__x_id"), F.col(_KEY).alias("digest")).join(labelled, "digest").drop("digest"), "near-rows")
     heads = slim.groupBy("__x_class").agg(F.max(F.struct("__x_id", F.col(_ROW).alias("r"))).alias("m"), F.count(F.lit(1)).alias("__x_size"))
     heads = heads.select("__x_class", "__x_size", F.col("m.__x_id").alias("__x_class_id"), F.col("m.r").alias("__x_head"))
@@ -299,9 +429,9 @@ def classes(docs: DataFrame, similar: float = SIMILAR) -> tuple[DataFrame, DataF
 
 
 def near_duplicates(docs: DataFrame, similar: float = SIMILAR) -> DataFrame:
-    """One row per document: doc_id, class_id, class_size, kept, n_links."""
+    """One row per document: doc_id, class_id, class_size, kept."""
     _, own = classes(docs.select("doc_id", "text"), similar)
-    return own.select(F.col("__x_id").alias("doc_id"), F.col("__x_class_id").alias("class_id"), F.col("__x_size").alias("class_size"), F.col("__x_stays").alias("kept"), F.col("__x_links").alias("n_links"))
+    return own.select(F.col("__x_id").alias("doc_id"), F.col("__x_class_id").alias("class_id"), F.col("__x_size").alias("class_size"), F.col("__x_stays").alias("kept"))
 
 
 def representatives(docs: DataFrame, similar: float = SIMILAR) -> DataFrame:
