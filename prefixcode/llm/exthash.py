@@ -11,6 +11,8 @@
    holds one hash value's chain at a time: each distinct text with that hash is one link, found by
    comparing bytes, so colliding hashes never merge different texts. A bucket that stays overfull at
    the greatest depth is simply read on in order, page after page.
+   A text with very many representatives (copies all over the corpus) is folded in shares first,
+   also by comparing bytes, so its owner gets one for each share.
 4. The owner's verdict for each representative (who stays, how many rows) joins the rows by the
    representative's number, which at most one window of rows shares: no key is hot.
 
@@ -36,7 +38,11 @@ MAX_DEPTH = 16
 BUCKET_BYTES = 4 << 20
 #: Rows collapsed together in a scan task hold at most so many bytes of text.
 WINDOW_BYTES = 24 << 20
+#: Representatives of one hash that go to its owner as they are.
+HOT = 1024
 _HASH, _REP, _IS, _SHA, _N, _ID, _TEXT = "__x_hash", "__x_rep", "__x_is_rep", "__x_sha", "__x_rows", "__x_id", "__x_text"
+_BUCKET, _ENTRY, _SALT = "__x_bucket", "__x_entry", "__x_salt"
+_VERDICT = "__x_v_rep long, __x_v_keep long, __x_v_size long, __x_v_stays boolean"
 
 
 def split_directory(sizes: dict[int, int], depth: int = MAX_DEPTH, most: int = BUCKET_BYTES) -> tuple[int, list[int]]:
@@ -161,6 +167,49 @@ def _chain(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pack(out)
 
 
+def _fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Representatives of a share of a hot hash, in order of hash: equal texts, compared by bytes, become
+    one, the row that stays of them, with the rows of all. Gives what each was folded into."""
+    names = [_REP, _HASH, _ID, _N, "__x_into"]
+    now, chain = None, {}
+
+    def done(h: tuple) -> Iterator[pa.RecordBatch]:
+        for reps in chain.values():
+            best = max(reps, key=lambda r: (r[1] is not None, r[1] if r[1] is not None else 0, -r[0]))
+            total = sum(r[2] for r in reps)
+            rows = [(r[0], h[0], r[1], total if r[0] == best[0] else 0, best[0]) for r in reps]
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], names=names)
+
+    for batch in slices(batches, _TEXT):
+        for h, salt, text, rep, doc_id, n in zip(*(batch.column(c).to_pylist() for c in (_HASH, _SALT, _TEXT, _REP, _ID, _N)), strict=True):
+            if (h, salt) != now:
+                if chain:
+                    yield from done(now)
+                now, chain = (h, salt), {}
+            chain.setdefault(text, []).append((rep, doc_id, n))
+    if chain:
+        yield from done(now)
+
+
+def _fold_hot(rows: DataFrame, reps: DataFrame, hot: int | None = None) -> tuple[DataFrame, DataFrame | None]:
+    """Hashes with more than HOT representatives are folded in shares first, so that an owner gets one
+    for each share, not one for each window of rows. Gives the representatives left, and those folded
+    (their number and __x_into). Without hot hashes nothing is moved."""
+    hot = hot or HOT
+    many = reps.groupBy(F.col(_HASH).alias("__x_hot")).agg(F.count(F.lit(1)).alias("__x_many")).where(F.col("__x_many") > hot)
+    many = cut(many, "dedup-hot")
+    if not many.limit(1).count():
+        return reps, None
+    salt = F.pmod(F.xxhash64(_REP), F.expr(f"(__x_many + {hot - 1}) div {hot}")).alias(_SALT)
+    shares = reps.join(many, F.col(_HASH) == F.col("__x_hot")).select(_HASH, salt, _TEXT, _REP, _ID, _N)
+    shares = shares.repartition(_HASH, _SALT).sortWithinPartitions(_HASH, _SALT)
+    done = cut(shares.mapInArrow(_fold, f"{_REP} long, {_HASH} long, {_ID} long, {_N} long, __x_into long"), "dedup-folded")
+    lead = done.where(F.col(_REP) == F.col("__x_into")).select(F.col(_REP).alias("__x_lead"), F.col(_N).alias("__x_all"))
+    folded = done.where(F.col(_REP) != F.col("__x_into")).select(_REP, "__x_into")
+    left = reps.join(folded.select(_REP), _REP, "left_anti").join(lead, F.col(_REP) == F.col("__x_lead"), "left")
+    return left.withColumn(_N, F.coalesce("__x_all", _N)).drop("__x_lead", "__x_all"), folded
+
+
 def index(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(rows, verdicts).
 
@@ -176,17 +225,21 @@ def index(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     rows = cut(plain.mapInArrow(lambda b: _collapse(b, names), schema), "dedup-rows")
     reps = rows.where(F.col(_IS))
     prefix = F.shiftrightunsigned(F.col(_HASH).bitwiseXOR(F.lit(-(1 << 63))), 64 - MAX_DEPTH)
+    reps, folded = _fold_hot(rows, reps)
     load = reps.groupBy(prefix.alias("p")).agg(F.sum(F.octet_length(_TEXT) + 64).alias("n")).collect()  # at most 2**MAX_DEPTH rows
     depth, directory = split_directory({r["p"]: r["n"] for r in load})
     numbers = F.array(*map(F.lit, directory)) if len(directory) <= 64 else None
     entry = F.shiftrightunsigned(F.col(_HASH).bitwiseXOR(F.lit(-(1 << 63))), 64 - depth) if depth else F.lit(0).cast("long")
     if numbers is not None:
-        dealt = reps.withColumn("__bucket", F.element_at(numbers, (entry + 1).cast("int")))
+        dealt = reps.withColumn(_BUCKET, F.element_at(numbers, (entry + 1).cast("int")))
     else:
-        known = spark.createDataFrame(list(enumerate(directory)), "__entry long, __bucket int")
-        dealt = reps.withColumn("__entry", entry).join(F.broadcast(known), "__entry")  # at most 2**MAX_DEPTH rows
-    owned = dealt.select("__bucket", _HASH, _TEXT, _REP, _ID, _N).repartition("__bucket").sortWithinPartitions("__bucket", _HASH)
-    verdicts = cut(owned.drop("__bucket").mapInArrow(_chain, "__x_v_rep long, __x_v_keep long, __x_v_size long, __x_v_stays boolean"), "dedup-verdicts")
+        known = spark.createDataFrame(list(enumerate(directory)), f"{_ENTRY} long, {_BUCKET} int")
+        dealt = reps.withColumn(_ENTRY, entry).join(F.broadcast(known), _ENTRY)  # at most 2**MAX_DEPTH rows
+    owned = dealt.select(_BUCKET, _HASH, _TEXT, _REP, _ID, _N).repartition(_BUCKET).sortWithinPartitions(_BUCKET, _HASH)
+    verdicts = cut(owned.drop(_BUCKET).mapInArrow(_chain, _VERDICT), "dedup-verdicts")
+    if folded is not None:  # a folded representative has the verdict of the one that it was folded into
+        theirs = folded.join(verdicts.withColumnRenamed("__x_v_rep", "__x_into"), "__x_into").select(F.col(_REP).alias("__x_v_rep"), "__x_v_keep", "__x_v_size", F.lit(False).alias("__x_v_stays"))
+        verdicts = cut(verdicts.unionByName(theirs), "dedup-all-verdicts")
     return rows, verdicts
 
 

@@ -6,8 +6,8 @@ a language's prototype those of its documents. A text gets the language whose pr
 largest cosine with its vector, after the mean prototype, which all languages share, is taken off
 prototypes.
 
-The vector of a batch's distinct n-grams is made once; bundling is then a product of the documents'
-n-gram counts with it. Letters are Unicode letters, lower-cased one by one; all else is one blank.
+The vector of a part's distinct n-grams is made once; bundling is then a product of the documents'
+n-gram counts with it, some n-grams at a time. Letters are Unicode letters, lower-cased one by one; all else is one blank.
 Training sends one count for each language and n-gram from a task; prototypes are a few KB.
 
 Cases: null, empty or letterless text gives ``und`` with score 0; a language label that is null is
@@ -32,6 +32,9 @@ from prefixcode.llm.common import mix64, slices, table, whole_text
 DIM = 512
 N = 3
 BLANK = 0x20
+#: Letters coded at once, and n-grams whose vectors are held at once: memory follows these, not texts.
+PART = 1 << 19
+GRAMS = 1 << 13
 
 
 @lru_cache(maxsize=1)
@@ -64,24 +67,43 @@ def gram_vectors(grams: np.ndarray) -> np.ndarray:
     return out
 
 
-def counts(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(grams, matrix of documents x grams, letters of each document)."""
+def _parts(texts: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(symbols, which text each is of), at most about PART of them at a time; a run of blanks is one
+    blank. A part that goes on with a text repeats its last N - 1 symbols, so no n-gram is lost."""
     table_ = _letters()
-    coded = [table_[np.frombuffer(f" {t} ".encode("utf-32-le", "surrogatepass"), dtype=np.uint32)] for t in texts]
-    flat = np.concatenate(coded)
-    sizes = np.array([len(c) for c in coded])
-    doc = np.repeat(np.arange(len(coded)), sizes)
-    keep = np.ones(len(flat), dtype=bool)  # a run of blanks is one blank
-    keep[1:] = (flat[1:] != BLANK) | (flat[:-1] != BLANK) | (doc[1:] != doc[:-1])
-    flat, doc = flat[keep], doc[keep]
-    has = np.bincount(doc[flat != BLANK], minlength=len(coded))
+    held: list[np.ndarray] = []
+    owner: list[np.ndarray] = []
+    room = PART
+    for k, text in enumerate(texts):
+        before = np.zeros(0, dtype=np.uint32)
+        for at in range(0, max(1, len(text)), PART):
+            some = text[at : at + PART]
+            some = (" " if not at else "") + some + (" " if at + PART >= len(text) else "")
+            now = np.concatenate((before, table_[np.frombuffer(some.encode("utf-32-le", "surrogatepass"), dtype=np.uint32)]))
+            keep = np.ones(len(now), dtype=bool)
+            keep[1:] = (now[1:] != BLANK) | (now[:-1] != BLANK)
+            now = now[keep]
+            before = now[max(0, len(now) - N + 1) :]
+            if (at or room < len(now)) and held:  # two parts of a text don't stand side by side
+                yield np.concatenate(held), np.concatenate(owner)
+                held, owner, room = [], [], PART
+            held.append(now)
+            owner.append(np.full(len(now), k))
+            room -= len(now)
+    if held:
+        yield np.concatenate(held), np.concatenate(owner)
+
+
+def counts(flat: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of a part: (distinct grams, which one each place holds, which text it is of)."""
     letters, symbol = np.unique(flat, return_inverse=True) if flat.max(initial=0) > 0xFFFF else _small(flat)
     k = len(letters)
-    same = (doc[N - 1 :] == doc[: len(doc) - N + 1])[: max(0, len(flat) - N + 1)]
-    gram = np.zeros(max(0, len(flat) - N + 1), dtype=np.int64)
+    places = max(0, len(flat) - N + 1)
+    same = doc[len(doc) - places :] == doc[:places]
+    gram = np.zeros(places, dtype=np.int64)
     for i in range(N):
         gram = gram * k + symbol[i : len(symbol) - N + 1 + i]
-    gram, doc = gram[same], doc[: len(same)][same]
+    gram, doc = gram[same], doc[:places][same]
     if k**N <= 1 << 18:
         there = np.bincount(gram, minlength=k**N)
         ids = np.flatnonzero(there)
@@ -90,12 +112,34 @@ def counts(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         column = place[gram]
     else:
         ids, column = np.unique(gram, return_inverse=True)
-    matrix = np.bincount(doc * max(1, len(ids)) + column, minlength=len(coded) * len(ids)).reshape(len(coded), len(ids))
     grams = np.empty((len(ids), N), dtype=np.uint32)
     for i in range(N - 1, -1, -1):
         grams[:, i] = letters[ids % k]
         ids = ids // k
-    return grams, matrix, has
+    return grams, column, doc
+
+
+def bundles(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(a bundle for each text, how many letters it has). Vectors of GRAMS n-grams at a time; all sums
+    are whole numbers, so equal texts get equal bundles however they are cut."""
+    out = np.zeros((len(texts), DIM))
+    has = np.zeros(len(texts), dtype=np.int64)
+    for flat, doc in _parts(texts):
+        has += np.bincount(doc[flat != BLANK], minlength=len(texts))
+        grams, column, doc = counts(flat, doc)
+        if len(grams) <= GRAMS:
+            slots = [(0, column, doc)]
+        else:
+            order = np.argsort(column, kind="stable")
+            column, doc = column[order], doc[order]
+            edges = np.searchsorted(column, np.arange(0, len(grams) + GRAMS, GRAMS))
+            slots = [(i * GRAMS, column[a:b] - i * GRAMS, doc[a:b]) for i, (a, b) in enumerate(zip(edges[:-1], edges[1:], strict=True)) if a < b]
+        for at, col, own in slots:
+            some = grams[at : at + GRAMS]
+            ids, row = np.unique(own, return_inverse=True)
+            matrix = np.bincount(row * len(some) + col, minlength=len(ids) * len(some)).reshape(len(ids), len(some))
+            out[ids] += matrix.astype(np.float32) @ gram_vectors(some)
+    return out, has
 
 
 def _small(flat: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -113,14 +157,11 @@ def _learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     docs: dict[str, int] = {}
     for batch in slices(batches, most_bytes=1 << 20, most_rows=256):
         langs = batch.column("lang").to_pylist()
-        grams, matrix, has = counts(batch.column("text").to_pylist())
-        if not len(grams):
-            continue
-        vectors = gram_vectors(grams)
+        bundle, has = bundles(batch.column("text").to_pylist())
         for lang in set(langs):
             rows = np.array([x == lang for x in langs]) & (has > 0)
             if rows.any():
-                sums[lang] = sums.get(lang, 0) + matrix[rows].sum(axis=0).astype(np.float64) @ vectors
+                sums[lang] = sums.get(lang, 0) + bundle[rows].sum(axis=0)
                 docs[lang] = docs.get(lang, 0) + int(rows.sum())
     if sums:
         yield pa.RecordBatch.from_arrays([pa.array(list(sums)), pa.array([docs[x] for x in sums]), pa.array([[int(round(v)) for v in sums[x]] for x in sums], pa.list_(pa.int64()))], names=["lang", "docs", "bundle"])
@@ -145,22 +186,20 @@ def learn(labelled: DataFrame) -> dict[str, np.ndarray]:
 def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: list[str]) -> DataFrame:
     """Columns ``keep`` of docs, and lang_pred and score: half of 1 + cosine."""
     names = list(prototypes)
-    matrix_t = np.array([prototypes[x] for x in names], dtype=np.float32).T if names else None
+    matrix_t = np.array([prototypes[x] for x in names], dtype=np.float64).T if names else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "__x_text", most_bytes=1 << 20, most_rows=256):
             texts = batch.column("__x_text").to_pylist()
             lang, score = ["und"] * len(texts), [0.0] * len(texts)
             if matrix_t is not None:
-                grams, matrix, has = counts(texts)
-                if len(grams):
-                    bundle = matrix.astype(np.float32) @ gram_vectors(grams)
-                    norm = np.linalg.norm(bundle, axis=1)
-                    cosine = (bundle @ matrix_t) / np.where(norm > 0, norm, 1)[:, None]
-                    best = cosine.round(5).argmax(axis=1)
-                    for i in np.flatnonzero((has > 0) & (norm > 0)):
-                        lang[i] = names[best[i]]
-                        score[i] = min(1.0, max(0.0, round((1 + float(cosine[i, best[i]])) / 2, 4)))
+                bundle, has = bundles(texts)
+                norm = np.linalg.norm(bundle, axis=1)
+                cosine = (bundle @ matrix_t) / np.where(norm > 0, norm, 1)[:, None]
+                best = cosine.round(5).argmax(axis=1)
+                for i in np.flatnonzero((has > 0) & (norm > 0)):
+                    lang[i] = names[best[i]]
+                    score[i] = min(1.0, max(0.0, round((1 + float(cosine[i, best[i]])) / 2, 4)))
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(lang), pa.array(score)], names=[*keep, "__x_lang", "__x_score"])
 
     plain = docs.select(*[f"`{c}`" for c in keep], whole_text(docs).alias("__x_text"))

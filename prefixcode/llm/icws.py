@@ -343,13 +343,14 @@ def _confirm(batches: Iterator[pa.RecordBatch], idf: np.ndarray, similar: float)
                 for i, sim in zip(places, pack.similarities(own, places).tolist(), strict=True):
                     if sim >= similar and (x := top(held[i][1])) != (y := top(cb)):
                         over[x] = y
-                        out.append((min(held[i][0], b), max(held[i][0], b), sim))
+                        out.append((min(held[i][0], b), max(held[i][0], b), sim, held[i][1], cb))
             if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=["a", "b", "sim"])
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out, strict=True)], names=["a", "b", "sim", "ca", "cb"])
 
 
 def _meet(state: DataFrame, lead: DataFrame, texts: DataFrame, idf: np.ndarray, similar: float, label: str) -> DataFrame:
-    """Links between leaders (k, node, print, c) and all members of their buckets, as far as they join classes.
+    """Links (a, b, sim, and the classes ca, cb that they join) between leaders (k, node, print, c) and all
+    members of their buckets.
 
     Leaders and members stream through (bucket, pack of leaders, share of members), first by their
     sample bytes; then those that may be near, each text once for a pack, with whole texts. What a
@@ -372,11 +373,11 @@ def _meet(state: DataFrame, lead: DataFrame, texts: DataFrame, idf: np.ndarray,
     first = homes.join(salts, ["home", "sub"]).join(full, "node").select("home", "sub", F.explode(F.expr("sequence(0L, salts - 1)")).alias("salt"), F.lit(0).alias("kind"), "node", "c", F.lit(None).cast("array<long>").alias("leads"), "t")
     then = met.join(salts, ["home", "sub"]).join(full, "node").select("home", "sub", F.expr("pmod(xxhash64(node, 3), salts)").alias("salt"), F.lit(1).alias("kind"), "node", "c", "leads", "t")
     dealt = first.unionByName(then).repartition("home", "sub", "salt").sortWithinPartitions("home", "sub", "salt", "kind")
-    return cut(dealt.mapInArrow(lambda x: _confirm(x, idf, similar), "a long, b long, sim double"), f"near-links{label}")
+    return cut(dealt.mapInArrow(lambda x: _confirm(x, idf, similar), "a long, b long, sim double, ca long, cb long"), f"near-links{label}")
 
 
 def links(rows: DataFrame, idf: np.ndarray, similar: float = SIMILAR) -> tuple[DataFrame, DataFrame]:
-    """(nodes, links). nodes: node and digest of each distinct text; links: a, b, sim."""
+    """(nodes, links). nodes: node, digest and class of each distinct text; links: a, b, sim."""
     first = F.min(F.struct(F.col(_ROW).alias("node"), F.col(_BANDS).alias("bands"), F.col(_PRINT).alias("print")))
     nodes = cut(rows.groupBy(F.col(_KEY).alias("digest")).agg(first.alias("x")).select("digest", "x.*"), "near-nodes")
     buckets = nodes.select(F.explode("bands").alias("k"), "node", "print")
@@ -391,25 +392,38 @@ def links(rows: DataFrame, idf: np.ndarray, similar: float = SIMILAR) -> tuple[D
     both = pairs.join(texts.select(F.col("node").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("node").alias("b"), F.col("t").alias("tb")), "b")
     compared = cut(both.select("a", "b", "ta", "tb").mapInArrow(lambda x: _verify(x, idf), "a long, b long, sim double"), "near-pairs")
     found = compared.where(F.col("sim") >= similar)
-    members = cut(todo.where(F.col("n") > FEW).select("k", "node", "print"), "near-large")
-    led, turn = None, 0
+    members = todo.where(F.col("n") > FEW).select("k", "node", "print")
+    part = components(found, "near-part")
+    state = cut(members.join(part, "node", "left").select("k", "node", "print", F.coalesce("component", "node").alias("c")), "near-state")
+    led, moved, turn = None, None, 0
     while True:
-        part = components(found, f"near-part{turn}")
-        state = cut(members.join(part, "node", "left").select("k", "node", "print", F.coalesce("component", "node").alias("c")), f"near-state{turn}")
         main = state.groupBy("k", "c").agg(F.count(F.lit(1)).alias("n")).groupBy("k").agg(F.max(F.struct("n", "c")).alias("m")).select("k", F.col("m.c").alias("main"))
         open_ = state.join(main, "k").where("c <> main").select("k", "node", "print", "c", F.xxhash64(F.lit(turn), "node").alias("h"))
         if led is not None:
             open_ = open_.join(led, ["k", "node"], "left_anti")
         open_ = cut(open_, f"near-open{turn}")
         if not open_.limit(1).count():
-            return nodes, found
+            break
         # about 4 * 16 ** turn of a bucket's open rows, and one at least
         crowd = open_.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.min("h").alias("least"))
         lead = cut(open_.join(crowd, "k").where(f"h = least or pmod(h, greatest(1, shiftright(n, {min(4 * turn + 2, 62)}))) = 0").select("k", "node", "print", "c"), f"near-lead{turn}")
-        found = found.unionAll(_meet(state, lead, texts, idf, similar, str(turn)))
+        new = _meet(state, lead, texts, idf, similar, str(turn))
+        found = found.unionAll(new.select("a", "b", "sim"))
+        # only classes that new links join get a new name: the graph is one of classes, not of texts
+        step = components(new.select(F.col("ca").alias("a"), F.col("cb").alias("b")), f"near-step{turn}").select(F.col("node").alias("c"), F.col("component").alias("to"))
+        state = cut(state.join(step, "c", "left").select("k", "node", "print", F.coalesce("to", "c").alias("c")), f"near-state{turn}")
+        if moved is None:
+            moved = step
+        else:
+            on = step.select(F.col("c").alias("to"), F.col("to").alias("last"))
+            moved = cut(moved.join(on, "to", "left").select("c", F.coalesce("last", "to").alias("to")).unionAll(step.join(moved.select("c"), "c", "left_anti").select("c", "to")), f"near-moved{turn}")
         now = lead.select("k", "node")
         led = now if led is None else led.unionAll(now)
         turn += 1
+    named = nodes.select("digest", "node").join(part, "node", "left").select("digest", "node", F.coalesce("component", "node").alias("c"))
+    if moved is not None:
+        named = named.join(moved, "c", "left").select("digest", "node", F.coalesce("to", "c").alias("c"))
+    return named, found
 
 
 # ---------------------------------------------------------------- classes
@@ -417,10 +431,8 @@ def classes(docs: DataFrame, similar: float = SIMILAR) -> tuple[DataFrame, DataF
     """(signed rows, their classes): __x_row, __x_class (a number), __x_stays, __x_class_id (doc_id of the
     row that stays, the largest of the class) and __x_size."""
     rows, idf = signed(docs)
-    nodes, found = links(rows, idf, similar)
-    found = cut(found, "near-links")
-    part = components(found, "near")
-    labelled = cut(nodes.select("digest", "node").join(part, "node", "left").select("digest", F.coalesce("component", "node").alias("__x_class")), "near-labels")
+    nodes, _ = links(rows, idf, similar)
+    labelled = cut(nodes.select("digest", F.col("c").alias("__x_class")), "near-labels")
     slim = cut(rows.select(_ROW, F.col("doc_id").cast("long").alias("__x_id"), F.col(_KEY).alias("digest")).join(labelled, "digest").drop("digest"), "near-rows")
     heads = slim.groupBy("__x_class").agg(F.max(F.struct("__x_id", F.col(_ROW).alias("r"))).alias("m"), F.count(F.lit(1)).alias("__x_size"))
     heads = heads.select("__x_class", "__x_size", F.col("m.__x_id").alias("__x_class_id"), F.col("m.r").alias("__x_head"))

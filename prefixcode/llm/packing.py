@@ -173,10 +173,16 @@ def plan(histogram: dict[int, int], room: int = ROOM) -> list[tuple[list[tuple[i
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
+#: A text with a longer run of blanks goes through the JSON file: the rank file's library runs out of stack on it.
+BLANKS = 4096
+
+
 def _tokenizer(name: str):
     """Byte-level BPE ids. The rank file holds the same vocabulary and merges as the JSON file and
-    is several times faster; a text with a special token's string goes through the JSON file."""
+    is several times faster; a text with a special token's string or a very long run of blanks goes
+    through the JSON file."""
     import base64
+    import re
 
     import public_tokenizers
     import tiktoken
@@ -188,8 +194,10 @@ def _tokenizer(name: str):
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
     fast = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
+    long_blank = re.compile(r"\s{%d}" % BLANKS)
+
     def ids(text: str) -> list[int]:
-        if any(s in text for s in special):
+        if any(s in text for s in special) or len(text) >= BLANKS and long_blank.search(text):
             return slow.encode(text, add_special_tokens=False).ids
         return fast.encode_ordinary(text)
 

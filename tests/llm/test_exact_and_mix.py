@@ -172,6 +172,20 @@ def test_distinct_documents(odd):
     assert sorted(r.text for r in out.collect()) == sorted({r[1] or "" for r in ROWS})
 
 
+def test_hot_text_is_folded_in_shares(spark, monkeypatch):
+    """A text in every window, and a directory of many buckets, with columns of clashing names."""
+    monkeypatch.setattr(exthash, "WINDOW_BYTES", 1)
+    monkeypatch.setattr(exthash, "BUCKET_BYTES", 200)
+    monkeypatch.setattr(exthash, "HOT", 8)
+    monkeypatch.setattr(exthash, "slices", lambda b, t: (x.slice(i, 1) for x in b for i in range(x.num_rows)))
+    rows = [(i, "same" if i % 3 else f"own {i}", "b", i, "e") for i in range(240)] + [(None, "same", "b", 1, "e")]
+    x = spark.createDataFrame(rows, "doc_id long, text string, __bucket string, __entry long, __sieve string").repartition(2)
+    want = expected_copies([(d, t) for d, t, *_ in rows])
+    assert Counter(map(tuple, exthash.deduplicate(x).collect())) == want
+    kept = exthash.distinct_documents(x)
+    assert kept.columns == x.columns and sorted(r.doc_id for r in kept.collect()) == sorted(k[0] for k in want if k[3])
+
+
 def test_directory_splits():
     r = np.random.default_rng(0)
     sizes = {int(p): int(n) for p, n in zip(r.integers(0, 1 << 10, 4000), r.integers(1, 50, 4000), strict=True)}
@@ -318,6 +332,17 @@ def test_packing(odd, docs, empty):
     assert packing.packed(empty).count() == 0
 
 
+def test_long_runs_of_blanks():
+    """Ids are those of the named tokenizer, whatever the run."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    named = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    own = packing._tokenizer("byte_bpe_50k")
+    for text in (" " * 1_000_000, "a" + "\n" * 5000 + "b", "x " + "\t" * 4096, " " * 4095 + "y", "\u00a0" * 9000, "word " * 3000):
+        assert own(text) == named.encode(text, add_special_tokens=False).ids
+
+
 def test_ranks_in_shares(docs, monkeypatch):
     monkeypatch.setattr(packing, "SHARE_ROWS", 3)
     got = packing.packed(docs).collect()

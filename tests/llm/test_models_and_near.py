@@ -2,6 +2,7 @@
 
 import math
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -204,6 +205,40 @@ def test_near_copies_edges(odd, empty):
     assert icws.near_duplicates(empty).count() == 0 and icws.representatives(empty).count() == 0
 
 
+def test_near_copies_around_the_threshold(spark):
+    """A family of hundreds whose members lie on both sides of 0.8: classes are those of all pairs."""
+    r = np.random.default_rng(12)
+    base, rows = prose(500, 150), []
+    for i in range(260):
+        w = list(base)
+        for at in r.choice(150, int(r.integers(0, 9)), replace=False):
+            w[at] = f"e{r.integers(10**9)}"
+        rows.append((i, " ".join(w), None, None, 0, None))
+    rows += [(1000 + k, " ".join(prose(900 + k, 90)), None, None, 0, None) for k in range(40)]
+    x = spark.createDataFrame(rows, SCHEMA)
+    got = {g.doc_id: g.class_id for g in icws.near_duplicates(x).collect()}
+    idf = icws.idf_table(x)
+    found = [(s[0], icws.weights(s, idf)) for s in icws.shingles([t for _, t, *_ in rows], common.TokenHasher())]
+    ids = [d for d, *_ in rows]
+    parent = {d: d for d in ids}
+
+    def find(d):
+        while parent[d] != d:
+            d = parent[d]
+        return d
+
+    together = pairs = 0
+    for i in range(len(ids)):
+        for j in range(i):
+            if icws.similarity(found[i], found[j]) >= icws.SIMILAR:
+                parent[find(ids[i])] = find(ids[j])
+                pairs += 1
+                together += got[ids[i]] == got[ids[j]]
+    assert pairs > 2500 and together >= 0.999 * pairs
+    for d in ids:
+        assert find(d) == find(got[d])  # no class holds what no chain of similar texts links
+
+
 def test_components(spark):
     links = [(1, 2), (2, 3), (10, 11), (3, 7), (7, 1), (20, 20)] + [(100 + i, 101 + i) for i in range(60)]
     got = {r.node: r.component for r in components(spark.createDataFrame(links, "a long, b long")).collect()}
@@ -314,14 +349,36 @@ def test_gram_vectors_bind_and_permute():
     assert abs(g[0] @ g[1]) < 0.25 * hdlang.DIM
 
 
-def test_gram_counts_against_brute_force():
-    texts = ["Hello, world", "", "a", "héllo  héllo", "123 --", "日本語 x"]
-    grams, matrix, has = hdlang.counts(texts)
-    for t, row, n in zip(texts, matrix, has, strict=True):
-        clean = re.sub(" +", " ", " " + "".join(c.lower() if c.isalpha() else " " for c in t) + " ")
-        want = Counter(tuple(map(ord, clean[i : i + 3])) for i in range(len(clean) - 2))
-        assert Counter({tuple(g): int(k) for g, k in zip(grams.tolist(), row, strict=True) if k}) == want
-        assert n == sum(c.isalpha() for c in t)
+def clean_grams(text):
+    clean = re.sub(" +", " ", " " + "".join(c.lower() if c.isalpha() else " " for c in text) + " ")
+    return Counter(tuple(map(ord, clean[i : i + 3])) for i in range(len(clean) - 2))
+
+
+@pytest.mark.parametrize("part,grams", [(1 << 19, 1 << 13), (7, 3), (3, 1)])
+def test_bundles_against_brute_force(part, grams, monkeypatch):
+    """However texts are cut into parts and n-grams into shares, the sums are those of all n-grams."""
+    monkeypatch.setattr(hdlang, "PART", part)
+    monkeypatch.setattr(hdlang, "GRAMS", grams)
+    texts = ["Hello, world", "", "a", "héllo  héllo", "123 --", "日本語 x", "one  two   three    four     five", "x" * 40, " " * 30 + "y", "1 2 3 4 a 5 6 7"]
+    got, has = hdlang.bundles(texts)
+    for t, row, n in zip(texts, got, has, strict=True):
+        want = clean_grams(t)
+        ids = np.array(list(want), dtype=np.uint32).reshape(-1, 3)
+        assert np.array_equal(row, np.array(list(want.values()), dtype=float) @ hdlang.gram_vectors(ids) if want else row * 0)
+        assert (n > 0) == any(c.isalpha() for c in t)
+
+
+def test_bundles_of_long_varied_text():
+    """Many different letters in few texts: memory follows parts, not texts times n-grams."""
+    import tracemalloc
+
+    r = np.random.default_rng(3)
+    texts = ["".join(map(chr, r.integers(0x4E00, 0x9000, 4000))) for _ in range(100)] + ["".join(map(chr, r.integers(0x4E00, 0x9000, 600_000)))]
+    tracemalloc.start()
+    got, has = hdlang.bundles(texts)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 300 << 20 and len(got) == 101 and has.min() > 0
 
 
 def test_language_held_out_accuracy(spark):
@@ -346,6 +403,31 @@ def test_language_edges(odd, empty, docs):
     assert kept.columns == docs.columns and kept.count() == docs.count()
 
 
+# ---------------------------------------------------------------- regions of passages
+def test_regions_of_many_windows():
+    """A sweep finds what all windows against all do, and stays fast on a long pair."""
+    r = np.random.default_rng(5)
+
+    def plain(p, least):
+        return [any(p[i, 0] != q[0] and min(p[i, 3], q[3]) - max(p[i, 1], q[1]) + 1 >= least and min(p[i, 6], q[6]) - max(p[i, 4], q[4]) + 1 >= least for q in p) for i in range(len(p))]
+
+    def made(n, length):
+        l1 = r.integers(0, length, n)
+        shift = r.integers(-3, 4, n)
+        wide = r.integers(4, 30, n)
+        return np.stack([r.integers(0, 4, n), l1, l1 + wide // 2, l1 + wide, l1 + shift, l1 + shift + wide // 2, l1 + wide + shift], axis=1)
+
+    for n, length in ((60, 400), (600, 1500)):
+        p = made(n, length)
+        boxes = windows.regions(p, 12)
+        for ok, (_, l1, _, r1, l2, _, r2) in zip(plain(p, 12), p.tolist(), strict=True):
+            if ok:
+                assert any(l1 >= a and r1 < b and l2 >= c and r2 < d for a, b, c, d in boxes)
+    start = time.time()
+    windows.regions(made(40_000, 1_000_000), 12)
+    assert time.time() - start < 5
+
+
 # ---------------------------------------------------------------- class-based model
 def tokens(text):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
