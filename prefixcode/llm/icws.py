@@ -53,7 +53,7 @@ AGREE = int(SIMILAR * HASHES - 5 * math.sqrt(SIMILAR * (1 - SIMILAR) * HASHES))
 #: So many leaders' sample bytes are held at once, and met by shares of about so many members.
 LEADERS = MEMBERS = 1024
 #: Leaders whose texts are held at once: about so many, of about so many bytes in all (or one).
-PACK, PACK_BYTES = 64, 4 << 20
+PACK, PACK_BYTES = 512, 4 << 20
 #: A bucket of no more than this is compared all with all.
 FEW = 16
 SEED = 0x1C35
@@ -349,19 +349,19 @@ def _confirm(batches: Iterator[pa.RecordBatch], idf: np.ndarray, similar: float)
 
 
 def _meet(state: DataFrame, lead: DataFrame, texts: DataFrame, idf: np.ndarray, similar: float, label: str) -> DataFrame:
-    """Links (a, b, sim, and the classes ca, cb that they join) between leaders (k, node, print, c) and all
-    members of their buckets.
+    """Links (a, b, sim, and the classes ca, cb that they join) between leaders (k, node, print, c, n) and all
+    members of their buckets. A leader travels with others of the largest bucket that it leads in (by n).
 
     Leaders and members stream through (bucket, pack of leaders, share of members), first by their
     sample bytes; then those that may be near, each text once for a pack, with whole texts. What a
     task holds is one pack.
     """
-    homes = lead.groupBy("node").agg(F.min("k").alias("home"), F.first("c").alias("c")).join(texts.select("node", "size"), "node")
+    homes = lead.groupBy("node").agg(F.max(F.struct("n", "k"))["k"].alias("home"), F.first("c").alias("c")).join(texts.select("node", "size"), "node")
     rooms = homes.groupBy("home").agg(F.expr(f"greatest((count(1) + {PACK - 1}) div {PACK}, sum(size) div {PACK_BYTES} + 1)").alias("subs"))
     homes = cut(homes.join(rooms, "home").select("node", "home", F.expr("pmod(xxhash64(node), subs)").alias("sub"), "c"), f"near-homes{label}")
     led = lead.groupBy("k").agg(F.expr(f"(count(1) + {LEADERS - 1}) div {LEADERS}").alias("packs"))
     sizes = state.groupBy("k").agg(F.expr(f"(count(1) + {MEMBERS - 1}) div {MEMBERS}").alias("salts")).join(led, "k")
-    first = lead.join(homes.select("node", "home", "sub"), "node").join(sizes, "k")
+    first = lead.drop("n").join(homes.select("node", "home", "sub"), "node").join(sizes, "k")
     first = first.select("k", F.expr("pmod(xxhash64(node, 1), packs)").alias("pack"), F.explode(F.expr("sequence(0L, salts - 1)")).alias("salt"), F.lit(0).alias("kind"), "node", "print", "c", "home", "sub")
     then = state.join(sizes, "k")
     then = then.select("k", F.explode(F.expr("sequence(0L, packs - 1)")).alias("pack"), F.expr("pmod(xxhash64(node, 2), salts)").alias("salt"), F.lit(1).alias("kind"), "node", "print", "c", F.lit(0).cast("long").alias("home"), F.lit(0).cast("long").alias("sub"))
@@ -406,7 +406,7 @@ def links(rows: DataFrame, idf: np.ndarray, similar: float = SIMILAR) -> tuple[D
             break
         # about 4 * 16 ** turn of a bucket's open rows, and one at least
         crowd = open_.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.min("h").alias("least"))
-        lead = cut(open_.join(crowd, "k").where(f"h = least or pmod(h, greatest(1, shiftright(n, {min(4 * turn + 2, 62)}))) = 0").select("k", "node", "print", "c"), f"near-lead{turn}")
+        lead = cut(open_.join(crowd, "k").where(f"h = least or pmod(h, greatest(1, shiftright(n, {min(4 * turn + 2, 62)}))) = 0").select("k", "node", "print", "c", "n"), f"near-lead{turn}")
         new = _meet(state, lead, texts, idf, similar, str(turn))
         found = found.unionAll(new.select("a", "b", "sim"))
         # only classes that new links join get a new name: the graph is one of classes, not of texts
