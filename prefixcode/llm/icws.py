@@ -350,13 +350,18 @@ def _confirm(batches: Iterator[pa.RecordBatch], idf: np.ndarray, similar: float)
 
 def _meet(state: DataFrame, lead: DataFrame, texts: DataFrame, idf: np.ndarray, similar: float, label: str) -> DataFrame:
     """Links (a, b, sim, and the classes ca, cb that they join) between leaders (k, node, print, c, n) and all
-    members of their buckets. A leader travels with others of the largest bucket that it leads in (by n).
+    members of their buckets.
 
     Leaders and members stream through (bucket, pack of leaders, share of members), first by their
     sample bytes; then those that may be near, each text once for a pack, with whole texts. What a
     task holds is one pack.
     """
-    homes = lead.groupBy("node").agg(F.max(F.struct("n", "k"))["k"].alias("home"), F.first("c").alias("c")).join(texts.select("node", "size"), "node")
+    # leaders that share buckets travel together, under the largest bucket that any of them is in
+    own = lead.select("k", "node", F.struct("n", "k").alias("x"))
+    widest = own.groupBy("node").agg(F.max("x").alias("x"))
+    spread = own.select("k", "node").join(widest, "node").groupBy("k").agg(F.max("x").alias("x"))
+    homes = own.select("k", "node").join(spread, "k").groupBy("node").agg(F.max("x")["k"].alias("home"))
+    homes = homes.join(lead.select("node", "c").distinct(), "node").join(texts.select("node", "size"), "node")
     rooms = homes.groupBy("home").agg(F.expr(f"greatest((count(1) + {PACK - 1}) div {PACK}, sum(size) div {PACK_BYTES} + 1)").alias("subs"))
     homes = cut(homes.join(rooms, "home").select("node", "home", F.expr("pmod(xxhash64(node), subs)").alias("sub"), "c"), f"near-homes{label}")
     led = lead.groupBy("k").agg(F.expr(f"(count(1) + {LEADERS - 1}) div {LEADERS}").alias("packs"))
