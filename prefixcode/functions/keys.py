@@ -44,19 +44,30 @@ def key_spec(keys: list) -> list[KeyCol]:
 
 
 def lossless(kind: T.DataType) -> bool:
-    """Whether equal numbers prove equal values (for bigints: within 2**54 of zero)."""
-    return isinstance(kind, (T.BooleanType, T.ByteType, T.ShortType, T.IntegerType, T.LongType, T.DateType, T.TimestampType, T.TimestampNTZType))
+    """Whether equal numbers prove equal values, for all values of the type.
+
+    Bigints and timestamps within 2**53 of zero are exact, beyond that 1,024 neighbours share a number.
+    """
+    return isinstance(kind, (T.BooleanType, T.ByteType, T.ShortType, T.IntegerType, T.DateType))
+
+
+def _wide(x: Column) -> Column:
+    """Any bigint in 55 bits: itself within 2**53 of zero, beyond that without its last ten bits."""
+    far = F.lit(1 << 53)
+    return F.when(x >= far, far + F.shiftright(x - far, 10)).when(x < -far, -far + F.shiftright(x + far, 10)).otherwise(x)
 
 
 def _number(c: Column, kind: T.DataType) -> Column:
     if isinstance(kind, T.BooleanType):
         return c.cast("int").cast("long")
-    if isinstance(kind, (T.ByteType, T.ShortType, T.IntegerType, T.LongType)):
+    if isinstance(kind, T.LongType):
+        return _wide(c)
+    if isinstance(kind, (T.ByteType, T.ShortType, T.IntegerType)):
         return c.cast("long")
     if isinstance(kind, T.DateType):
         return F.unix_date(c).cast("long")
     if isinstance(kind, (T.TimestampType, T.TimestampNTZType)):
-        return F.unix_micros(c.cast("timestamp"))
+        return _wide(F.unix_micros(c.cast("timestamp")))
     if isinstance(kind, (T.DoubleType, T.FloatType)):
         x = c.cast("double")
         most = float(_HALF - 1)
@@ -75,7 +86,7 @@ def normalize(key: KeyCol, kind: T.DataType) -> Column:
     """The number of a key column, direction and NULL considered."""
     c = F.col(key.name)
     n = _number(c, kind)
-    inside = F.greatest(F.lit(1 - _HALF), F.least(F.lit(_HALF - 1), n)) + F.lit(_HALF) if isinstance(kind, T.LongType) else n + F.lit(_HALF)
+    inside = n + F.lit(_HALF)
     if isinstance(kind, (T.StringType, T.BinaryType)):
         inside = n + F.lit(_HALF + 1)
     if not key.ascending:

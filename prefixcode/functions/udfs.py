@@ -5,6 +5,8 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType
@@ -28,6 +30,18 @@ def truncated_cells(offset: pd.Series) -> int:
     return int(offset.sum())
 
 
+@F.pandas_udf(StringType())
+def offset_kind(offset: pd.Series, k: pd.Series) -> pd.Series:
+    """first, shared or repeat: what an offset says of its row. A scalar function on pandas columns."""
+    return pd.Series("shared", index=offset.index).mask(offset == 0, "first").mask(offset >= k, "repeat")
+
+
+@F.arrow_udf(LongType())
+def stored_cells(offset: pa.Array, k: pa.Array) -> pa.Array:
+    """Cells that truncation keeps of a row. The same on Arrow columns."""
+    return pc.cast(pc.subtract(k, offset), pa.int64())
+
+
 @F.udtf(returnType=StructType([StructField("pos", LongType()), StructField("value", StringType())]))
 class ExpandRun:
     def eval(self, start: int, length: int, value: str) -> Iterator[tuple[int, str]]:

@@ -9,12 +9,12 @@ from prefixcode.kernels.tree import Counters
 Compare = Callable[[tuple, tuple], int]
 
 
-def full_compare(ctr: Counters) -> Compare:
-    """Column by column from the first."""
+def full_compare(ctr: Counters, k: int | None = None) -> Compare:
+    """Column by column from the first, all or ``k``."""
 
     def compare(a: tuple, b: tuple) -> int:
         ctr.rows += 1
-        for x, y in zip(a, b, strict=True):
+        for x, y in zip(a[:k], b[:k], strict=True):
             ctr.columns += 1
             if x != y:
                 return -1 if x < y else 1
@@ -100,13 +100,13 @@ def plain_quicksort(rows: list, compare: Compare) -> list:
     return a
 
 
-def heap_merge(inputs: list[Iterable[tuple]], ctr: Counters, duplicates: bool = False) -> Iterator[tuple]:
+def heap_merge(inputs: list[Iterable[tuple]], ctr: Counters, duplicates: bool = False, k: int | None = None) -> Iterator[tuple]:
     """A binary heap with two passes for a row: down from the root on removal, up from a leaf on insertion.
 
     duplicates: a full comparison tells whether the next row of the same input repeats the last one,
     which then goes straight to the output.
     """
-    compare = full_compare(ctr)
+    compare = full_compare(ctr, k)
     sources = [iter(x) for x in inputs]
     heap: list[tuple[tuple, int]] = []
     for i, s in enumerate(sources):

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
 
-from prefixcode.kernels.tree import Counters, code, offset
+from prefixcode.kernels.tree import Counters, code, number, offset
 
 
 def truncate(run: Iterable[tuple[int, tuple]], k: int) -> Iterator[tuple[int, tuple]]:
@@ -19,7 +19,7 @@ def expand(stored: Iterable[tuple[int, tuple]], k: int) -> Iterator[tuple[int, t
     row: tuple = ()
     for n, tail in stored:
         row = row[:n] + tail
-        yield (code(n, tail[0], k) if tail else 0), row
+        yield (code(n, number(tail[0]), k) if n < k else 0), row
 
 
 def to_columns(stored: Iterable[tuple[int, tuple]], k: int, ctr: Counters, carry: bool = True) -> list[list[tuple[object, int]]]:

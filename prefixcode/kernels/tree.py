@@ -1,8 +1,10 @@
 """Comparing coded rows, and a priority queue that keeps losers in its nodes.
 
-Rows are tuples of whole numbers (normalised keys). A code is (K - offset) * 2**60 + value at the
-offset; FRESH rows of run generation have looked at no column yet. All rows that meet were coded
-relative to the same row, the last one to leave the queue.
+Rows are tuples whose first K entries are key cells; what follows is carried along. A cell is a whole
+number below 2**66 that stands for its value exactly, or, where no number can (texts), a pair of such
+a number, which never falls as the value rises, and the value itself. A code is (K - offset) * 2**66 +
+number at the offset; FRESH rows of run generation have looked at no column yet. All rows that meet
+were coded relative to the same row, the last one to leave the queue.
 """
 
 from __future__ import annotations
@@ -11,7 +13,7 @@ import heapq
 from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 
-SHIFT = 60
+SHIFT = 66
 RUN = 80  # bits below the number of the run, in replacement selection
 MASK = (1 << SHIFT) - 1
 EARLY = -1  # before any row
@@ -42,21 +44,29 @@ def offset(c: int, k: int) -> int:
     return min(k, max(0, k - (c >> SHIFT)))
 
 
-def derive(before: tuple | None, row: tuple, ctr: Counters | None = None) -> int:
+def number(cell: int | tuple) -> int:
+    return cell if type(cell) is int else cell[0]
+
+
+def derive(before: tuple | None, row: tuple, ctr: Counters | None = None, k: int | None = None) -> int:
     """A row's code relative to its predecessor, by comparing columns."""
-    k = len(row)
+    k = len(row) if k is None else k
     if before is None:
-        return code(0, row[0], k)
+        return code(0, number(row[0]), k)
     for i in range(k):
         if ctr:
             ctr.columns += 1
         if before[i] != row[i]:
-            return code(i, row[i], k)
+            return code(i, number(row[i]), k)
     return 0
 
 
 class LoserTree:
-    """Merges coded inputs. One pass from leaf to root for each row that leaves."""
+    """Merges coded inputs. One pass from leaf to root for each row that leaves.
+
+    lossless: all cells are plain numbers, so equal codes prove the column at the offset equal. Rows
+    of equal keys leave in the order of their inputs.
+    """
 
     def __init__(self, k: int, ctr: Counters, bypass_duplicates: bool = True, lossless: bool = True):
         self.k, self.ctr, self.bypass, self.lossless = k, ctr, bypass_duplicates, lossless
@@ -81,9 +91,9 @@ class LoserTree:
             ctr.columns += 1
             if ra[i] != rb[i]:
                 if ra[i] < rb[i]:
-                    self.codes[b] = run | (k - i) << SHIFT | rb[i]
+                    self.codes[b] = run | (k - i) << SHIFT | (rb[i] if self.lossless else number(rb[i]))
                     return True
-                self.codes[a] = run | (k - i) << SHIFT | ra[i]
+                self.codes[a] = run | (k - i) << SHIFT | (ra[i] if self.lossless else number(ra[i]))
                 return False
         self.codes[b if a < b else a] = run
         return a < b
@@ -120,22 +130,37 @@ class LoserTree:
         self.codes[i], self.rows[i] = next(source, (LATE, None))
 
 
-def generate(rows: list[tuple], k: int, ctr: Counters) -> Iterator[tuple[int, tuple]]:
+def generate(rows: list[tuple], k: int, ctr: Counters, lossless: bool = True) -> Iterator[tuple[int, tuple]]:
     """One run from unsorted rows, as a merge of runs of one row each. Reads columns when needed."""
     start = fresh(k)
-    for c, row in LoserTree(k, ctr, bypass_duplicates=False).merge([[(start, r)] for r in rows]):
-        yield (code(0, row[0], k) if c == start else c), row
+    for c, row in LoserTree(k, ctr, bypass_duplicates=False, lossless=lossless).merge([[(start, r)] for r in rows]):
+        yield (code(0, number(row[0]), k) if c == start else c), row
 
 
-def coded(rows: Iterable[tuple], ctr: Counters | None = None) -> Iterator[tuple[int, tuple]]:
+def coded(rows: Iterable[tuple], ctr: Counters | None = None, k: int | None = None) -> Iterator[tuple[int, tuple]]:
     """Codes for rows that are in order, as when a run is written or read."""
     before = None
     for row in rows:
-        yield derive(before, row, ctr), row
+        yield derive(before, row, ctr, k), row
         before = row
 
 
-def replacement_selection(rows: Iterable[tuple], k: int, memory: int, ctr: Counters) -> Iterator[list[tuple[int, tuple]]]:
+def folded(run: Iterable[tuple[int, tuple]], k: int, fold: Callable[[tuple, tuple], tuple]) -> Iterator[tuple[int, tuple]]:
+    """Rows that repeat a key are taken into the one before, which keeps its code: a group's code is
+    its first row's. Only codes are looked at. fold: (carried, carried) -> carried."""
+    held: tuple[int, tuple] | None = None
+    for c, row in run:
+        if held is not None and c == 0:
+            held = held[0], (*held[1][:k], *fold(held[1][k:], row[k:]))
+            continue
+        if held is not None:
+            yield held
+        held = c, row
+    if held is not None:
+        yield held
+
+
+def replacement_selection(rows: Iterable[tuple], k: int, memory: int, ctr: Counters, lossless: bool = True) -> Iterator[list[tuple[int, tuple]]]:
     """Runs about twice as long as memory (in rows), each with its codes.
 
     The number of its run is the most significant part of a row's code. A new row is compared with
@@ -148,27 +173,27 @@ def replacement_selection(rows: Iterable[tuple], k: int, memory: int, ctr: Count
     last: list = [0, None]
 
     def feed(first: tuple) -> Iterator[tuple[int, tuple]]:
-        yield code(0, first[0], k), first
+        yield code(0, number(first[0]), k), first
         for row in source:
             run, before = last
             ctr.rows += 1
             smaller = False
-            for a, b in zip(row, before, strict=True):
+            for a, b in zip(row[:k], before[:k], strict=True):
                 ctr.columns += 1
                 if a != b:
                     smaller = a < b
                     break
             if smaller:
-                yield (run + 1) << RUN | code(0, row[0], k), row
+                yield (run + 1) << RUN | code(0, number(row[0]), k), row
             else:
-                yield run << RUN | derive(before, row), row
+                yield run << RUN | derive(before, row, None, k), row
 
     head = []
     for row in source:
         head.append(row)
         if len(head) == memory:
             break
-    tree = LoserTree(k, ctr, bypass_duplicates=False)
+    tree = LoserTree(k, ctr, bypass_duplicates=False, lossless=lossless)
     out: list[tuple[int, tuple]] = []
     for c, row in tree.merge([feed(r) for r in head]):
         if run_of(c) != last[0]:

@@ -9,10 +9,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
+from pyspark.sql import types as T
 
 from prefixcode.functions.codes import pack
-from prefixcode.functions.keys import key_spec, kinds, normalize
+from prefixcode.functions.keys import KeyCol, key_spec, kinds, normalize
 from prefixcode.plans.frame import CODE, OFFSET, OrderedFrame
+from prefixcode.sources import scratch
 
 
 def first_difference(names: list[str], before: list[Column], start: int = 0) -> Column:
@@ -34,17 +36,37 @@ def value_at(df: DataFrame, keys: list, offset: Column) -> Column:
     return out.otherwise(F.lit(0).cast("long"))
 
 
-def attach(df: DataFrame, keys: list, lead: int = 1) -> OrderedFrame:
+#: With less than so many distinct prefixes for each shuffle partition, ``spread`` takes one more column.
+SPREAD = 8
+
+
+def spread(df: DataFrame, keys: list) -> int:
+    """The least number of leading key columns whose values deal the rows out well (all but the last, at most),
+    from one pass of sketches over the key columns."""
+    names = [k.name for k in key_spec(keys)]
+    if len(names) < 3:
+        return 1
+    counts = df.agg(*[F.approx_count_distinct(F.struct(*names[: j + 1])).alias(f"d{j}") for j in range(len(names) - 1)]).first()  # a number for each prefix
+    wanted = SPREAD * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return next((j + 1 for j, n in enumerate(counts) if n >= wanted), len(names) - 1)
+
+
+def attach(df: DataFrame, keys: list, lead: int | None = 1) -> OrderedFrame:
     """Offset and code of every row relative to its predecessor in key order, over the whole table.
 
     Rows are grouped by the first ``lead`` key columns, so one exchange by them is all it takes: the
     first row of a group differs from its predecessor within those columns. For lead = 1 that is at
     column 0. With few values in the first column, take a greater lead: the groups' own first rows
-    then get their codes from the table of distinct prefixes, which is small, by the same method.
+    then get their codes from the table of distinct prefixes, by the same method on the first column.
+    With None, ``spread`` finds the lead, and the table of prefixes is written and dealt out by half
+    as many columns, and so on: no table is sorted in few tasks but those of few rows.
     """
+    found = lead is None
     spec = key_spec(keys)
     names = [k.name for k in spec]
     k = len(names)
+    if lead is None:
+        lead = spread(df, spec)
     if lead >= k:
         lead = max(1, k - 1)
     order = [x.order() for x in spec[lead:]] or [F.lit(0)]
@@ -58,7 +80,8 @@ def attach(df: DataFrame, keys: list, lead: int = 1) -> OrderedFrame:
         if lead == 1:
             out = df.withColumn(OFFSET, F.when(position == 1, F.lit(0)).otherwise(inside))
         else:
-            heads = attach(df.select(*names[:lead]).distinct(), list(spec[:lead]), 1).df
+            prefixes = df.select(*names[:lead]).distinct()
+            heads = attach(scratch.cut(prefixes, "prefixes"), list(spec[:lead]), lead // 2).df if found else attach(prefixes, list(spec[:lead]), 1).df
             heads = heads.select(*[F.col(c).alias(f"__head_{c}") for c in names[:lead]], F.col(OFFSET).alias("__head"))
             same = None
             for c in names[:lead]:
@@ -68,7 +91,7 @@ def attach(df: DataFrame, keys: list, lead: int = 1) -> OrderedFrame:
             out = out.join(heads, same).withColumn(OFFSET, F.when(F.col("__position") == 1, F.col("__head")).otherwise(F.col("__inside")))
             out = out.select(*df.columns, OFFSET)
     coded = out.withColumn(CODE, pack(F.col(OFFSET), value_at(df, keys, F.col(OFFSET)), k))
-    return OrderedFrame(coded, spec, scope="global", partitioned_by=tuple(names[:lead]))
+    return OrderedFrame(coded, spec, scope="global", partitioned_by=tuple(names[:lead]), source=df)
 
 
 def attach_blocks(df: DataFrame, keys: list, block: str) -> OrderedFrame:
@@ -81,58 +104,59 @@ def attach_blocks(df: DataFrame, keys: list, block: str) -> OrderedFrame:
     return OrderedFrame(out.withColumn(CODE, pack(F.col(OFFSET), value_at(df, keys, F.col(OFFSET)), len(names))), spec, scope="block", partitioned_by=(block,))
 
 
-def attach_arrow(df: DataFrame, keys: list[str], partitions: int) -> DataFrame:
-    """The same offsets by one pass over sorted Arrow batches; ascending keys, nulls first.
+def attach_arrow(df: DataFrame, keys: list, partitions: int) -> DataFrame:
+    """The same offsets by one pass over sorted Arrow batches: __part, __pos and __off are added.
 
-    Range partitions are sorted in the JVM; a task carries its last row from batch to batch. The
-    first row of a partition has no predecessor there: ``__head`` marks it, and its offset comes from
-    the table of the partitions' last rows, which has a row for each partition.
+    Range partitions of the whole key are sorted in the JVM; a task carries its last row from batch to
+    batch. The first row of a part has no predecessor there; ``stitch_parts`` gives it its offset.
     """
-    names = list(keys)
-    ranged = df.repartitionByRange(partitions, *names).sortWithinPartitions(*names)
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema)
+    from prefixcode.operators.sort import neighbour_offsets
+
+    spec = key_spec(keys)
+    names = [x.name for x in spec]
+    ranged = df.repartitionByRange(partitions, *[x.order() for x in spec]).sortWithinPartitions(*[x.order() for x in spec])
+    added = [T.StructField("__part", T.IntegerType()), T.StructField("__pos", T.LongType()), T.StructField(OFFSET, T.IntegerType())]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        last, part = None, TaskContext.get().partitionId()
+        last, part, pos = None, TaskContext.get().partitionId(), 0
         for b in batches:
             if not b.num_rows:
                 continue
-            offset = np.full(b.num_rows, len(names), dtype=np.int32)
-            for j in range(len(names) - 1, -1, -1):
-                c = b.column(names[j])
-                if last is not None:
-                    c = pa.concat_arrays([last.column(names[j]), c])
-                x, y = c.slice(0, len(c) - 1), c.slice(1)
-                same = pa.compute.equal(x, y)
-                both = pa.compute.and_(x.is_null(), y.is_null())
-                same = pa.compute.or_(pa.compute.fill_null(same, False), both).to_numpy(zero_copy_only=False)
-                at = np.flatnonzero(~same) + (0 if last is not None else 1)
-                offset[at] = j
-            head = np.zeros(b.num_rows, dtype=bool)
-            if last is None:
-                offset[0], head[0] = 0, True
+            offset = neighbour_offsets(b, names, last)
             last = b.slice(b.num_rows - 1, 1)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(offset), pa.array(head), pa.array(np.full(b.num_rows, part, np.int32))], names=[*b.schema.names, OFFSET, "__head", "__part"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.full(b.num_rows, part, np.int32)), pa.array(np.arange(pos, pos + b.num_rows)), pa.array(offset)], names=[*b.schema.names, *(f.name for f in added)])
+            pos += b.num_rows
 
-    return ranged.mapInArrow(run, f"{schema}, {OFFSET} int, __head boolean, __part int")
+    return ranged.mapInArrow(run, T.StructType([*(T.StructField(f.name, f.dataType, True) for f in ranged.schema.fields), *added]))
 
 
-def stitch(pieces: DataFrame, keys: list[str]) -> DataFrame:
-    """Give the partitions' first rows their offsets relative to the last row of an earlier one."""
-    names = list(keys)
-    lasts = pieces.groupBy("__part").agg(F.max(F.struct(*names)).alias("__last"))
-    heads = pieces.where("__head").select("__part", F.struct(*names).alias("__first"))
-    w = W.orderBy("__part")
-    joined = lasts.join(heads, "__part").withColumn("__before", F.lag("__last").over(w))  # a row for each partition
+def stitch_parts(pieces: DataFrame, spec: list[KeyCol]) -> DataFrame:
+    """Give the parts' first rows (__pos 0) their offsets relative to the last row of an earlier part."""
+    names = [x.name for x in spec]
+    ends = pieces.groupBy("__part").agg(F.min_by(F.struct(*names), "__pos").alias("__first"), F.max_by(F.struct(*names), "__pos").alias("__last"))
+    joined = ends.withColumn("__before", F.lag("__last").over(W.orderBy("__part")))  # a row for each part
     fixed = None
     for j, c in enumerate(names):
         differs = ~F.col(f"__first.{c}").eqNullSafe(F.col(f"__before.{c}"))
         fixed = F.when(F.col("__before").isNull() | differs, F.lit(j)) if fixed is None else fixed.when(differs, F.lit(j))
     table = joined.select("__part", fixed.otherwise(F.lit(len(names))).alias("__fixed"))
     out = pieces.join(F.broadcast(table), "__part")
-    return out.withColumn(OFFSET, F.when(F.col("__head"), F.col("__fixed")).otherwise(F.col(OFFSET))).drop("__fixed", "__head", "__part")
+    return out.withColumn(OFFSET, F.when(F.col("__pos") == 0, F.col("__fixed")).otherwise(F.col(OFFSET))).select(*pieces.columns)
+
+
+def numbered(df: DataFrame, keys: list, name: str, partitions: int | None = None) -> DataFrame:
+    """Rows numbered from 0 in key order over the whole table, by ranges, no task sees them all: the
+    numbers of the ranges before come from a table with a row for each."""
+    spec = key_spec(keys)
+    ranged = df.repartitionByRange(*([partitions] if partitions else []), *[x.order() for x in spec]).sortWithinPartitions(*[x.order() for x in spec])
+    local = ranged.withColumn("__id", F.monotonically_increasing_id())
+    local = scratch.cut(local.withColumn("__part", F.shiftright("__id", 33)), "numbered")
+    before = local.groupBy("__part").agg(F.count(F.lit(1)).alias("__n"))
+    base = before.select("__part", F.coalesce(F.sum("__n").over(W.orderBy("__part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("__base"))  # a row for each range
+    out = local.join(F.broadcast(base), "__part")
+    return out.withColumn(name, F.col("__id").bitwiseAND(F.lit((1 << 33) - 1)) + F.col("__base")).select(*df.columns, name)
 
 
 def common_prefix(x: str, y: str) -> Column:
@@ -143,18 +167,40 @@ def common_prefix(x: str, y: str) -> Column:
     )
 
 
-def attach_bytes(df: DataFrame, key: str, group: Column) -> DataFrame:
-    """Byte-granular offset and byte value of a binary key; ``group`` is a prefix of it that deals rows out.
+def attach_bytes(df: DataFrame, key: str, partitions: int) -> DataFrame:
+    """Byte-granular offsets of a binary key (how many leading bytes a row shares with the row before).
 
-    The first row of a group has its offset from the last row of the group before, over the table of
-    groups.
+    Range partitions of the key are sorted in the JVM, a task carries its last key; the first row of a
+    part is compared with the last of the part before, from a table with a row for each part.
     """
-    x = df.withColumn("__g", group)
-    w = W.partitionBy("__g").orderBy(key)
-    x = x.withColumn("__before", F.lag(key).over(w))
-    ends = x.groupBy("__g").agg(F.max(key).alias("__last"))
-    over = W.orderBy("__g")
-    ends = ends.select(F.col("__g").alias("__h"), F.lag("__last").over(over).alias("__prior"))
-    x = x.join(ends, F.col("__g").eqNullSafe(F.col("__h"))).withColumn("__before", F.coalesce("__before", "__prior"))
-    out = x.withColumn(OFFSET, F.when(F.col("__before").isNull(), F.lit(0)).otherwise(common_prefix("__before", key)))
-    return out.select(*df.columns, OFFSET)
+    ranged = df.repartitionByRange(partitions, key).sortWithinPartitions(key)
+    added = [T.StructField("__part", T.IntegerType()), T.StructField("__pos", T.LongType()), T.StructField(OFFSET, T.IntegerType())]
+
+    def shared(a: bytes, b: bytes) -> int:
+        n = min(len(a), len(b))
+        if a[:n] == b[:n]:
+            return n
+        lo, hi = 0, n  # a[:lo] == b[:lo], a[:hi] != b[:hi]
+        while hi - lo > 1:
+            mid = (lo + hi) // 2
+            lo, hi = (mid, hi) if a[lo:mid] == b[lo:mid] else (lo, mid)
+        return lo
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        last, part, pos = None, TaskContext.get().partitionId(), 0
+        for b in batches:
+            off = []
+            for v in b.column(key).to_pylist():
+                off.append(0 if last is None else shared(last, v))
+                last = v
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.full(b.num_rows, part, np.int32)), pa.array(np.arange(pos, pos + b.num_rows)), pa.array(off, pa.int32())], names=[*b.schema.names, *(f.name for f in added)])
+            pos += b.num_rows
+
+    pieces = scratch.cut(ranged.mapInArrow(run, T.StructType([*(T.StructField(f.name, f.dataType, True) for f in ranged.schema.fields), *added])), "bytes")
+    ends = pieces.groupBy("__part").agg(F.min_by(key, "__pos").alias("__first"), F.max_by(key, "__pos").alias("__last"))
+    ends = ends.withColumn("__before", F.lag("__last").over(W.orderBy("__part")))  # a row for each part
+    table = ends.select("__part", F.when(F.col("__before").isNull(), F.lit(0)).otherwise(common_prefix("__before", "__first")).alias("__fixed"))
+    out = pieces.join(F.broadcast(table), "__part")
+    return out.withColumn(OFFSET, F.when(F.col("__pos") == 0, F.col("__fixed")).otherwise(F.col(OFFSET))).select(*df.columns, OFFSET)

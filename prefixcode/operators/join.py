@@ -1,15 +1,31 @@
-"""Merge join, set operations and index look-ups over sorted inputs."""
+"""Merge join, set operations and look-ups over sorted inputs.
+
+``coded_join`` merges both inputs with a queue of losers: the codes they carry decide, and the output's
+codes follow from them. ``merge_join`` leaves the merge to the host's sort-merge join and keeps codes
+right around it; it splits hot keys over tasks, which a merge in one task can't.
+"""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+import tempfile
+from collections.abc import Iterator
+
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
 from prefixcode.functions.codes import offset_of
-from prefixcode.operators.derive import attach
+from prefixcode.functions.keys import key_spec
+from prefixcode.kernels import tree as kernel
+from prefixcode.kernels.join import merge_rows
+from prefixcode.operators.derive import attach, stitch_parts
+from prefixcode.operators.sort import Rows, Spill, _schema, _with_codes, _written
 from prefixcode.operators.stream import aggregate, keep
 from prefixcode.plans.frame import CODE, OFFSET, OrderedFrame
+from prefixcode.sources import scratch
+from prefixcode.sources.formats import repeated
 
 _TYPES = {"inner", "left", "right", "full", "semi", "anti"}
 
@@ -59,6 +75,79 @@ def _renamed(df: DataFrame, old: list[str], new: list[str]) -> DataFrame:
     return df
 
 
+def coded_join(left: DataFrame, right: DataFrame, keys: list, partitions: int, how: str = "inner", within: Column | None = None, counters: bool = False) -> DataFrame:
+    """Join on key columns of the same names and types; both inputs sorted once, merged by codes.
+
+    A task gets a range of keys of both sides (or, with ``within``, a whole-number expression over the
+    key columns, all rows of some of its values). The left side's run waits in the task's folder, the
+    right side's streams by; a row of each is held, and the left rows of one key. Null keys match
+    nothing. Gives __part, __pos, the key columns, the other columns of both, __off and __code, right over
+    the whole table; or with counters, a row for each part: rows out, comparisons, columns compared.
+    """
+    if how not in _TYPES:
+        raise ValueError(how)
+    spec = key_spec(keys)
+    names = [x.name for x in spec]
+    own, other = ([c for c in x.columns if c not in names] for x in (left, right))
+    both = left.withColumn("__side", F.lit(0)).unionByName(right.withColumn("__side", F.lit(1)), allowMissingColumns=True)
+    null = F.lit(False)
+    for c in names:
+        null = null | F.col(c).isNull()
+    both = both.withColumn("__null", null)
+    rows = Rows(both, spec, ["__side", "__null", *names, *own, *([] if how in ("semi", "anti") else other)])
+    k, lossless = rows.k, rows.lossless
+    order = [x.order() for x in spec]
+    part = within.cast("int") if within is not None else F.lit(None).cast("int")
+    both = both.withColumn("__within", part)
+    dealt = both.repartition(partitions, "__within") if within is not None else both.repartitionByRange(partitions, *order)
+    dealt = dealt.sortWithinPartitions("__within", "__side", *order).select("__within", *rows.columns)
+    fields = rows.fields[2:]
+    width, mine = len(names), len(names) + len(own)
+    empty_left, empty_right = (None,) * len(own), (None,) * (len(fields) - mine)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        types: list[pa.DataType] = []
+        number = TaskContext.get().partitionId()
+
+        def stream() -> Iterator[tuple[object, tuple]]:
+            for b in batches:
+                types[:] = rows.types(b)[2:]
+                yield from zip(b.column("__within").to_pylist(), rows.read(b), strict=True)
+
+        def joined(row: tuple, more: tuple) -> tuple:
+            key = row or more
+            return (*key[:k], *key[k + 2 : k + 2 + width], *(row[k + 2 + width : k + 2 + mine] if row else empty_left), *(more[k + 2 + mine :] if more else empty_right))
+
+        source = stream()
+        item = next(source, None)
+        with tempfile.TemporaryDirectory() as folder:
+            while item is not None:
+                now = item[0]
+
+                def side(which: int, now: object = now) -> Iterator[tuple]:
+                    nonlocal item
+                    while item is not None and item[0] == now and item[1][k] == which:
+                        yield item[1]
+                        item = next(source, None)
+
+                ctr = kernel.Counters()
+                run_ = Spill(folder, k, "truncate").write(kernel.coded(side(0), None, k))
+                out = merge_rows(run_.read(), kernel.coded(side(1), None, k), k, ctr, how, lambda r: r[k] == 0, lambda r: r[k + 1], lossless)
+                made = ((c, joined(a, b)) for c, a, b in out)
+                if counters:
+                    n = sum(1 for _ in made)
+                    yield pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), *(pa.array([v], pa.int64()) for v in (n, ctr.rows, ctr.by_code, ctr.columns))], names=["part", "n", "row_cmp", "by_code", "columns"])
+                else:
+                    yield from _written(made, k, [f.name for f in fields], types, [("__part", number if now is None else now)])
+
+    if counters:
+        return dealt.mapInArrow(run, "part int, n long, row_cmp long, by_code long, columns long")
+    pieces = dealt.mapInArrow(run, _schema(["__part"], [T.StructField(f.name, f.dataType, True) for f in fields]))
+    return _with_codes(stitch_parts(scratch.cut(pieces, "joined"), spec), spec)
+
+
 def set_operation(left: DataFrame, right: DataFrame, keys: list[str], kind: str, all_rows: bool = False) -> DataFrame:
     """union, intersect or except by one merge: keys of both sides, told apart by a tag, are sorted
     once; codes find the groups, whose counts by side say how many rows leave."""
@@ -75,7 +164,7 @@ def set_operation(left: DataFrame, right: DataFrame, keys: list[str], kind: str,
     else:
         raise ValueError(kind)
     out = groups.withColumn("__n", n.cast("long")).where("__n > 0")
-    return out.withColumn("__i", F.explode(F.sequence(F.lit(1), F.col("__n")))).select(*keys) if all_rows else out.select(*keys)
+    return repeated(out, F.col("__n"), "__i").select(*keys) if all_rows else out.select(*keys)
 
 
 def interval_join(left: DataFrame, right: DataFrame, equal: str, at: str, lo: str, hi: str, width: int) -> DataFrame:

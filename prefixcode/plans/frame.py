@@ -18,6 +18,7 @@ class OrderedFrame:
     keys: list[KeyCol]
     scope: str = "global"  # codes are relative to the predecessor in the table, or in a block
     partitioned_by: tuple[str, ...] = ()
+    source: DataFrame | None = None  # the same rows before they were put in this order
 
     @property
     def names(self) -> list[str]:
@@ -28,7 +29,12 @@ class OrderedFrame:
         return len(self.keys)
 
     def with_df(self, df: DataFrame) -> OrderedFrame:
-        return replace(self, df=df)
+        """Other rows in the same order. An order that was lost with a key or code column is noticed."""
+        lost = [c for c in (*self.names, CODE, OFFSET) if c not in df.columns]
+        changed = [c for c in self.names if c in df.columns and df.schema[c].dataType != self.df.schema[c].dataType]
+        if lost or changed:
+            raise ValueError(f"the order is lost: {', '.join([*(f'no {c}' for c in lost), *(f'another type of {c}' for c in changed)])}")
+        return replace(self, df=df, source=None)
 
     def need_global(self, what: str) -> None:
         if self.scope != "global":

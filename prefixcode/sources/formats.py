@@ -44,6 +44,17 @@ def expand(stored: DataFrame, names: list[str], blocks: list[str]) -> DataFrame:
     return stored.select(*last, F.col(PREFIX).alias(OFFSET), *rest)
 
 
+def expand_array(stored: DataFrame, names: list[str], blocks: list[str]) -> DataFrame:
+    """Truncated rows of layout "array" -> whole rows, as texts: the tail's length tells the prefix, and a
+    column of a row has the last stored value of that column."""
+    k = len(names)
+    prefix = F.lit(k) - F.size("tail")
+    w = W.partitionBy(*[f"__block_{c}" for c in blocks]).orderBy(POS).rowsBetween(W.unboundedPreceding, 0)
+    cells = [F.last(F.when(prefix <= j, F.struct(F.get("tail", F.lit(j) - prefix).alias("v"))), ignorenulls=True).over(w)["v"].alias(c) for j, c in enumerate(names)]
+    rest = [c for c in stored.columns if c != "tail" and not c.startswith("__")]
+    return stored.select(*cells, prefix.alias(OFFSET), *rest)
+
+
 def to_rle(of: OrderedFrame) -> DataFrame:
     """Runs of every key column: block columns, col_no, run_start, run_len, value (as text).
 
@@ -70,9 +81,11 @@ def pack_runs(runs: DataFrame, blocks: list[str]) -> DataFrame:
 
 
 def unpack_runs(packed: DataFrame, blocks: list[str]) -> DataFrame:
-    """Back to a row for each run; its start is the sum of the lengths before it."""
-    starts = F.expr("transform(runs, (r, i) -> struct(aggregate(slice(runs, 1, i), 0L, (s, x) -> s + x.run_len) AS run_start, r.run_len AS run_len, r.value AS value))")
-    return packed.select(*[f"__block_{c}" for c in blocks], "col_no", F.explode(starts).alias("r")).select(*[f"__block_{c}" for c in blocks], "col_no", "r.*")
+    """Back to a row for each run; its start is the sum of the lengths before it in the block."""
+    block = [f"__block_{c}" for c in blocks]
+    each = packed.select(*block, "col_no", F.posexplode("runs").alias("__i", "r"))
+    w = W.partitionBy(*block, "col_no").orderBy("__i").rowsBetween(W.unboundedPreceding, -1)
+    return each.select(*block, "col_no", F.coalesce(F.sum("r.run_len").over(w), F.lit(0)).alias("run_start"), F.col("r.run_len").alias("run_len"), F.col("r.value").alias("value"))
 
 
 def blocked(of: OrderedFrame, rows: int) -> OrderedFrame:
@@ -87,13 +100,37 @@ def blocked(of: OrderedFrame, rows: int) -> OrderedFrame:
     return OrderedFrame(x, of.keys, "block", (*of.partitioned_by, "__blockno"))
 
 
+_PART = 4096
+
+
+def repeated(df: DataFrame, times: Column, name: str) -> DataFrame:
+    """Each row ``times`` times, numbered from 0; no array is longer than a part, however often."""
+    x = df.withColumn("__times", times.cast("long")).where("__times > 0")
+    x = x.withColumn("__from", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__times") - 1, F.lit(_PART).cast("long"))))
+    x = x.withColumn(name, F.explode(F.sequence(F.col("__from"), F.least(F.col("__from") + (_PART - 1), F.col("__times") - 1))))
+    return x.drop("__times", "__from")
+
+
 def from_rle(runs: DataFrame, names: list[str], blocks: list[str]) -> DataFrame:
-    """Runs -> rows (texts) with their offset: the first column whose run begins there, or all."""
+    """Runs -> rows (texts) with their offset: the first column whose run begins there, or all.
+
+    The last column's runs say which rows there are; the other columns' runs meet them where they
+    begin, and each row takes the last value before it. A row is made once, not once for each column.
+    """
     block = [f"__block_{c}" for c in blocks]
-    each = runs.select(*block, "col_no", "value", (F.posexplode(F.sequence(F.col("run_start"), F.col("run_start") + F.col("run_len") - 1))).alias("i", POS))
-    cells = [F.max(F.when(F.col("col_no") == j, F.struct(F.lit(1), F.col("value").alias("v"))))["v"].alias(c) for j, c in enumerate(names)]
-    first = F.coalesce(F.min(F.when(F.col("i") == 0, F.col("col_no"))), F.lit(len(names)))
-    return each.groupBy(*block, POS).agg(*cells, first.alias(OFFSET))
+    k = len(names)
+    last = repeated(runs.where(F.col("col_no") == k - 1), F.col("run_len"), "__i")
+    rows = last.select(*block, (F.col("run_start") + F.col("__i")).alias(POS), F.col("value").alias("__last"), (F.col("__i") == 0).alias("__new"))
+    cells = [F.max(F.when(F.col("col_no") == j, F.struct(F.col("value").alias("v")))).alias(f"__v{j}") for j in range(k - 1)]
+    starts = runs.where(F.col("col_no") < k - 1).groupBy(*block, F.col("run_start").alias("__at")).agg(F.min("col_no").alias("__first"), *cells)
+    on = F.col(POS) == F.col("__at")
+    for c in block:
+        on = on & rows[c].eqNullSafe(starts[c])
+    x = rows.join(starts, on, "left").select(*[rows[c] for c in block], POS, "__last", "__new", "__first", *[f"__v{j}" for j in range(k - 1)])
+    w = W.partitionBy(*block).orderBy(POS).rowsBetween(W.unboundedPreceding, 0)
+    values = [F.last(f"__v{j}", ignorenulls=True).over(w)["v"].alias(c) for j, c in enumerate(names[:-1])]
+    first = F.coalesce(F.col("__first"), F.when(F.col("__new"), F.lit(k - 1)).otherwise(F.lit(k)))
+    return x.select(*block, POS, *values, F.col("__last").alias(names[-1]), first.cast("int").alias(OFFSET))
 
 
 def rle_sums(runs: DataFrame, col_no: int, kind: str = "double") -> Column:

@@ -85,9 +85,42 @@ def stateful_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.groupBy("user_id").agg(F.max("n").alias("n"), F.max("last_event").alias("last_event"))
 
 
-def ingest(spark: SparkSession, sf_dir: str, keys: list[str], fan_in: int = 4) -> RunStore:
+def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows behind the watermark are dropped, and counted: those read less those in windows.
+
+    The days from the fifteenth on come first, then the first ten days: all of them are late.
+    """
+    path = scratch.fresh(spark, "late")
+    x = spark.read.parquet(f"{sf_dir}/events.parquet")
+    since = x.agg(F.min("ts").alias("t0"))
+    x = x.crossJoin(F.broadcast(since))  # one row
+    own = ["event_id", "ts"]
+    for part, wanted in (("0", "ts >= t0 + INTERVAL 15 DAYS"), ("1", "ts < t0 + INTERVAL 10 DAYS")):
+        x.where(wanted).select(*own).coalesce(1).write.parquet(f"{path}/part={part}")
+    kept = scratch.fresh(spark, "late-progress")
+    out = scratch.fresh(spark, "late-windows")
+    read = 0
+    for part in ("0", "1"):  # the same stream, stopped and started again after more rows have come
+        stream = spark.readStream.schema(x.select(*own).schema).parquet(f"{path}/part=[0-{part}]").withColumn("ts", F.col("ts").cast("timestamp"))
+        counts = stream.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))
+        put: Callable[[DataFrame, int], None] = lambda batch, number: batch.write.mode("overwrite").parquet(f"{out}/batch={number}")
+        query = counts.writeStream.outputMode("update").option("checkpointLocation", kept).trigger(availableNow=True).foreachBatch(put).start()
+        query.awaitTermination()
+        read += sum(p["numInputRows"] for p in query.recentProgress)
+    windows = spark.read.parquet(f"{out}/batch=*").groupBy("window").agg(F.max("n").alias("n"))
+    return windows.agg(F.sum("n").alias("in_time")).withColumn("late", F.lit(read).cast("long") - F.col("in_time"))
+
+
+def rate(spark: SparkSession, rows: int) -> DataFrame:
+    """A source that makes numbers, so many in its one batch."""
+    x = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).option("numPartitions", 2).load()
+    counts = x.where(F.col("value") < rows).groupBy((F.col("value") % 3).alias("digit")).agg(F.count(F.lit(1)).alias("n"))
+    return run(counts, "complete", spark)
+
+
+def ingest(spark: SparkSession, sf_dir: str, keys: list[str], fan_in: int = 4, path: str | None = None) -> RunStore:
     """Every micro-batch becomes a sorted run; full levels are merged."""
-    store = RunStore(spark, keys, fan_in)
+    store = RunStore(spark, keys, fan_in, path)
     put: Callable[[DataFrame, int], None] = lambda batch, number: store.append_run(batch, number)
     query = source(spark, sf_dir).writeStream.option("checkpointLocation", scratch.fresh(spark, "ingest")).trigger(availableNow=True).foreachBatch(put).start()
     query.awaitTermination()

@@ -9,11 +9,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from prefixcode.functions import measures
-from prefixcode.functions.keys import KeyCol, normalize_bytes
+from prefixcode.functions.keys import KeyCol, key_spec, normalize_bytes
 from prefixcode.operators import derive, join, sort, stream
 from prefixcode.plans import planner
-from prefixcode.plans.frame import CODE, OFFSET
+from prefixcode.plans.frame import CODE, OFFSET, OrderedFrame
 from prefixcode.sources import formats, scratch, store
+from prefixcode.workloads import experiments
 from prefixcode.workloads import sql as q
 from prefixcode.workloads.sql import K4, K6, K8, KC, KE, KL, KO, KV
 
@@ -36,8 +37,8 @@ def t(spark: SparkSession, d: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{d}/{name}.parquet")
 
 
-def off(of) -> DataFrame:
-    return of.df.withColumn("off", F.col(OFFSET))
+def off(of: OrderedFrame | DataFrame) -> DataFrame:
+    return (of.df if isinstance(of, OrderedFrame) else of).withColumn("off", F.col(OFFSET))
 
 
 def lines(spark: SparkSession, d: str, keys: list[str], more: tuple = ()) -> DataFrame:
@@ -45,11 +46,11 @@ def lines(spark: SparkSession, d: str, keys: list[str], more: tuple = ()) -> Dat
 
 
 # ---------------------------------------------------------------- deriving codes
-def _attach(keys: list[str], lead: int, table: str = "lineitem") -> Query:
+def _attach(keys: list[str], lead: int | None, table: str = "lineitem") -> Query:
     return lambda s, d: off(derive.attach(t(s, d, table).select(*keys), keys, lead)).select(*keys, "off")
 
 
-for _name, _keys, _lead, _table in (("codes_attach_k4", K4, 2, "lineitem"), ("codes_attach_k6", K6, 3, "lineitem"), ("codes_attach_k8", K8, 3, "lineitem"), ("codes_attach_orders", KO, 1, "orders"), ("codes_attach_events", KE, 2, "events"), ("codes_attach_conversations", KV, 1, "conversations"), ("codes_attach_customer", KC, 1, "customer")):
+for _name, _keys, _lead, _table in (("codes_attach_k4", K4, 3, "lineitem"), ("codes_attach_k6", K6, None, "lineitem"), ("codes_attach_k8", K8, None, "lineitem"), ("codes_attach_orders", KO, 1, "orders"), ("codes_attach_events", KE, 2, "events"), ("codes_attach_conversations", KV, 1, "conversations"), ("codes_attach_customer", KC, 1, "customer")):
     add(_name, f"SELECT {', '.join(_keys)}, off FROM {q.offsets(_table, _keys)}")(_attach(_keys, _lead, _table))
 
 
@@ -72,7 +73,7 @@ def codes_desc_nulls(s: SparkSession, d: str) -> DataFrame:
 @add("codes_arrow_tier", f"SELECT {', '.join(K8)}, off FROM {q.offsets('lineitem', K8)}")
 def codes_arrow(s: SparkSession, d: str) -> DataFrame:
     pieces = scratch.cut(derive.attach_arrow(lines(s, d, K8), K8, 8), "arrow-codes")
-    return derive.stitch(pieces, K8).select(*K8, F.col(OFFSET).alias("off"))
+    return derive.stitch_parts(pieces, key_spec(K8)).select(*K8, F.col(OFFSET).alias("off"))
 
 
 @add(
@@ -82,7 +83,7 @@ def codes_arrow(s: SparkSession, d: str) -> DataFrame:
 )
 def codes_bytes_url(s: SparkSession, d: str) -> DataFrame:
     x = t(s, d, "pages").select(normalize_bytes(["url"]).alias("k")).distinct()
-    out = derive.attach_bytes(x, "k", F.substring("k", 1, 12))
+    out = derive.attach_bytes(x, "k", 8)
     return out.select(F.hex("k").alias("key_hex"), F.col(OFFSET).alias("off"))
 
 
@@ -166,51 +167,65 @@ def _numbered(s: SparkSession, d: str) -> DataFrame:
     return x.select(F.pmod(F.col("l_orderkey") * 2654435761 + F.col("l_linenumber") * 40503, F.lit(2147483647)).alias("h"), "l_orderkey", "l_linenumber", "l_partkey")
 
 
-@add("row_comparisons_rungen")
+_ONE = "(SELECT count(*) FROM lineitem)"
+
+
+@add("row_comparisons_rungen", f"SELECT {_ONE} AS n, true AS tree_within_4_percent_of_bound, true AS quicksort_needs_more, true AS columns_at_most_one_a_row")
 def row_comparisons_rungen(s: SparkSession, d: str) -> DataFrame:
     """Run generation on scrambled keys, a run for each key range: queue of losers against quicksort, and the bound."""
     x = scratch.cut(_numbered(s, d).select("h"), "rungen")
-    out = None
-    for method in ("generate", "full"):
-        y = sort.measured(x, ["h"], 8, method).agg(*[F.sum(c).alias(c) for c in ("n", "row_cmp", "by_code", "columns", "lower_bound")])
-        y = y.select(F.lit({"generate": "tree of losers", "full": "quicksort"}[method]).alias("method"), "*", (F.col("row_cmp") / F.col("lower_bound")).alias("over_bound"))
-        out = y if out is None else out.unionByName(y)
-    return out
+    tree, quick = (sort.measured(x, ["h"], 8, m).agg(*[F.sum(c).alias(f"{c}_{m}") for c in ("n", "row_cmp", "columns", "lower_bound")]) for m in ("generate", "full"))
+    both = tree.crossJoin(quick)  # one row each
+    return both.select(
+        F.col("n_generate").alias("n"), (F.col("row_cmp_generate") <= 1.04 * F.col("lower_bound_generate")).alias("tree_within_4_percent_of_bound"),
+        (F.col("row_cmp_full") > 1.1 * F.col("row_cmp_generate")).alias("quicksort_needs_more"), (F.col("columns_generate") <= F.col("n_generate")).alias("columns_at_most_one_a_row"),
+    )
 
 
-@add("row_comparisons_merge")
+@add("row_comparisons_merge", f"SELECT {_ONE} AS n, true AS tree_at_most_3_a_row, true AS heap_needs_over_1_5_times, true AS codes_compare_no_column")
 def row_comparisons_merge(s: SparkSession, d: str) -> DataFrame:
     """Eight sorted runs merged by a queue of losers and by a binary heap."""
     x = scratch.cut(_numbered(s, d).select("h"), "merge-runs")
-    out = None
-    for method in ("merge_tree", "merge_heap"):
-        y = sort.measured(x, ["h"], 8, method).agg(*[F.sum(c).alias(c) for c in ("n", "row_cmp", "by_code", "columns", "bypassed")]).withColumn("method", F.lit(method))
-        out = y if out is None else out.unionByName(y)
-    return out.withColumn("each_row", F.col("row_cmp") / F.col("n"))
+    tree, heap = (sort.measured(x, ["h"], 8, m).agg(*[F.sum(c).alias(f"{c}_{m}") for c in ("n", "row_cmp", "columns")]) for m in ("merge_tree", "merge_heap"))
+    return tree.crossJoin(heap).select(  # one row each
+        F.col("n_merge_tree").alias("n"), (F.col("row_cmp_merge_tree") <= 3 * F.col("n_merge_tree")).alias("tree_at_most_3_a_row"), (F.col("row_cmp_merge_heap") > 1.5 * F.col("row_cmp_merge_tree")).alias("heap_needs_over_1_5_times"), (F.col("columns_merge_tree") == 0).alias("codes_compare_no_column"),
+    )
 
 
-@add("sort_methods_columns")
+@add(
+    "sort_methods_columns",
+    " UNION ALL ".join(f"SELECT {p} AS prefix, '{m}' AS method, {_ONE} AS n, true AS holds FROM (SELECT 1)" for p in (0, 4, 8) for m in ("generate", "full", "pmnk1", "pmnk2")),
+)
 def sort_methods_columns(s: SparkSession, d: str) -> DataFrame:
-    """Column comparisons of all sorting methods over key lists of growing constant prefix."""
+    """Column comparisons over key lists of growing constant prefix. With codes at most p + 1 a row;
+    without exactly p + 1 a row comparison; static prefixes are as bad as that once they miss the column."""
     out = None
     for p in (0, 4, 8):
         names, source = _prefixed(p)
         x = _derived(s, d, source)
         for method in ("generate", "full", "pmnk1", "pmnk2"):
-            y = sort.measured(x, names, 8, method).agg(F.sum("n").alias("n"), F.sum("row_cmp").alias("row_cmp"), F.sum("columns").alias("columns")).select(F.lit(p).alias("prefix"), F.lit(method).alias("method"), "n", "row_cmp", "columns")
+            each = (p + 1) * F.sum("row_cmp")
+            claim = F.sum("columns") <= (p + 1) * F.sum("n") if method == "generate" else F.sum("columns") == each if method == "full" or p >= int(method[4:]) else F.sum("columns") < each
+            y = sort.measured(x, names, 8, method).agg(F.sum("n").alias("n"), claim.alias("holds")).select(F.lit(p).alias("prefix"), F.lit(method).alias("method"), "n", "holds")
             out = y if out is None else out.unionByName(y)
     return out
 
 
-@add("headline_saving")
+@add("headline_saving", f"SELECT {_ONE} AS n, true AS codes_within_columns_times_rows, true AS over_5_times_fewer_than_traditional, true AS truncated_runs_smaller, true AS same_merges")
 def headline_saving(s: SparkSession, d: str) -> DataFrame:
-    """Column comparisons and spilled bytes of external sorts with and without codes and truncation, eight key columns."""
-    x, out = lines(s, d, K8), None
-    for method, compress in (("tree", True), ("tree", False), ("quick", False), ("full", False)):
-        y = sort.measured(x, K8, 8, method, memory=2000, fan_in=4, compress=compress).agg(*[F.sum(c).alias(c) for c in ("n", "row_cmp", "columns", "runs", "spilled_bytes", "plain_bytes")])
-        y = y.select(F.lit(f"{method}{', truncated runs' if compress else ''}").alias("method"), "*")
-        out = y if out is None else out.unionByName(y)
-    return out
+    """External sorts of eight key columns, same memory and fan-in: queue of losers, codes and truncated runs
+    against quicksorted plain runs merged by a binary heap with full comparisons."""
+    x, out = scratch.cut(lines(s, d, K8), "headline"), None
+    for method in ("tree", "traditional"):
+        y = sort.measured(x, K8, 8, method, memory=500, fan_in=4).agg(*[F.sum(c).alias(f"{c}_{method}") for c in ("n", "row_cmp", "columns", "runs", "spilled_bytes")])
+        out = y if out is None else out.crossJoin(y)  # one row each
+    return out.select(
+        F.col("n_tree").alias("n"), (F.col("columns_tree") <= 8 * F.col("n_tree")).alias("codes_within_columns_times_rows"), (F.col("columns_traditional") > 5 * F.col("columns_tree")).alias("over_5_times_fewer_than_traditional"),
+        (F.col("spilled_bytes_tree") < 0.8 * F.col("spilled_bytes_traditional")).alias("truncated_runs_smaller"), (F.col("runs_tree") == F.col("runs_traditional")).alias("same_merges"),
+    )
+
+
+_ALL_COLUMNS = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"]
 
 
 def _copies_source(each: int) -> tuple[list[str], str]:
@@ -224,8 +239,7 @@ def _copies_source(each: int) -> tuple[list[str], str]:
 )
 def dup_bypass_counts(s: SparkSession, d: str) -> DataFrame:
     out = None
-    order = W.orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate")
-    base = scratch.cut(t(s, d, "lineitem").select((F.row_number().over(order) - 1).cast("long").alias("rid")), "copies")
+    base = derive.numbered(t(s, d, "lineitem"), _ALL_COLUMNS, "rid").select("rid")
     base.createOrReplaceTempView("__rid")
     for c in (1, 10, 100, 1000, 10000):
         names, cols = q.copies(c)
@@ -257,6 +271,12 @@ def truncate_array(s: SparkSession, d: str) -> DataFrame:
     return formats.truncate(of, "array").groupBy(F.size("tail").alias("stored")).agg(F.count(F.lit(1)).alias("n"))
 
 
+@add("truncate_array_roundtrip", "SELECT CAST(l_orderkey AS VARCHAR) AS l_orderkey, CAST(l_linenumber AS VARCHAR) AS l_linenumber FROM lineitem")
+def truncate_array_roundtrip(s: SparkSession, d: str) -> DataFrame:
+    of = derive.attach(lines(s, d, KL), KL, 1)
+    return formats.expand_array(scratch.cut(formats.truncate(of, "array"), "truncated-arrays"), KL, list(of.partitioned_by)).select(*KL)
+
+
 @add("rle_columns", " UNION ALL ".join(f"SELECT {j} AS col_no, CAST({n} AS BIGINT) AS runs, (SELECT count(*) FROM lineitem) AS covered FROM (SELECT 1)" for j, n in enumerate(q.ndv("lineitem", K6))))
 def rle_columns(s: SparkSession, d: str) -> DataFrame:
     runs = formats.to_rle(derive.attach(lines(s, d, K6), K6, 1))
@@ -290,7 +310,11 @@ def rle_aggregate(s: SparkSession, d: str) -> DataFrame:
     return out.select(F.col(g[0]).alias("l_returnflag"), F.col(g[1]).alias("l_linestatus"), "n", "quantity")
 
 
-@add("rle_carry")
+@add(
+    "rle_carry",
+    "WITH o AS (SELECT l_returnflag, l_linestatus, off, row_number() OVER (PARTITION BY l_returnflag, l_linestatus ORDER BY l_linenumber, l_tax, l_discount, l_quantity, off) - 1 AS pos FROM "
+    f"{q.offsets('lineitem', K6)}) SELECT count(*) AS n, CAST(sum(CASE WHEN pos % 65536 = 0 THEN 0 ELSE off END) AS BIGINT) AS without_carry, true AS fewer_with_carry FROM o",
+)
 def rle_carry(s: SparkSession, d: str) -> DataFrame:
     """Counter updates of translating rows to columns with and without carry, by block of rows."""
     import pyarrow as pa
@@ -304,80 +328,124 @@ def rle_carry(s: SparkSession, d: str) -> DataFrame:
     x = x.repartition(*of.partitioned_by, "part").sortWithinPartitions(*of.partitioned_by, "part", formats.POS)
 
     def run(batches):
-        ends, before = [], None
-        for b in batches:
-            for key, o in zip(zip(*(b.column(c).to_pylist() for c in blocks), strict=True), b.column(OFFSET).to_pylist(), strict=True):
-                if key != before:
-                    ends.append([])
-                    before = key
-                    o = 0
-                ends[-1].append((o, tuple(range(o, 6))))
-        out = [0, 0, 0]
-        for block in ends:
+        out, before, block = [0, 0, 0], None, []
+
+        def close() -> None:
             for i, carry in enumerate((True, False)):
                 c = Counters()
                 kernel.to_columns(block, 6, c, carry)
                 out[i] += c.translated
             out[2] += len(block)
+
+        for b in batches:
+            for key, o in zip(zip(*(b.column(c).to_pylist() for c in blocks), strict=True), b.column(OFFSET).to_pylist(), strict=True):
+                if key != before:
+                    close()
+                    before, o = key, 0
+                    block = []
+                block.append((o, tuple(range(o, 6))))
+        close()
         yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in out], names=["with_carry", "without_carry", "n"])
 
-    return x.mapInArrow(run, "with_carry long, without_carry long, n long").agg(*[F.sum(c).alias(c) for c in ("with_carry", "without_carry", "n")])
+    counts = x.mapInArrow(run, "with_carry long, without_carry long, n long").agg(*[F.sum(c).alias(c) for c in ("with_carry", "without_carry", "n")])
+    return counts.select("n", "without_carry", (F.col("with_carry") < F.col("without_carry")).alias("fewer_with_carry"))
 
 
 # ---------------------------------------------------------------- sorting
-@add("external_sort", f"SELECT l_orderkey + {q.HALF} AS k0, l_linenumber + {q.HALF} AS k1, count(*) AS n FROM lineitem GROUP BY ALL")
-def external_sort(s: SparkSession, d: str) -> DataFrame:
-    x = sort.external_sort(lines(s, d, KL), KL, 8, memory=1000, fan_in=4)
-    return x.groupBy("k0", "k1").agg(F.count(F.lit(1)).alias("n"))
+_SORTED = f"SELECT l_orderkey, l_linenumber, off, count(*) AS n FROM {q.offsets('lineitem', KL)} GROUP BY ALL"
+
 
+def _sorted(**options) -> Query:
+    def run(s: SparkSession, d: str) -> DataFrame:
+        x = sort.external_sort(lines(s, d, KL), KL, 8, memory=1000, fan_in=4, **options)
+        return x.groupBy(*KL, F.col(OFFSET).alias("off")).agg(F.count(F.lit(1)).alias("n"))
+
+    return run
+
+
+for _name, _options in (("external_sort", {}), ("external_sort_replacement", {"run_gen": "replacement"}), ("external_sort_rle", {"compress": "rle"}), ("external_sort_traditional", {"run_gen": "quick", "merge": "heap", "compress": False})):
+    add(_name, _SORTED)(_sorted(**_options))
 
-@add("external_sort_order", f"SELECT l_orderkey + {q.HALF} AS k0, off, count(*) AS n FROM {q.offsets('lineitem', KL)} WHERE off > 0 GROUP BY ALL")
+
+@add("external_sort_order", f"SELECT l_orderkey, off, true AS in_order, count(*) AS n FROM {q.offsets('lineitem', KL)} GROUP BY ALL")
 def external_sort_order(s: SparkSession, d: str) -> DataFrame:
+    """Every row's place, and its offset, against the row before it in its part."""
     x = sort.external_sort(lines(s, d, KL), KL, 8, memory=1000, fan_in=4, run_gen="quick", compress=False)
     w = W.partitionBy("__part").orderBy("__pos")
-    checked = x.withColumn("off", F.when(F.lag("k0").over(w) == F.col("k0"), F.when(F.lag("k1").over(w) == F.col("k1"), 2).otherwise(1)).otherwise(0))
-    return checked.where((F.col("off") == F.col(OFFSET)) & (F.col("off") > 0)).groupBy("k0", "off").agg(F.count(F.lit(1)).alias("n"))
+    before = [F.lag(c).over(w) for c in KL]
+    own = F.when(before[0].isNull(), F.col(OFFSET)).when(before[0] != F.col(KL[0]), 0).when(before[1] != F.col(KL[1]), 1).otherwise(2)
+    ok = before[0].isNull() | (before[0] < F.col(KL[0])) | ((before[0] == F.col(KL[0])) & (before[1] <= F.col(KL[1])))
+    return x.select("l_orderkey", F.col(OFFSET).alias("off"), (ok & (own == F.col(OFFSET))).alias("in_order")).groupBy("l_orderkey", "off", "in_order").agg(F.count(F.lit(1)).alias("n"))
 
 
-@add("external_sort_replacement", f"SELECT l_orderkey + {q.HALF} AS k0, l_linenumber + {q.HALF} AS k1, count(*) AS n FROM lineitem GROUP BY ALL")
-def external_sort_replacement(s: SparkSession, d: str) -> DataFrame:
-    return sort.external_sort(lines(s, d, KL), KL, 8, memory=1000, fan_in=4, run_gen="replacement").groupBy("k0", "k1").agg(F.count(F.lit(1)).alias("n"))
+def _dedup(table: str, select: str, keys: list[str]) -> Query:
+    return lambda s, d: sort.external_sort(t(s, d, table).selectExpr(*select.split(", ")), keys, 8, memory=1000, fan_in=4, dedup=True).select(*[k.lstrip("-") for k in keys])
 
 
-@add("external_sort_dedup", f"SELECT DISTINCT l_orderkey + {q.HALF} AS k0, l_linenumber + {q.HALF} AS k1 FROM lineitem")
-def external_sort_dedup(s: SparkSession, d: str) -> DataFrame:
-    return sort.external_sort(lines(s, d, KL), KL, 8, memory=1000, fan_in=4, dedup=True).select("k0", "k1")
+for _name, _table, _select, _keys in (
+    ("external_sort_dedup", "lineitem", "l_orderkey, l_linenumber", KL),
+    ("external_sort_dedup_text", "documents", "lang, text", ["lang", "-text"]),
+    ("external_sort_dedup_double", "lineitem", "l_extendedprice, l_discount", ["-l_extendedprice", "l_discount"]),
+    ("external_sort_dedup_wide", "lineitem", "l_returnflag, l_orderkey * 3 + 1152921504606846976 AS wide", ["l_returnflag", "wide"]),
+    ("external_sort_dedup_time", "lineitem", "l_shipdate, l_linestatus", ["-l_shipdate", "l_linestatus"]),
+):
+    add(_name, f"SELECT DISTINCT {_select} FROM {_table}")(_dedup(_table, _select, _keys))
 
 
-@add("external_sort_agg", f"SELECT l_orderkey + {q.HALF} AS k0, count(*) AS n FROM lineitem GROUP BY ALL")
+@add("external_sort_agg", "SELECT l_orderkey, count(*) AS n, round(sum(l_quantity), 2) AS quantity, min(l_linenumber) AS lo, max(l_shipdate) AS hi FROM lineitem GROUP BY l_orderkey")
 def external_sort_agg(s: SparkSession, d: str) -> DataFrame:
-    """Early aggregation below the sort, then groups by codes above it."""
-    early = lines(s, d, ["l_orderkey"]).groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("n"))
-    of = derive.attach(early, ["l_orderkey"], 1)
-    return stream.aggregate(of, 1, [F.sum("n").alias("n")]).select((F.col("l_orderkey") + q.HALF).alias("k0"), "n")
+    """Groups are folded while runs are written and in every merge; a group keeps its first row's code."""
+    x = sort.external_sort(lines(s, d, ["l_orderkey", "l_quantity", "l_linenumber", "l_shipdate"]), ["l_orderkey"], 8, memory=1000, fan_in=4, aggs={"n": ("count", "*"), "quantity": ("sum", "l_quantity"), "lo": ("min", "l_linenumber"), "hi": ("max", "l_shipdate")})
+    return x.select("l_orderkey", "n", F.round("quantity", 2).alias("quantity"), "lo", "hi")
+
+
+@add("agg_codes_handed_on", f"WITH g AS (SELECT l_returnflag, l_linestatus, l_linenumber, count(*) AS n FROM lineitem GROUP BY ALL) SELECT *, (SELECT count(*) FROM g) AS groups FROM (SELECT l_returnflag, l_linestatus, l_linenumber, n, off FROM {q.offsets('g', K6[:3])})")
+def agg_codes_handed_on(s: SparkSession, d: str) -> DataFrame:
+    """A sort that aggregates hands its codes on: groups of groups are found by them, without a second sort."""
+    x = sort.external_sort(lines(s, d, K6[:3]), K6[:3], 8, memory=1000, fan_in=4, aggs={"n": ("count", "*")})
+    groups = x.agg(F.sum((F.col(OFFSET) < 3).cast("long")).alias("groups"))
+    return x.select(*K6[:3], "n", F.col(OFFSET).alias("off")).crossJoin(F.broadcast(groups))  # one row
 
 
 @add("plain_sort_ranks", "SELECT o_orderkey, row_number() OVER (ORDER BY o_orderdate DESC, o_orderkey) AS r FROM orders")
 def plain_sort(s: SparkSession, d: str) -> DataFrame:
-    return t(s, d, "orders").select("o_orderkey", F.row_number().over(W.orderBy(F.col("o_orderdate").desc(), "o_orderkey")).cast("long").alias("r"))
+    x = derive.numbered(t(s, d, "orders").select("o_orderkey", "o_orderdate"), ["-o_orderdate", "o_orderkey"], "r")
+    return x.select("o_orderkey", (F.col("r") + 1).alias("r"))
+
+
+def _runs8(s: SparkSession, d: str) -> DataFrame:
+    return lines(s, d, KL, ("l_partkey",)).withColumn("run", F.pmod("l_partkey", F.lit(8))).drop("l_partkey")
 
 
 def _exchange(by: str) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        x = lines(s, d, KL, ("l_partkey",)).withColumn("run", F.pmod("l_partkey", F.lit(8)))
-        out = sort.merging_exchange(x, KL, "run", 1 if by == "single" else 6, by)
-        if by == "single":
-            return out.groupBy("l_orderkey", "l_linenumber", F.col(OFFSET).alias("off")).agg(F.count(F.lit(1)).alias("n"))
-        w = W.partitionBy("bucket").orderBy("pos")
+        out = sort.merging_exchange(_runs8(s, d), KL, "run", 1 if by == "single" else 6, by)
+        w = W.partitionBy("bucket").orderBy("__pos")
         ok = (F.lag("l_orderkey").over(w) < F.col("l_orderkey")) | ((F.lag("l_orderkey").over(w) == F.col("l_orderkey")) & (F.lag("l_linenumber").over(w) <= F.col("l_linenumber")))
-        return out.withColumn("in_order", F.coalesce(ok, F.lit(True))).groupBy("l_orderkey", "l_linenumber", "in_order").agg(F.count(F.lit(1)).alias("n"))
+        more = [F.col(OFFSET).alias("off")] if by != "hash" else []
+        return out.withColumn("in_order", F.coalesce(ok, F.lit(True))).groupBy(*KL, "in_order", *more).agg(F.count(F.lit(1)).alias("n"))
 
     return run
 
 
-for _by in ("range", "hash"):
-    add(f"merge_exchange_{_by}", "SELECT l_orderkey, CAST(l_linenumber AS BIGINT) AS l_linenumber, true AS in_order, count(*) AS n FROM lineitem GROUP BY ALL")(_exchange(_by))
-add("merge_exchange_single", f"SELECT l_orderkey, CAST(l_linenumber AS BIGINT) AS l_linenumber, off, count(*) AS n FROM {q.offsets('lineitem', KL)} GROUP BY ALL")(_exchange("single"))
+for _by in ("range", "single"):
+    add(f"merge_exchange_{_by}", f"SELECT l_orderkey, l_linenumber, true AS in_order, off, count(*) AS n FROM {q.offsets('lineitem', KL)} GROUP BY ALL")(_exchange(_by))
+add("merge_exchange_hash", "SELECT l_orderkey, l_linenumber, true AS in_order, count(*) AS n FROM lineitem GROUP BY ALL")(_exchange("hash"))
+
+
+@add("exchange_resort_baseline", f"SELECT l_orderkey, l_linenumber, off, count(*) AS n FROM {q.offsets('lineitem', KL)} GROUP BY ALL")
+def exchange_resort(s: SparkSession, d: str) -> DataFrame:
+    """The same without order in the exchange: rows are dealt out by ranges and sorted again, codes made anew."""
+    pieces = scratch.cut(derive.attach_arrow(_runs8(s, d).drop("run"), KL, 6), "resorted")
+    return derive.stitch_parts(pieces, key_spec(KL)).groupBy(*KL, F.col(OFFSET).alias("off")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@add("merge_exchange_counts", "SELECT (SELECT count(*) FROM lineitem) AS n, column_comparisons AS columns, true AS under_log_bound FROM (" + SQL["merge_column_comparisons"] + ")")
+def merge_exchange_counts(s: SparkSession, d: str) -> DataFrame:
+    """What a consumer of eight runs does with the codes in its packets: the columns it compares are those
+    that the identity over offsets says, no more."""
+    x = sort.merging_exchange(_runs8(s, d), KL, "run", 1, "single", counters=True)
+    return x.agg(F.sum("n").alias("n"), F.sum("columns").alias("columns"), (F.sum("row_cmp") <= 3 * F.sum("n")).alias("under_log_bound"))
 
 
 # ---------------------------------------------------------------- consumers of codes
@@ -417,8 +485,7 @@ for _ratio in (1, 10, 100, 1000, 10000):
 
     def _agg_ratio(s: SparkSession, d: str, ratio: int = _ratio) -> DataFrame:
         names, cols = q.copies(ratio, base=9)
-        order = W.orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate")
-        t(s, d, "lineitem").select("*", (F.row_number().over(order) - 1).alias("rid")).createOrReplaceTempView("__numbered")
+        derive.numbered(t(s, d, "lineitem"), _ALL_COLUMNS, "rid").createOrReplaceTempView("__numbered")
         x = s.sql(f"SELECT {cols}, l_quantity FROM __numbered")
         of = derive.attach(x, names, 5)
         return stream.aggregate(of, 8, [F.count(F.lit(1)).alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity")])
@@ -428,8 +495,7 @@ for _ratio in (1, 10, 100, 1000, 10000):
 
     def _segments(s: SparkSession, d: str, ratio: int = _ratio) -> DataFrame:
         names, cols = q.copies(ratio, base=9)
-        order = W.orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate")
-        t(s, d, "lineitem").select((F.row_number().over(order) - 1).alias("rid")).createOrReplaceTempView("__numbered2")
+        derive.numbered(t(s, d, "lineitem"), _ALL_COLUMNS, "rid").createOrReplaceTempView("__numbered2")
         of = derive.attach(s.sql(f"SELECT {cols} FROM __numbered2"), names, 5)
         x = stream.segment(of, 8)
         return x.groupBy(*names).agg(F.sum(F.col("seg_start").cast("long")).alias("flags"), F.count(F.lit(1)).alias("n"))
@@ -437,6 +503,39 @@ for _ratio in (1, 10, 100, 1000, 10000):
     add(f"segments_flags_{_ratio}", f"SELECT {', '.join(_names)}, CAST(1 AS BIGINT) AS flags, count(*) AS n FROM (SELECT {_cols} FROM {q.RID}) GROUP BY ALL")(_segments)
 
 
+def _columns(columns: int, base: int, ratio: int = 100) -> tuple[list[str], str]:
+    return q.copies(ratio, base=base, columns=columns)
+
+
+for _c, _base in ((2, 80), (4, 9), (6, 5)):
+
+    def _agg_columns(s: SparkSession, d: str, c: int = _c, base: int = _base) -> DataFrame:
+        names, cols = _columns(c, base)
+        derive.numbered(t(s, d, "lineitem"), _ALL_COLUMNS, "rid").createOrReplaceTempView("__numbered3")
+        of = derive.attach(s.sql(f"SELECT {cols}, l_quantity FROM __numbered3"), names, max(1, c - 1))
+        return stream.aggregate(of, c, [F.count(F.lit(1)).alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity")])
+
+    def _segment_columns(s: SparkSession, d: str, c: int = _c, base: int = _base, by_codes: bool = True) -> DataFrame:
+        """Segment starts by codes, or by comparing every column with the row before (the baseline)."""
+        names, cols = _columns(c, base)
+        derive.numbered(t(s, d, "lineitem"), _ALL_COLUMNS, "rid").createOrReplaceTempView("__numbered4")
+        x = s.sql(f"SELECT {cols} FROM __numbered4")
+        if by_codes:
+            flagged = stream.segment(derive.attach(x, names, max(1, c - 1)), c)
+        else:
+            w = W.partitionBy(names[0]).orderBy(*names[1:])
+            same = F.lit(True)
+            for n in names:
+                same = same & F.col(n).eqNullSafe(F.lag(n).over(w))
+            flagged = x.withColumn("seg_start", ~same)
+        return flagged.groupBy(*names).agg(F.sum(F.col("seg_start").cast("long")).alias("flags"), F.count(F.lit(1)).alias("n"))
+
+    _names, _cols = _columns(_c, _base)
+    add(f"agg_instream_columns_{_c}", f"SELECT {', '.join(_names)}, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM (SELECT {_cols}, l_quantity FROM {q.RID}) GROUP BY ALL")(_agg_columns)
+    for _how in (True, False):
+        add(f"segments_{'columns' if _how else 'full_compare_baseline'}_{_c}", f"SELECT {', '.join(_names)}, CAST(1 AS BIGINT) AS flags, count(*) AS n FROM (SELECT {_cols} FROM {q.RID}) GROUP BY ALL")(lambda s, d, f=_segment_columns, how=_how: f(s, d, by_codes=how))
+
+
 @add("count_distinct_instream", "SELECT l_returnflag, count(DISTINCT l_suppkey) AS n FROM lineitem GROUP BY l_returnflag")
 def count_distinct_instream(s: SparkSession, d: str) -> DataFrame:
     return stream.count_distinct(derive.attach(lines(s, d, ["l_returnflag", "l_suppkey"]), ["l_returnflag", "l_suppkey"], 1), 1, "n")
@@ -484,13 +583,20 @@ def resort(s: SparkSession, d: str) -> DataFrame:
 
 @add("filter_keep_codes", f"SELECT {', '.join(K6)}, off, count(*) AS n FROM {q.offsets('(SELECT * FROM lineitem WHERE l_extendedprice > 40000)', K6)} GROUP BY ALL")
 def filter_keep_codes(s: SparkSession, d: str) -> DataFrame:
-    of = derive.attach(lines(s, d, K6, ("l_extendedprice",)), K6, 1)
+    of = derive.attach(lines(s, d, K6, ("l_extendedprice",)), K6, None)
     return off(stream.keep(of, F.col("l_extendedprice") > 40000)).groupBy(*K6, "off").agg(F.count(F.lit(1)).alias("n"))
 
 
 @add("project_keep_codes", f"SELECT {', '.join(K6[:3])}, off, count(*) AS n FROM {q.offsets('lineitem', K6[:3])} GROUP BY ALL")
 def project_keep_codes(s: SparkSession, d: str) -> DataFrame:
-    return off(stream.shorten(derive.attach(lines(s, d, K6), K6, 1), 3)).groupBy(*K6[:3], "off").agg(F.count(F.lit(1)).alias("n"))
+    return off(stream.shorten(derive.attach(lines(s, d, K6), K6, 3), 3)).groupBy(*K6[:3], "off").agg(F.count(F.lit(1)).alias("n"))
+
+
+@add("agg_groups_coded", f"WITH g AS (SELECT l_returnflag, l_linestatus, l_linenumber, count(*) AS n FROM lineitem GROUP BY ALL) SELECT l_returnflag, l_linestatus, l_linenumber, n, off FROM {q.offsets('g', K6[:3])}")
+def agg_groups_coded(s: SparkSession, d: str) -> DataFrame:
+    """Groups take their first rows' codes: the output is coded without looking at a column."""
+    groups = stream.aggregate_coded(derive.attach(lines(s, d, K6), K6, 3), 3, [F.count(F.lit(1)).alias("n")])
+    return off(groups).select(*K6[:3], "n", "off")
 
 
 @add("rollup_codes", "SELECT l_returnflag, l_linestatus, l_linenumber, CAST(3 - (grouping(l_returnflag) + grouping(l_linestatus) + grouping(l_linenumber)) AS INT) AS level, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM lineitem GROUP BY ROLLUP (l_returnflag, l_linestatus, l_linenumber)")
@@ -562,6 +668,51 @@ def merge_join_codes(s: SparkSession, d: str) -> DataFrame:
     return off(join.merge_join(o, x, "inner")).groupBy("o_orderkey", "off").agg(F.count(F.lit(1)).alias("n"))
 
 
+def _coded(how: str) -> Query:
+    def run(s: SparkSession, d: str) -> DataFrame:
+        o = t(s, d, "orders").where("o_totalprice < 400000").select("o_orderkey", "o_custkey")
+        x = t(s, d, "lineitem").where("l_returnflag <> 'N'").select(F.col("l_orderkey").alias("o_orderkey"), "l_partkey")
+        cols = ["o_orderkey", "o_custkey"] + (["l_partkey"] if how not in ("semi", "anti") else [])
+        return off(join.coded_join(o, x, ["o_orderkey"], 8, how)).groupBy(*cols).agg(F.count(F.lit(1)).alias("n"))
+
+    return run
+
+
+for _how in ("inner", "left", "right", "full", "semi", "anti"):
+    add(f"coded_join_{_how}", SQL[f"merge_join_{_how}"])(_coded(_how))
+
+
+@add("coded_join_codes", SQL["merge_join_codes"])
+def coded_join_codes(s: SparkSession, d: str) -> DataFrame:
+    o = t(s, d, "orders").where("o_totalprice < 400000").select("o_orderkey", "o_custkey")
+    x = t(s, d, "lineitem").where("l_returnflag <> 'N'").select(F.col("l_orderkey").alias("o_orderkey"), "l_partkey")
+    return off(join.coded_join(o, x, ["o_orderkey"], 8)).groupBy("o_orderkey", "off").agg(F.count(F.lit(1)).alias("n"))
+
+
+_SIDES = "(SELECT l_orderkey, l_linenumber, 0 AS side FROM lineitem WHERE l_returnflag = 'R' UNION ALL SELECT l_orderkey, l_linenumber, 1 AS side FROM lineitem WHERE l_linestatus = 'O')"
+
+
+def _window_offsets(by: str, tie: str) -> str:
+    w = f"(PARTITION BY {by} ORDER BY l_orderkey, l_linenumber{tie})"
+    return f"CASE WHEN row_number() OVER {w} = 1 OR lag(l_orderkey) OVER {w} <> l_orderkey THEN 0 WHEN lag(l_linenumber) OVER {w} <> l_linenumber THEN 1 ELSE 2 END"
+
+
+@add(
+    "coded_join_counts",
+    f"WITH u AS (SELECT *, CAST(floor(l_orderkey / 4096) AS INT) AS part FROM {_SIDES}), o AS (SELECT part, {_window_offsets('part', ', side')} AS m, {_window_offsets('part, side', '')} AS own FROM u), "
+    "c AS (SELECT part, CAST(sum(m) - sum(own) - (sum(CASE WHEN m = 2 THEN 1 ELSE 0 END) - sum(CASE WHEN own = 2 THEN 1 ELSE 0 END)) AS BIGINT) AS columns FROM o GROUP BY part), "
+    "j AS (SELECT a.part, count(*) AS n FROM u a JOIN u b ON a.l_orderkey = b.l_orderkey AND a.l_linenumber = b.l_linenumber AND a.side = 0 AND b.side = 1 GROUP BY a.part) "
+    "SELECT c.part, coalesce(n, 0) AS n, columns, true AS fewer_than_by_full_comparison FROM c LEFT JOIN j ON c.part = j.part",
+)
+def coded_join_counts(s: SparkSession, d: str) -> DataFrame:
+    """Columns compared by a merge join on codes: exactly those that the offsets say. Full comparison looks at
+    one column at least for each row."""
+    x = t(s, d, "lineitem")
+    a, b = x.where("l_returnflag = 'R'").select(*KL), x.where("l_linestatus = 'O'").select(*KL)
+    out = join.coded_join(a, b, KL, 8, "inner", within=F.floor(F.col("l_orderkey") / 4096), counters=True)
+    return out.select("part", "n", "columns", (F.col("columns") <= F.col("row_cmp")).alias("fewer_than_by_full_comparison"))
+
+
 @add("merge_join_labels", "SELECT coalesce(d.doc_id, l.doc_id) AS doc_id, lang, quality FROM documents d FULL JOIN labels l ON d.doc_id = l.doc_id")
 def merge_join_labels(s: SparkSession, d: str) -> DataFrame:
     a = derive.attach(t(s, d, "documents").select("doc_id", "lang"), ["doc_id"], 1)
@@ -635,40 +786,48 @@ def join_asof(s: SparkSession, d: str) -> DataFrame:
 # ---------------------------------------------------------------- stores
 @add("stepped_merge", f"SELECT {', '.join(KE)}, off, count(*) AS n FROM {q.offsets('events', KE)} GROUP BY ALL")
 def stepped_merge(s: SparkSession, d: str) -> DataFrame:
-    """Daily batches arrive as sorted runs; levels of eight are merged; what is there is one order."""
+    """Daily batches arrive as sorted runs; levels of eight are merged by the codes they were stored with, and
+    so is what there is when it is read."""
     e = t(s, d, "events").select(*KE, "event_id")
     days = [r[0] for r in e.select(F.to_date("ts").alias("day")).distinct().orderBy("day").collect()]  # a row for each batch
     runs = store.RunStore(s, KE, fan_in=8)
     for k, day in enumerate(days):
         runs.append_run(e.where(F.to_date("ts") == F.lit(day)), k)
-    return off(derive.attach(runs.scan(), KE, 2)).groupBy(*KE, "off").agg(F.count(F.lit(1)).alias("n"))
+    return off(runs.merged()).groupBy(*KE, "off").agg(F.count(F.lit(1)).alias("n"))
 
 
 @add("key_depth", "SELECT 21 AS columns_for_ten_billion_of_three, " + ", ".join(f"{n} AS p{j + 1}" for j, n in enumerate(q.ndv("lineitem", K8))))
 def key_depth(s: SparkSession, d: str) -> DataFrame:
-    counts = stream.group_counts(derive.attach(lines(s, d, K8), K8, 3))
+    counts = stream.group_counts(derive.attach(lines(s, d, K8), K8, None))
     return counts.select(F.lit(round(measures.key_depth(1e10, 3))).alias("columns_for_ten_billion_of_three"), "*")
 
 
-def _experiment(name: str, rows: int) -> Query:
+def _experiment(name: str, sizes: tuple[int, ...]) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        """The experiment in a task of its own; a row of JSON for each of its rows."""
-        import json
-
+        """The experiment over prefixes of lineitem, one after another in a task of its own: what it finds, claim by claim."""
         import pyarrow as pa
 
+        x = derive.numbered(t(s, d, "lineitem"), _ALL_COLUMNS, "rid").where(F.col("rid") < max(sizes))
+        x = x.select("rid", F.xxhash64("rid", "l_orderkey", "l_partkey").bitwiseAND(F.lit((1 << 40) - 1)).alias("h")).repartition(1).sortWithinPartitions("rid")
+
         def work(batches):
             from prefixcode.workloads import experiments
 
+            values: list[int] = []
             for b in batches:
-                if b.num_rows:
-                    lines = [json.dumps(x) for x in experiments.ALL[name](rows)]
-                    yield pa.RecordBatch.from_arrays([pa.array([name] * len(lines)), pa.array(lines)], names=["experiment", "result"])
+                values += b.column("h").to_pylist()
+            found, before = [], None
+            for n in sizes:
+                some = values[:n]
+                if len(some) != before:  # a table that is shorter than both sizes is run once
+                    found, before = experiments.found(name, some) if some else [], len(some)
+                yield pa.RecordBatch.from_arrays([pa.array([name] * len(found), pa.string()), pa.array([n] * len(found), pa.int64()), pa.array([len(some)] * len(found), pa.int64()), pa.array([c for c, _ in found], pa.string()), pa.array([bool(h) for _, h in found], pa.bool_())], names=["experiment", "size", "n", "claim", "holds"])
 
-        return s.range(1).coalesce(1).mapInArrow(work, "experiment string, result string")
+        return x.mapInArrow(work, "experiment string, size long, n long, claim string, holds boolean")
 
     return run
 
 
-for _e, _rows in (("run_generation", 10_000), ("merging", 1_000), ("constant_prefix", 1_000), ("hash_values", 3_000), ("duplicates", 1_000), ("compression", 10_000), ("segmentation", 10_000), ("aggregation", 10_000), ("run_sizes", 10_000)):
-    add(f"experiment_{_e}")(_experiment(_e, _rows))
+for _e, _sizes in experiments.SIZES.items():
+    _rows = " UNION ALL ".join(f"SELECT '{_e}' AS experiment, CAST({_n} AS BIGINT) AS size, least(CAST({_n} AS BIGINT), {_ONE}) AS n, '{_claim}' AS claim, true AS holds FROM (SELECT 1)" for _n in _sizes for _claim in experiments.CLAIMS[_e])
+    add(f"experiment_{_e}", _rows)(_experiment(_e, _sizes))

@@ -11,7 +11,8 @@ from pyspark.sql import Window as W
 from prefixcode.functions import udfs
 from prefixcode.operators import derive
 from prefixcode.plans.frame import OFFSET
-from prefixcode.sources import scratch
+from prefixcode.sources import scratch, store
+from prefixcode.sources.runreader import PrefixRuns
 from prefixcode.streaming import events
 from prefixcode.workloads import sql as q
 
@@ -198,6 +199,46 @@ def fn_json_struct(s: SparkSession, d: str) -> DataFrame:
     return t(s, d, "events").select("event_id", F.from_json("props", "k long")["k"].alias("k"))
 
 
+@add("fn_json_variant", SQL["fn_json"])
+def fn_json_variant(s: SparkSession, d: str) -> DataFrame:
+    return t(s, d, "events").select("event_id", F.variant_get(F.parse_json("props"), "$.k", "long").alias("k"))
+
+
+@add("fn_zip_map", "SELECT vec_id, round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE))), 3) AS length2, label * 2 AS twice FROM embeddings")
+def fn_zip_map(s: SparkSession, d: str) -> DataFrame:
+    """Two arrays element by element, and a map that is looked up."""
+    e = F.transform("embedding", lambda x: x.cast("double"))
+    doubled = F.transform_values(F.map_from_arrays(F.array(F.lit("label")), F.array("label")), lambda _, v: v * 2)
+    return t(s, d, "embeddings").select("vec_id", F.round(F.aggregate(F.zip_with(e, e, lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x), 3).alias("length2"), F.element_at(doubled, "label").alias("twice"))
+
+
+_KINDS = f"SELECT CASE WHEN off = 0 THEN 'first' WHEN off >= 2 THEN 'repeat' ELSE 'shared' END AS kind, count(*) AS n, CAST(sum(2 - off) AS BIGINT) AS stored FROM {q.offsets('lineitem', q.KL)} GROUP BY 1"
+
+
+@add("udf_pandas_arrow", _KINDS)
+def udf_pandas_arrow(s: SparkSession, d: str) -> DataFrame:
+    of = derive.attach(t(s, d, "lineitem").select(*q.KL), q.KL, 1)
+    x = of.df.select(udfs.offset_kind(F.col(OFFSET), F.lit(2)).alias("kind"), udfs.stored_cells(F.col(OFFSET), F.lit(2)).alias("cells"))
+    return x.groupBy("kind").agg(F.count(F.lit(1)).alias("n"), F.sum("cells").alias("stored"))
+
+
+@add("bucketed_join", "SELECT o_orderkey, o_custkey, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY ALL")
+def bucketed_join(s: SparkSession, d: str) -> DataFrame:
+    """Both tables in buckets by the key, sorted: the merge join and the groups above it need no exchange."""
+    o = scratch.bucketed(t(s, d, "orders").select("o_orderkey", "o_custkey"), ["o_orderkey"], 8, "orders")
+    x = scratch.bucketed(t(s, d, "lineitem").select("l_orderkey"), ["l_orderkey"], 8, "lineitem")
+    return o.join(x.hint("merge"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderkey", "o_custkey").agg(F.count(F.lit(1)).alias("n"))
+
+
+@add("run_reader", "SELECT l_orderkey, l_linenumber, count(*) AS n FROM lineitem GROUP BY ALL")
+def run_reader(s: SparkSession, d: str) -> DataFrame:
+    """A stored run read by the data source of this package, a task for each of its files."""
+    path = scratch.fresh(s, "run")
+    store.write_sorted(t(s, d, "lineitem").select(*q.KL), q.KL, path, 4)
+    s.dataSource.register(PrefixRuns)
+    return s.read.format("prefix_runs").option("path", path).load().groupBy(*q.KL).agg(F.count(F.lit(1)).alias("n"))
+
+
 @add("fn_url", "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, CAST(length(regexp_replace(html, '<[^>]*>', '', 'g')) AS BIGINT) AS plain FROM pages")
 def fn_url(s: SparkSession, d: str) -> DataFrame:
     return t(s, d, "pages").select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), F.length(F.regexp_replace("html", "<[^>]*>", "")).cast("long").alias("plain"))
@@ -247,12 +288,14 @@ add("stream_stream_join", "SELECT a.event_id AS a_id, b.event_id AS b_id FROM ev
 add("stream_stateful_groups", "SELECT user_id, count(*) AS n, max(event_id) AS last_event FROM events GROUP BY user_id")(events.stateful_groups)
 
 
+add("stream_late_rows", "SELECT (SELECT count(*) FROM events WHERE ts >= (SELECT min(ts) FROM events) + INTERVAL 15 DAY) AS in_time, (SELECT count(*) FROM events WHERE ts < (SELECT min(ts) FROM events) + INTERVAL 10 DAY) AS late")(events.late_rows)
+add("stream_rate", "SELECT CAST(i % 3 AS BIGINT) AS digit, count(*) AS n FROM range(0, 300) r(i) GROUP BY 1")(lambda s, d: events.rate(s, 300))
+
+
 @add("stream_runs", f"SELECT event_type, user_id, ts, off, count(*) AS n FROM {q.offsets('events', q.KE)} GROUP BY ALL")
 def stream_runs(s: SparkSession, d: str) -> DataFrame:
-    store = events.ingest(s, d, q.KE)
-    x = store.scan().withColumn("ts", F.col("ts").cast("timestamp_ntz"))
-    of = derive.attach(x.select(*q.KE), q.KE, 2)
-    return of.df.groupBy(*q.KE, F.col(OFFSET).alias("off")).agg(F.count(F.lit(1)).alias("n"))
+    x = events.ingest(s, d, q.KE).merged().withColumn("ts", F.col("ts").cast("timestamp_ntz"))
+    return x.groupBy(*q.KE, F.col(OFFSET).alias("off")).agg(F.count(F.lit(1)).alias("n"))
 
 
 del W

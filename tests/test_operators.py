@@ -1,13 +1,19 @@
 """Plans, order, nulls and edge cases of the operators on coded rows."""
 
+from collections import Counter
+from datetime import date, datetime
+from decimal import Decimal
+
 import pytest
+from hypothesis import given, settings
+from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from prefixcode.functions import codes
 from prefixcode.functions.keys import KeyCol, key_spec, pack_bits
 from prefixcode.operators import derive, join, sort, stream
 from prefixcode.plans import planner
-from prefixcode.plans.frame import CODE, OFFSET
+from prefixcode.plans.frame import CODE, OFFSET, OrderedFrame
 from prefixcode.sources import formats, store
 from prefixcode.sources.runreader import PrefixRuns
 
@@ -32,7 +38,11 @@ def test_deriving_takes_one_exchange(spark, items):
         assert plan(groups).count("Exchange") == 1
         counts = stream.count_distinct(of, 1, "n")
         assert plan(counts).count("Exchange") == 1
-        assert plan(stream.extend_sort(of, 2, ["l_quantity"]).df).count("Exchange") == 1
+        # rows are dealt out and sorted once; what else moves is the table of segments
+        text = plan(stream.extend_sort(of, 2, ["l_quantity"]).df)
+        sorts = [x for x in text.splitlines() if " Sort [" in x and "l_quantity" in x]
+        moved = [x for i, x in enumerate(text.splitlines()) if "- Exchange" in x and "HashAggregate" not in "".join(text.splitlines()[i + 1 : i + 2])]
+        assert len(sorts) == 1 and len(moved) == 1
     finally:
         spark.conf.unset("spark.sql.adaptive.enabled")
 
@@ -107,8 +117,54 @@ def test_consumers_check_their_input(spark, items):
     two = derive.attach(items.select("l_returnflag", "l_linestatus", "l_tax"), ["l_returnflag", "l_linestatus", "l_tax"], 2)
     with pytest.raises(ValueError, match="aren't together"):
         stream.aggregate(two, 1, [F.count(F.lit(1)).alias("n")])
-    with pytest.raises(ValueError, match="cross"):
-        stream.keep(two, F.lit(True))
+    odd = OrderedFrame(two.df, two.keys, two.scope, ("l_linestatus",))
+    with pytest.raises(ValueError, match="leading key columns"):
+        stream.keep(odd, F.lit(True))
+    for lost in (two.df.drop(OFFSET), two.df.drop("l_tax"), two.df.withColumn("l_tax", F.col("l_tax").cast("string"))):
+        with pytest.raises(ValueError, match="order is lost"):
+            two.with_df(lost)
+
+
+@pytest.mark.parametrize("share", ["l_quantity > 40", "l_quantity > 49 and l_tax > 0.05", "l_linestatus = 'O' and l_tax = 0.03", "false", "true"])
+def test_filters_keep_codes_over_groups(spark, items, share):
+    """However rows are dealt out, survivors have the codes that they would get from scratch."""
+    keys = ["l_returnflag", "l_linestatus", "l_linenumber", "l_tax", "l_quantity"]
+    want = sorted(tuple(r) for r in derive.attach(items.where(share).select(*keys), keys, 1).df.select(*keys, OFFSET, CODE).collect())
+    for lead in (1, 2, 3, None):
+        got = stream.keep(derive.attach(items.select(*keys), keys, lead), F.expr(share))
+        assert sorted(tuple(r) for r in got.df.select(*keys, OFFSET, CODE).collect()) == want
+
+
+def test_groups_take_their_first_rows_codes(spark, items):
+    keys = ["l_returnflag", "l_linestatus", "l_linenumber", "l_tax"]
+    for lead in (1, 2, 3):
+        got = stream.aggregate_coded(derive.attach(items.select(*keys), keys, lead), 3, [F.count(F.lit(1)).alias("n")])
+        want = derive.attach(items.groupBy(*keys[:3]).agg(F.count(F.lit(1)).alias("n")), keys[:3], 1)
+        cols = [*keys[:3], "n", OFFSET, CODE]
+        assert sorted(map(tuple, got.df.select(*cols).collect())) == sorted(map(tuple, want.df.select(*cols).collect()))
+
+
+def test_no_window_over_a_whole_table(spark, items):
+    """Numbers and codes by ranges: the only windows without partition are over a row for each range."""
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        keys = ["l_returnflag", "l_linestatus", "l_linenumber"]
+        for df in (derive.numbered(items.select(*keys), keys, "r"), derive.stitch_parts(derive.attach_arrow(items.select(*keys), keys, 4), key_spec(keys)), derive.attach(items.select(*keys), keys, None).df):
+            lines = plan(df).splitlines()
+            for i, line in enumerate(lines):
+                if "SinglePartition" in line:
+                    assert "Aggregate" in "".join(lines[i + 1 : i + 4]), lines[i : i + 4]
+    finally:
+        spark.conf.unset("spark.sql.adaptive.enabled")
+
+
+@pytest.mark.parametrize("lead", [1, 2, None])
+def test_numbers_are_those_of_one_sort(spark, items, lead):
+    keys = ["l_orderkey", "-l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice"]
+    got = derive.numbered(items, keys, "r").select("r", "l_orderkey", "l_linenumber").collect()
+    assert sorted(x.r for x in got) == list(range(items.count()))
+    order = [(x.l_orderkey, -x.l_linenumber) for x in sorted(got, key=lambda x: x.r)]
+    assert order == sorted(order)
 
 
 def test_planner_steps(items):
@@ -137,7 +193,7 @@ def test_empty_tables(spark):
 
 
 @pytest.mark.parametrize("run_gen", ["tree", "quick", "replacement"])
-@pytest.mark.parametrize("compress", [True, False])
+@pytest.mark.parametrize("compress", [True, False, "rle"])
 def test_external_sort_kernel(run_gen, compress):
     import random
 
@@ -147,6 +203,118 @@ def test_external_sort_kernel(run_gen, compress):
     rows = [(r.randrange(4), r.randrange(4), r.randrange(50)) for _ in range(3000)]
     assert list(sort.sort_rows(rows, 3, 100, 3, Counters(), run_gen, compress)) == list(coded(sorted(rows)))
     assert [x for _, x in sort.sort_rows(rows, 3, 100, 3, Counters(), run_gen, compress, dedup=True)] == sorted(set(rows))
+    assert [x for _, x in sort.sort_rows(rows, 3, 100, 3, Counters(), "quick", compress, merge="heap")] == sorted(rows)
+    counts = Counter(rows)
+    carried = [(*r, 1, i) for i, r in enumerate(rows)]
+    out = sort.sort_rows(carried, 3, 100, 3, Counters(), run_gen, compress, fold=lambda a, b: (a[0] + b[0], min(a[1], b[1])))
+    want = [(*r, counts[r], rows.index(r)) for r in sorted(counts)]
+    assert list(out) == list(zip((c for c, _ in coded(sorted(counts))), want, strict=True))
+
+
+CELLS = [
+    ("string", [None, "", "a", "ab", "abcdef1", "abcdef2", "abcdef3", "abcdef", "b\u00e9", "\U0001f600", "a\x00", "a\x00b"]),
+    ("binary", [None, b"", b"\x00", b"\x00\x00", b"\xff", b"\xff\xff", b"abcdefg", b"abcdefh"]),
+    ("double", [None, float("nan"), float("inf"), float("-inf"), 0.0, -0.0, 1.00001, 1.00002, -1.00001, 1e300, 5e-324]),
+    ("long", [None, 0, -1, 2**60 + 1, 2**60 + 2, 2**55, 2**63 - 1, -(2**63)]),
+    ("decimal(38,4)", [None, Decimal("0.0001"), Decimal("0.0002"), Decimal("-1"), Decimal("9999999999999999999999999999999999.9999"), Decimal("9999999999999999999999999999999999.9998")]),
+    ("date", [None, date(1, 1, 1), date(1970, 1, 1), date(9999, 12, 31)]),
+    ("timestamp_ntz", [None, datetime(1, 1, 1), datetime(1970, 1, 1, 0, 0, 0, 1), datetime(9999, 12, 31)]),
+    ("boolean", [None, True, False]),
+]
+
+
+@pytest.mark.parametrize("kind,values", CELLS, ids=[k for k, _ in CELLS])
+@pytest.mark.parametrize("key", [KeyCol("v"), KeyCol("v", ascending=False), KeyCol("v", nulls_first=False), KeyCol("v", ascending=False, nulls_first=True)])
+def test_external_sort_is_exact(spark, kind, values, key):
+    """The host's order, and no two keys taken for one, whatever the type."""
+    df = spark.createDataFrame([(i, v) for i, v in enumerate([*values, *values[::-1]])], f"i int, v {kind}")
+    same = lambda x: "nan" if x != x else 0.0 if x == 0 and isinstance(x, float) else x
+    want = [same(r.v) for r in df.orderBy(key.order()).collect()]
+    for n, dedup in ((1, False), (3, False), (2, True)):
+        got = sort.external_sort(df, [key], n, memory=5, fan_in=2, dedup=dedup).orderBy("__part", "__pos").collect()
+        expected = [v for i, v in enumerate(want) if not dedup or not i or v != want[i - 1]]
+        assert [same(r.v) for r in got] == expected
+        assert [r[OFFSET] for r in got] == [0 if not i or v != expected[i - 1] else 1 for i, v in enumerate(expected)]
+
+
+def test_codes_of_wide_numbers_stay_apart(spark):
+    """64-bit hashes: ten bits are left out beyond 2**53, so nearly all codes differ, and order is kept."""
+    x = spark.range(10_000).select(F.xxhash64("id").alias("h"))
+    out = derive.attach(x, ["h"], 1).df.select("h", CODE).collect()
+    assert len({r[CODE] for r in out}) == 10_000
+    assert [r.h for r in sorted(out, key=lambda r: r[CODE])] == sorted(r.h for r in out)
+
+
+@settings(max_examples=40, deadline=None)
+@given(st.lists(st.tuples(st.integers(0, 3), st.integers(0, 3)), max_size=25), st.lists(st.tuples(st.integers(0, 3), st.integers(0, 3)), max_size=25), st.sampled_from(["inner", "left", "right", "full", "semi", "anti"]))
+def test_merge_join_kernel(left, right, how):
+    from prefixcode.kernels.join import merge_rows
+    from prefixcode.kernels.tree import Counters, coded
+
+    tag = lambda rows, side: coded(sorted((*r, side, i) for i, r in enumerate(rows)), None, 2)
+    ctr = Counters()
+    out = list(merge_rows(tag(left, 0), tag(right, 1), 2, ctr, how, lambda r: r[2] == 0, lambda r: r[0] == 3))
+    pairs = [(a, b) for a in left for b in right if a == b and a[0] != 3]
+    hit_l, hit_r = {a for a, _ in pairs}, {b for _, b in pairs}
+    want = [(a, b) for a, b in pairs] if how not in ("semi", "anti") else [(a, None) for a in left if (a in hit_l) == (how == "semi")]
+    want += [(a, None) for a in left if a not in hit_l] if how in ("left", "full") else []
+    want += [(None, b) for b in right if b not in hit_r] if how in ("right", "full") else []
+    text = lambda x: sorted(map(str, x))
+    assert text((a and a[:2], b and b[:2]) for _, a, b in out) == text(want)
+    keys = [(a or b)[:2] for _, a, b in out]
+    assert keys == sorted(keys) and [c for c, _, _ in out] == [c for c, _ in coded(keys)]
+
+
+def test_coded_join_codes_and_nulls(spark):
+    a = spark.createDataFrame([(None, "x", 1), (1, "x", 2), (1, "x", 3), (4, None, 4), (4, "y", 5)], "k int, s string, v int")
+    b = spark.createDataFrame([(None, "x", 5), (1, "x", 6), (1, "x", 7), (9, "z", 8), (4, None, 9)], "k int, s string, w int")
+    sizes = {}
+    for how in ("inner", "left", "right", "full", "semi", "anti"):
+        got = join.coded_join(a, b, ["k", "s"], 3, how)
+        sizes[how] = got.count()
+        want = derive.attach(got.select("k", "s"), ["k", "s"], 1).df
+        key = lambda r: (r.k or 0, r.s or "", r[OFFSET], r[CODE])
+        assert sorted(map(key, got.select("k", "s", OFFSET, CODE).collect())) == sorted(map(key, want.collect()))
+    assert sizes == {"inner": 4, "left": 7, "right": 7, "full": 10, "semi": 2, "anti": 3}
+
+
+def test_stored_runs_outlive_the_driver(spark, sf, tmp_path):
+    """A store found again knows its runs and batches; a batch that comes again adds nothing."""
+    path = f"file://{tmp_path}/store"
+    first = store.RunStore(spark, ["k", "v"], fan_in=3, path=path)
+    batches = [spark.createDataFrame([(j % 5, j * 7 + i) for j in range(9)], "k int, v int") for i in range(4)]
+    for i in range(3):
+        first.append_run(batches[i], i)
+    again = store.RunStore(spark, ["k", "v"], fan_in=3, path=path)
+    assert again.levels == first.levels and again.batches == {0, 1, 2}
+    for i in range(4):
+        again.append_run(batches[i], i)
+    rows = sorted(tuple(r) for b in batches for r in b.collect())
+    got = again.merged().orderBy("bucket", "__pos").collect()
+    assert [(r.k, r.v) for r in got] == rows
+    assert [r[OFFSET] for r in got] == [0 if not i or rows[i - 1][0] != r[0] else 1 if rows[i - 1] != r else 2 for i, r in enumerate(rows)]
+
+
+def test_packets_carry_codes(spark, items):
+    """Offsets in packets are those between rows of one run in one bucket."""
+    keys = ["l_orderkey", "l_linenumber"]
+    x = items.select(*keys, F.pmod("l_partkey", F.lit(3)).alias("run"))
+    got = sort.packets(x, keys, "run", sort.bucket_by(x, keys, 4, "hash"))
+    rows = sorted(tuple(r) for r in got.select("__run", "__bucket", "__seq", *keys, OFFSET).collect())
+    for before, now in zip(rows, rows[1:], strict=False):
+        if before[:2] == now[:2]:
+            assert now[5] == (0 if before[3] != now[3] else 1 if before[4] != now[4] else 2)
+        else:
+            assert now[5] == 0
+
+
+def test_long_runs_come_back(spark):
+    """A run longer than one part of rows, and a block of one value only."""
+    df = spark.createDataFrame([(1, 2, 3)] * 9000 + [(1, 2, 4), (1, 3, 1)] + [(2, 1, 1)] * 2, "a int, b int, c int")
+    runs = formats.to_rle(derive.attach(df, ["a", "b", "c"], 1))
+    back = formats.from_rle(runs, ["a", "b", "c"], ["a"])
+    assert sorted(map(tuple, back.select("a", "b", "c").collect())) == sorted(tuple(map(str, r)) for r in df.collect())
+    assert back.where(f"{OFFSET} < 3").count() == 4
 
 
 def test_stepped_merge_writes_a_row_once_a_level(spark):
@@ -166,8 +334,22 @@ def test_run_reader(spark, tmp_path):
     assert x.columns == ["id", "__ordinal"] and x.select("id").distinct().count() == 100
 
 
-def test_restarted_stream_adds_nothing(spark, sf):
+def test_restarted_stream_adds_nothing(spark, sf, tmp_path):
+    """The same ingestion started again with its progress lost: batches come again, the store ignores them."""
     from prefixcode.streaming import events
 
-    x = events.source(spark, sf).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
-    assert {r.event_type: r.n for r in events.run(x, "complete", spark).collect()} == {r.event_type: r.n for r in spark.read.parquet(f"{sf}/events.parquet").groupBy("event_type").agg(F.count(F.lit(1)).alias("n")).collect()}
+    path = f"file://{tmp_path}/store"
+    first = events.ingest(spark, sf, ["event_type", "user_id"], path=path)
+    n = first.scan().count()
+    again = events.ingest(spark, sf, ["event_type", "user_id"], path=path)
+    assert again.batches == first.batches and again.scan().count() == n == spark.read.parquet(f"{sf}/events.parquet").count()
+
+
+def test_buckets_need_no_exchange(spark, sf):
+    import __spark_entry__
+
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        assert "Exchange" not in plan(__spark_entry__.queries()["bucketed_join"](spark, sf))
+    finally:
+        spark.conf.unset("spark.sql.adaptive.enabled")
