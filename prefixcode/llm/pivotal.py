@@ -167,7 +167,7 @@ def _share(index: Column) -> Column:
 
 
 def mixed(docs: DataFrame) -> DataFrame:
-    """One row per document: doc_id, source, size, source_size, target, copies, taken."""
+    """One row per document: doc_id, size, source_size, target, taken, source, copies."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), n_words(docs["text"].cast("string")).alias("size"))
     units, _ = copies(rows)
     index = F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("__i")
@@ -175,7 +175,7 @@ def mixed(docs: DataFrame) -> DataFrame:
         units.select("*", index)
         .withColumn("copies", _share(F.col("__i")))
         .withColumn("taken", F.col("copies") * F.col("size"))
-        .select("doc_id", "source", "size", "source_size", "target", "copies", "taken")
+        .select("doc_id", "size", "source_size", "target", "taken", "source", "copies")
     )
 
 
