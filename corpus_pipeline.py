@@ -18,27 +18,32 @@ from prefixcode.llm.common import cut, table  # noqa: E402
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a language (no letter at all) go."""
+    """Documents without a language (no letter at all) go: null, empty and letterless texts. Nothing else
+    does, whatever its length; repeated rows stay; of an empty table nothing is left."""
     return hdlang.identified_documents(docs)
 
 
 def exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts the one with the largest doc_id stays."""
+    """Of equal texts the one with the largest doc_id stays, a null doc_id before none; of rows that tie
+    exactly one. A null text equals the empty one and comes back empty; columns are as they were."""
     return exthash.distinct_documents(docs)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near-duplicates stays."""
+    """One document of each class of near-duplicates stays, the one with the largest doc_id, of rows that tie
+    exactly one. Texts without words are alike only if equal; a text of fewer than five words is one shingle."""
     return icws.representatives(docs)
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as the mixture takes it: not at all, once or twice."""
+    """Each document as often as the mixture takes it: not at all, once or twice. A null source is a source;
+    a document of no words is settled by its own coin; rows that agree share their unit's copies evenly."""
     return pivotal.mix_documents(docs)
 
 
 def sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces with their sequence and offset."""
+    """Pieces with their sequence and offset. An empty text is its end token alone; a long one is cut, only its
+    first piece may be shorter; a null doc_id is passed on; an empty table gives no piece."""
     return packing.packed(docs)
 
 
