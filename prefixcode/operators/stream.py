@@ -70,6 +70,17 @@ def aggregate_coded(of: OrderedFrame, columns: int, aggs: list[Column]) -> Order
     return OrderedFrame(out.withColumn(OFFSET, offset_of(F.col(CODE), columns)), of.keys[:columns], of.scope, of.partitioned_by)
 
 
+def aggregate_over(of: OrderedFrame, columns: int, aggs: dict[str, tuple[str, str]]) -> DataFrame:
+    """Groups by fewer columns than rows are together by, so that groups of few values don't mean few tasks:
+    finer groups are found by codes where their rows are, then those few are folded by the group columns.
+    aggs: name -> (sum | count | min | max, column or "*")."""
+    fine = max(columns, len(of.partitioned_by))
+    first = aggregate(of, fine, [getattr(F, f)(F.lit(1) if c == "*" else F.col(c)).alias(n) for n, (f, c) in aggs.items()])
+    if fine == columns:
+        return first
+    return first.groupBy(*of.names[:columns]).agg(*[(F.sum if f in ("sum", "count") else getattr(F, f))(n).alias(n) for n, (f, _) in aggs.items()])
+
+
 def count_distinct(of: OrderedFrame, columns: int, name: str) -> DataFrame:
     """count(distinct next key column) for groups by the leading ones: rows that differ up to there."""
     x = of.names[columns]

@@ -462,8 +462,9 @@ def distinct_texts(s: SparkSession, d: str) -> DataFrame:
 
 @add("agg_instream", "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS quantity, round(sum(l_extendedprice), 2) AS price FROM lineitem GROUP BY ALL")
 def agg_instream(s: SparkSession, d: str) -> DataFrame:
-    of = derive.attach(lines(s, d, K4, ("l_quantity", "l_extendedprice")), K4, 2)
-    return stream.aggregate(of, 2, [F.count(F.lit(1)).alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity"), F.round(F.sum("l_extendedprice"), 2).alias("price")])
+    of = derive.attach(lines(s, d, K4, ("l_quantity", "l_extendedprice")), K4, 3)
+    x = stream.aggregate_over(of, 2, {"n": ("count", "*"), "quantity": ("sum", "l_quantity"), "price": ("sum", "l_extendedprice")})
+    return x.select("l_returnflag", "l_linestatus", "n", F.round("quantity", 2).alias("quantity"), F.round("price", 2).alias("price"))
 
 
 @add("agg_hash_baseline", SQL["agg_instream"])
