@@ -39,8 +39,8 @@ Fold = Callable[[tuple, tuple], tuple]
 
 
 class Spill:
-    """A run in a task's own folder, in blocks. layout: "plain", "truncate" (shared prefixes left out) or
-    "rle" (key columns as runs, one after another)."""
+    """A run in a task's own folder, in blocks. layout: "plain" (rows and offsets), "truncate" (shared prefixes left
+    out), "rle" (key columns as runs, one after another) or "bare" (rows alone: codes are made anew on reading)."""
 
     def __init__(self, folder: str, k: int, layout: str):
         self.k, self.layout = k, layout
@@ -60,6 +60,8 @@ class Spill:
                     block = (block[0][0] if block else k, columns, [row[k:] for _, row in block])
                 elif self.layout == "truncate":
                     block = [(n, row[n:]) for n, row in block]
+                elif self.layout == "bare":
+                    block = [row for _, row in block]
                 pickle.dump(block, f, protocol=5)
 
             block: list[tuple[int, tuple]] = []
@@ -82,10 +84,12 @@ class Spill:
                     break
 
     def read(self) -> Iterator[tuple[int, tuple]]:
-        """The run with its codes; no column is compared for them."""
+        """The run with its codes; no column is compared for them, but in a bare run."""
         k = self.k
         if self.layout == "truncate":
             yield from formats.expand((x for block in self._blocks() for x in block), k)
+        elif self.layout == "bare":
+            yield from kernel.coded((row for block in self._blocks() for row in block), None, k)
         elif self.layout == "rle":
             for first, columns, rest in self._blocks():
                 for i, ((c, row), more) in enumerate(zip(formats.coded_rows(columns, kernel.Counters()), rest, strict=True)):
@@ -135,8 +139,8 @@ def sort_rows(
 ) -> Run:
     """Sort with at most ``memory`` rows in memory: runs, then merges of ``fan_in`` runs at a time.
 
-    run_gen: tree, replacement (queue of losers) or quick (full comparisons). merge: tree or heap
-    (full comparisons). dedup or fold: repeated keys are dropped or folded while runs are written,
+    run_gen: tree, replacement (queue of losers), quick (full comparisons) or index (with dedup or fold: a
+    table of ``memory`` keys takes in repeats before they are sorted). merge: tree or heap (full comparisons). dedup or fold: repeated keys are dropped or folded while runs are written,
     in every merge and on output, by codes alone.
     """
     sizes = sizes if sizes is not None else {}
@@ -153,6 +157,21 @@ def sort_rows(
         if run_gen == "replacement":
             for run in kernel.replacement_selection(rows, k, memory, ctr, lossless):
                 keep(run)
+        elif run_gen == "index":
+            if fold is None:
+                raise ValueError("an index takes in repeats; say how")
+            index: dict[tuple, tuple] = {}
+            for row in rows:
+                key = row[:k]
+                if key in index:
+                    index[key] = fold(index[key], row[k:])
+                    continue
+                if len(index) == memory:
+                    keep(kernel.generate([(*a, *b) for a, b in index.items()], k, ctr, lossless))
+                    index = {}
+                index[key] = row[k:]
+            if index:
+                keep(kernel.generate([(*a, *b) for a, b in index.items()], k, ctr, lossless))
         else:
             part: list[tuple] = []
 

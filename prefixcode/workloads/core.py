@@ -363,7 +363,7 @@ def _sorted(**options) -> Query:
     return run
 
 
-for _name, _options in (("external_sort", {}), ("external_sort_replacement", {"run_gen": "replacement"}), ("external_sort_rle", {"compress": "rle"}), ("external_sort_traditional", {"run_gen": "quick", "merge": "heap", "compress": False})):
+for _name, _options in (("external_sort", {}), ("external_sort_replacement", {"run_gen": "replacement"}), ("external_sort_rle", {"compress": "rle"}), ("external_sort_derive_on_read", {"compress": "bare"}), ("external_sort_traditional", {"run_gen": "quick", "merge": "heap", "compress": False})):
     add(_name, _SORTED)(_sorted(**_options))
 
 
@@ -393,12 +393,15 @@ for _name, _table, _select, _keys in (
 
 
 @add("external_sort_agg", "SELECT l_orderkey, count(*) AS n, round(sum(l_quantity), 2) AS quantity, min(l_linenumber) AS lo, max(l_shipdate) AS hi FROM lineitem GROUP BY l_orderkey")
-def external_sort_agg(s: SparkSession, d: str) -> DataFrame:
+def external_sort_agg(s: SparkSession, d: str, **options) -> DataFrame:
     """Groups are folded while runs are written and in every merge; a group keeps its first row's code."""
-    x = sort.external_sort(lines(s, d, ["l_orderkey", "l_quantity", "l_linenumber", "l_shipdate"]), ["l_orderkey"], 8, memory=1000, fan_in=4, aggs={"n": ("count", "*"), "quantity": ("sum", "l_quantity"), "lo": ("min", "l_linenumber"), "hi": ("max", "l_shipdate")})
+    x = sort.external_sort(lines(s, d, ["l_orderkey", "l_quantity", "l_linenumber", "l_shipdate"]), ["l_orderkey"], 8, memory=1000, fan_in=4, aggs={"n": ("count", "*"), "quantity": ("sum", "l_quantity"), "lo": ("min", "l_linenumber"), "hi": ("max", "l_shipdate")}, **options)
     return x.select("l_orderkey", "n", F.round("quantity", 2).alias("quantity"), "lo", "hi")
 
 
+add("external_sort_agg_index", SQL["external_sort_agg"])(lambda s, d: external_sort_agg(s, d, run_gen="index"))
+
+
 @add("agg_codes_handed_on", f"WITH g AS (SELECT l_returnflag, l_linestatus, l_linenumber, count(*) AS n FROM lineitem GROUP BY ALL) SELECT *, (SELECT count(*) FROM g) AS groups FROM (SELECT l_returnflag, l_linestatus, l_linenumber, n, off FROM {q.offsets('g', K6[:3])})")
 def agg_codes_handed_on(s: SparkSession, d: str) -> DataFrame:
     """A sort that aggregates hands its codes on: groups of groups are found by them, without a second sort."""

@@ -193,7 +193,7 @@ def test_empty_tables(spark):
 
 
 @pytest.mark.parametrize("run_gen", ["tree", "quick", "replacement"])
-@pytest.mark.parametrize("compress", [True, False, "rle"])
+@pytest.mark.parametrize("compress", [True, False, "rle", "bare"])
 def test_external_sort_kernel(run_gen, compress):
     import random
 
@@ -206,6 +206,7 @@ def test_external_sort_kernel(run_gen, compress):
     assert [x for _, x in sort.sort_rows(rows, 3, 100, 3, Counters(), "quick", compress, merge="heap")] == sorted(rows)
     counts = Counter(rows)
     carried = [(*r, 1, i) for i, r in enumerate(rows)]
+    assert [x[:3] for _, x in sort.sort_rows(carried, 3, 100, 3, Counters(), "index", compress, dedup=True)] == sorted(counts)
     out = sort.sort_rows(carried, 3, 100, 3, Counters(), run_gen, compress, fold=lambda a, b: (a[0] + b[0], min(a[1], b[1])))
     want = [(*r, counts[r], rows.index(r)) for r in sorted(counts)]
     assert list(out) == list(zip((c for c, _ in coded(sorted(counts))), want, strict=True))
