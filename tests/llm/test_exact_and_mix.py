@@ -349,12 +349,13 @@ def test_ranks_in_shares(docs, monkeypatch):
     assert len({(r.sequence_id, r.offset) for r in got}) == len(got)
 
 
-def test_package_without_training_data_operators(tmp_path):
+@pytest.mark.parametrize("also", ["corpus_pipeline.py", "nothing else"])
+def test_package_without_training_data_operators(tmp_path, also):
     import shutil
     import subprocess
     import sys
 
     root = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
-    shutil.copytree(root, tmp_path / "r", ignore=shutil.ignore_patterns(".git", "__pycache__", "llm", "corpus_pipeline.py"))
+    shutil.copytree(root, tmp_path / "r", ignore=shutil.ignore_patterns(".git", "__pycache__", "llm", also))
     code = "import __spark_entry__ as e; q = e.queries(); assert q and not [n for n in q if n.startswith('op') or n == 'pipeline']"
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "r", check=True, env={k: v for k, v in os.environ.items() if k != "PYTHONPATH"})
