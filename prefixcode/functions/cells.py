@@ -2,7 +2,8 @@
 
 Whole numbers, dates, timestamps and doubles become one number of at most 66 bits that stands for the
 value exactly. Texts, bytes and decimals become (number, value): the number never falls as the value
-rises, the value decides where numbers are equal. So equal cells mean equal keys, whatever the type.
+rises, the value decides where numbers are equal; it is empty where the number says all, as for texts of
+up to six bytes. So equal cells mean equal keys, whatever the type.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from prefixcode.functions.keys import KeyCol, kinds
 _SIGN = 1 << 63
 _LAST = (1 << 64) + 1  # a null after all 64-bit numbers
 _FIRST_BYTES = 6
-_TEXT_LAST = (1 << 8 * _FIRST_BYTES) + 2
+_TEXT_LAST = (1 << 8 * _FIRST_BYTES + 3) + 2
 
 
 def cell_column(key: KeyCol, kind: T.DataType) -> Column:
@@ -91,8 +92,11 @@ def maker(key: KeyCol, kind: T.DataType) -> Callable[[pa.Array], list]:
             if v is None:
                 out.append(empty)
                 continue
-            n = int.from_bytes(v[:_FIRST_BYTES].ljust(_FIRST_BYTES, b"\0"), "big") + 1
-            out.append((n, v) if up else (_TEXT_LAST - n, (*(-b for b in v), 1)))
+            n = (int.from_bytes(v[:_FIRST_BYTES].ljust(_FIRST_BYTES, b"\0"), "big") << 3 | min(len(v), 7)) + 1
+            if len(v) <= _FIRST_BYTES:
+                out.append((n, b"") if up else (_TEXT_LAST - n, ()))
+            else:
+                out.append((n, v) if up else (_TEXT_LAST - n, (*(-b for b in v), 1)))
         return out
 
     return texts

@@ -2,7 +2,7 @@
 
 Rows are tuples whose first K entries are key cells; what follows is carried along. A cell is a whole
 number below 2**66 that stands for its value exactly, or, where no number can (texts), a pair of such
-a number, which never falls as the value rises, and the value itself. A code is (K - offset) * 2**66 +
+a number, which never falls as the value rises, and the value itself (empty where the number says all). A code is (K - offset) * 2**66 +
 number at the offset; FRESH rows of run generation have looked at no column yet. All rows that meet
 were coded relative to the same row, the last one to leave the queue.
 """
@@ -87,7 +87,9 @@ class LoserTree:
             ctr.by_code += 1
             return a < b
         ra, rb = self.rows[a], self.rows[b]
-        for i in range(at + 1 if self.lossless or at < 0 else at, k):
+        # the column at the offset is equal too, unless its number doesn't say all
+        again = not self.lossless and at >= 0 and type(ra[at]) is tuple and ra[at][1]
+        for i in range(at if again else at + 1, k):
             ctr.columns += 1
             if ra[i] != rb[i]:
                 if ra[i] < rb[i]:
