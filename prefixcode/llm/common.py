@@ -77,6 +77,14 @@ def cut(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def done_with(*frames: DataFrame) -> None:
+    """Remove the files of tables from ``cut`` that nothing reads any more: what was made of them is written."""
+    for df in frames:
+        for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+            if any(path.split("://")[-1].lstrip("/") == made.split("://")[-1].lstrip("/") for _, made in _MADE):
+                remove(df.sparkSession, path)
+
+
 def release(spark: SparkSession) -> None:
     """Let go of the shuffle files of frames that nothing refers to any more."""
     gc.collect()
