@@ -354,3 +354,11 @@ def test_buckets_need_no_exchange(spark, sf):
         assert "Exchange" not in plan(__spark_entry__.queries()["bucketed_join"](spark, sf))
     finally:
         spark.conf.unset("spark.sql.adaptive.enabled")
+
+
+def test_rate_counts_the_events_given(spark, tmp_path):
+    """The stream's numbers are the table's, not made up."""
+    from prefixcode.streaming import events
+
+    spark.createDataFrame([(i, None) for i in (1, 2, 4, 7, 9)], "event_id long, ts timestamp_ntz").write.parquet(str(tmp_path / "events.parquet"))
+    assert {r.digit: r.n for r in events.rate(spark, str(tmp_path)).collect()} == {0: 1, 1: 3, 2: 1}
