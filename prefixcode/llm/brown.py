@@ -3,13 +3,13 @@
 log10 P(w | v) = log10(mix * P(class w | class v) * P(w | class w) + (1 - mix) * P(w)), all smoothed.
 
 * Words are counted over all training rows. Words at or above ``KNOWN`` of all tokens (so at most
-  1 / KNOWN of them) travel with the model; the sum of log10(c + 0.5) over all rarer tokens is all
-  that is missing from a score, and comes from a join of those tokens with the whole count table.
-* Words at or above ``CLUSTERED`` of all tokens (at most 1 / CLUSTERED) are assigned to classes by
-  exchange: in each round every word of one half moves to the class under which its left and right
-  neighbours' classes are most likely, given the other words' classes. Bigrams are counted once and
-  laid out by word; a round sums each word's neighbours by class and sends those sums, a bounded
-  table, to the driver. Rarer known words have classes by frequency, all others one class.
+  1 / KNOWN of them) travel with the model and are assigned to classes by exchange: in each round every word
+  of one half moves to the class under which its left and right neighbours' classes are most likely, given
+  the other words' classes. Bigrams are counted once and laid out by word; a word's class is found where
+  its neighbours are, and only that is sent to the driver.
+* All rarer words, however many, then take the class that suits their neighbours in the same way, in a table of
+  their own. Scoring sends a text's rare tokens to that table, with the class before and the word after
+  them, and adds what comes back.
 
 Cases: null text is empty and has the end token only; a null doc_id has no remainder:
 it is scored as not held out and not trained on; with no training rows N and V are 0;
@@ -19,19 +19,17 @@ repeated rows count each; the longest text is read whole; extra columns are left
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from prefixcode.llm.common import HashIndex, TokenHasher, cut, id_text, mix64, slices, table
+from prefixcode.llm.common import HashIndex, TokenHasher, cut, done_with, id_text, mix64, slices, table
 
 KNOWN = 5e-7
-CLUSTERED = 1e-5
 CLASSES = 64
-BANDS = 8
 ROUNDS = 6
 MIX = 0.95
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -82,23 +80,22 @@ def _previous(codes: np.ndarray, ends: np.ndarray, end: int) -> np.ndarray:
 
 
 class Model:
-    """What a scoring task needs. All arrays are bounded by 1 / KNOWN, 1 / CLUSTERED and classes."""
+    """What a scoring task needs. All arrays are bounded by 1 / KNOWN and classes."""
 
     def __init__(self, hashes: np.ndarray, counts: np.ndarray, total: int, distinct: int):
         self.hashes, self.counts, self.total, self.distinct = hashes, counts, total, distinct
-        floor = max(1.0, CLUSTERED * total)
         end = Tokens().end.view(np.int64)
         at = np.flatnonzero(hashes == end)
         self.end = int(at[0]) if len(at) else -1
-        self.clustered = np.flatnonzero((counts >= floor) & (hashes != end))
-        band = CLASSES + 1 + np.clip(np.log2(floor / np.maximum(counts, 1)), 0, BANDS - 1).astype(np.int64)
-        self.n_classes = CLASSES + 1 + BANDS + 1
-        self.classes = band.astype(np.int16)
+        self.clustered = np.flatnonzero(hashes != end)
+        self.n_classes = CLASSES + 2  # the end's and that of words without training tokens
+        self.classes = np.zeros(len(hashes), dtype=np.int16)
         order = self.clustered[np.lexsort((hashes[self.clustered], -counts[self.clustered]))]
         self.classes[order] = np.arange(len(order)) % CLASSES
         if self.end >= 0:
             self.classes[self.end] = CLASSES
         self.transitions = np.zeros((self.n_classes, self.n_classes))
+        self.rare_in_class = np.zeros(self.n_classes)  # tokens of rarer words
         self.mix = MIX
 
     @property
@@ -115,13 +112,11 @@ class Model:
         t = self.transitions + 0.5
         self.p_class = t / t.sum(axis=1, keepdims=True)
         self.uni_den = self.total + 0.5 * (self.distinct + 1)
-        in_class = np.bincount(self.classes.astype(np.int64), weights=self.counts, minlength=self.n_classes)
-        self.p_word = self.counts / np.maximum(in_class[self.classes], 1)
+        self.in_class = np.maximum(np.bincount(self.classes.astype(np.int64), weights=self.counts, minlength=self.n_classes) + self.rare_in_class, 1)
+        self.p_word = self.counts / self.in_class[self.classes]
         self.p_uni = (self.counts + 0.5) / self.uni_den
         self.base_log = np.log10(self.p_uni)
-        n_rare = self.total - int(self.counts.sum())
-        v_rare = self.distinct - len(self.counts)
-        self.rare_den = n_rare + 0.5 * (v_rare + 1)
+        self.rare_den = 0.5
 
 
 def _known(train: DataFrame, label: str) -> tuple[DataFrame, Model]:
@@ -169,52 +164,130 @@ def _bigrams(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.Rec
     yield from flush()
 
 
-def _by_class(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
-    """Each word's neighbours summed by class, within this split."""
-    held = [[x.column(c).to_numpy() for c in ("word", "side", "other", "n")] for x in batches if x.num_rows]
-    if not held:
-        return
-    word, side, other, n = (np.concatenate(x) for x in zip(*held, strict=True))
-    c = np.where(other >= 0, model.classes[np.maximum(other, 0)], -1 - other).astype(np.int64)
-    ids, local = np.unique(word, return_inverse=True)
-    t = model.n_classes
-    sums = np.bincount((local * 2 + side) * t + c, weights=n, minlength=len(ids) * 2 * t).reshape(len(ids), 2 * t)
-    for at in range(0, len(ids), 4000):
-        part = sums[at : at + 4000]
-        yield pa.RecordBatch.from_arrays([pa.array(ids[at : at + 4000].astype(np.int32)), pa.FixedSizeListArray.from_arrays(pa.array(part.ravel()), 2 * t).cast(pa.list_(pa.float64()))], names=["word", "sums"])
+def _whole_words(batches: Iterator[pa.RecordBatch], rows: int = 1 << 15) -> Iterator[list[np.ndarray]]:
+    """Columns of many rows at once, cut between two words; rows of a word follow each other."""
+    held, size = [], 0
+    for b in batches:
+        for at in range(0, b.num_rows, rows):
+            held.append([c.to_numpy() for c in b.slice(at, rows).columns])
+            size += len(held[-1][0])
+            if size < rows:
+                continue
+            x = [np.concatenate(c) for c in zip(*held, strict=True)]
+            at_last = int(np.flatnonzero(x[0] == x[0][-1])[0])
+            if at_last:
+                yield [c[:at_last] for c in x]
+            held = [[c[at_last:] for c in x]]
+            size = len(held[0][0])
+    if size:
+        yield [np.concatenate(c) for c in zip(*held, strict=True)]
+
+
+class Gains:
+    """How well each class suits words, from their neighbours' classes, under given transitions."""
+
+    def __init__(self, trans: np.ndarray):
+        row, col = trans.sum(axis=1), trans.sum(axis=0)
+        t = len(trans)
+        self.to = np.log(trans[:, :CLASSES] + 0.5) - np.log(row[:, None] + 0.5 * t)  # from any class into b
+        self.out = np.log(trans[:CLASSES] + 0.5) - np.log(row[:CLASSES, None] + 0.5 * t)  # from b into any class
+        self.size = np.log(np.maximum(col[:CLASSES], 1))
+
+    def of(self, word: np.ndarray, side: np.ndarray, c: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(words, a row of gains for each)."""
+        ids, local = np.unique(word, return_inverse=True)
+        t = self.to.shape[0]
+        sums = np.bincount((local * 2 + side) * t + c, weights=n, minlength=len(ids) * 2 * t).reshape(len(ids), 2, t)
+        left, right = sums[:, 0], sums[:, 1]
+        return ids, left @ self.to + right @ self.out.T - left.sum(axis=1)[:, None] * self.size[None, :]
+
+
+def _choose(batches: Iterator[pa.RecordBatch], gains: Gains, class_of: Callable[[np.ndarray], np.ndarray]) -> Iterator[pa.RecordBatch]:
+    for word, side, other, n in _whole_words(batches):
+        ids, gain = gains.of(word, side, class_of(other), n)
+        yield pa.RecordBatch.from_arrays([pa.array(ids.astype(np.int64)), pa.array(gain.argmax(axis=1).astype(np.int32))], names=["word", "class"])
 
 
 def exchange(model: Model, contexts: DataFrame, bigrams: DataFrame, rounds: int = ROUNDS) -> list[float]:
     """Assign classes; gives the training log likelihood (class part) before each round."""
-    t, place = model.n_classes, np.full(len(model.hashes) + 1, -1, dtype=np.int64)
-    place[model.clustered] = np.arange(len(model.clustered))
-    half = (mix64(model.hashes[model.clustered].view(np.uint64)) & np.uint64(1)).astype(bool)
+    t = model.n_classes
     said = []
-    fixed = class_bigrams(model, bigrams)
-    fixed[:CLASSES] = 0  # pairs without a clustered word stay as they are; the others follow from the sums
-    fixed[:, :CLASSES] = 0
     for k in range(rounds if len(model.clustered) else 0):
-        got = contexts.mapInArrow(lambda b: _by_class(b, model), "word int, sums array<double>").toArrow()  # a row for each clustered word and split
-        sums = np.zeros((len(model.clustered), 2, t))
-        values = got.column("sums").combine_chunks()
-        np.add.at(sums, place[got.column("word").to_numpy()], values.values.to_numpy().reshape(-1, 2, t))
-        left, right = sums[:, 0], sums[:, 1]
-        own = model.classes[model.clustered].astype(np.int64)
-        trans = fixed.copy()
-        np.add.at(trans.T, own, left)
-        np.add.at(trans[:, CLASSES:], own, right[:, CLASSES:])
+        trans = class_bigrams(model, bigrams)
         row, col = trans.sum(axis=1), trans.sum(axis=0)
-        n_w = left.sum(axis=1)
-        said.append(float((trans * np.log((trans + 0.5) / (row[:, None] + 0.5 * t))).sum() - (n_w * np.log(np.maximum(col[own], 1))).sum()))
-        to = np.log(trans[:, :CLASSES] + 0.5) - np.log(row[:, None] + 0.5 * t)  # from any class into b
-        out = np.log(trans[:CLASSES] + 0.5) - np.log(row[:CLASSES, None] + 0.5 * t)  # from b into any class
-        gain = left @ to + right @ out.T - n_w[:, None] * np.log(np.maximum(col[:CLASSES], 1))[None, :]
-        moved = gain.argmax(axis=1)
-        mine = half if k % 2 else ~half
-        model.classes[model.clustered[mine]] = moved[mine]
+        said.append(float((trans * np.log((trans + 0.5) / (row[:, None] + 0.5 * t))).sum() - (col[:CLASSES] * np.log(np.maximum(col[:CLASSES], 1))).sum()))
+        gains, classes = Gains(trans), model.classes
+
+        def class_of(other: np.ndarray, classes: np.ndarray = classes) -> np.ndarray:
+            return np.where(other >= 0, classes[np.maximum(other, 0)], -1 - other).astype(np.int64)
+
+        def partly(batches: Iterator[pa.RecordBatch], gains: Gains = gains, class_of: Callable = class_of) -> Iterator[pa.RecordBatch]:
+            for word, side, other, n in _whole_words(batches):
+                ids, gain = gains.of(word, side, class_of(other), n)
+                yield pa.RecordBatch.from_arrays([pa.array(ids.astype(np.int64)), pa.array(gain.tolist(), pa.list_(pa.float64()))], names=["word", "gain"])
+
+        mine = contexts.where(F.col("half") == bool(k % 2 == 0)).drop("half")
+        got = mine.mapInArrow(lambda b, g=gains, c=class_of: _choose(b, g, c), "word long, class int").toArrow()  # at most 1 / KNOWN rows
+        word, to = (got.column(c).to_numpy() for c in ("word", "class"))
+        ids, times = np.unique(word, return_counts=True)
+        moved = model.classes.copy()
+        moved[word] = to
+        if (times > 1).any():  # a file read in parts: at most as many words as parts
+            parts = mine.where(F.col("word").isin(ids[times > 1].tolist())).mapInArrow(partly, "word long, gain array<double>").toArrow()
+            total: dict[int, np.ndarray] = {}
+            for w, g in zip(parts.column("word").to_pylist(), parts.column("gain").to_pylist(), strict=True):
+                total[w] = total.get(w, 0) + np.array(g)
+            for w, g in total.items():
+                moved[w] = g.argmax()
+        model.classes = moved
     return said
 
 
+def _rare_contexts(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
+    """(h, side, class of the neighbour, the neighbour if it is rare too or else 0) of words that don't travel."""
+    tokens, places = Tokens(), HashIndex(model.hashes.view(np.uint64))
+    for batch in slices(batches, most_bytes=1 << 20):
+        hashes, ends = tokens.of(batch.column("text").to_pylist())
+        codes = places.find(hashes)
+        now, rare = model.class_of(codes), codes < 0
+        for side in (0, 1):
+            at = np.flatnonzero(rare)
+            if side:
+                at = at[~np.isin(at, ends - 1)]  # nothing follows an end
+                c, beside = now[at + 1], np.where(rare[at + 1], hashes[at + 1], np.uint64(0))
+            else:
+                first = np.isin(at, np.concatenate(([0], ends[:-1])))
+                before = np.maximum(at - 1, 0)
+                c, beside = np.where(first, CLASSES, now[before]), np.where(~first & rare[before], hashes[before], np.uint64(0))
+            if len(at):
+                yield pa.RecordBatch.from_arrays([pa.array(hashes[at].view(np.int64)), pa.array(np.full(len(at), side, np.int32)), pa.array(c), pa.array(beside.view(np.int64))], names=["h", "side", "c", "beside"])
+
+
+def rare_classes(train: DataFrame, counts: DataFrame, model: Model) -> DataFrame:
+    """(h, c, class) of all words that don't travel; their tokens come into the model's transitions and class sizes."""
+    rare = counts.where(F.col("c") < F.lit(KNOWN * model.total))
+    trans = model.transitions
+    if not rare.limit(1).count():
+        return rare.select("h", "c", F.lit(None).cast("int").alias("class"))
+    found = cut(train.mapInArrow(lambda b: _rare_contexts(b, model), "h long, side int, c long, beside long").withColumn("n", F.lit(1).cast("long")), "lm-rare-contexts")
+    gains = Gains(trans)
+    laid = found.select("h", "side", "c", "n").repartition("h").sortWithinPartitions("h")
+    chosen = cut(laid.mapInArrow(lambda b: _choose(b, gains, lambda x: x), "h long, class int"), "lm-rare-chosen")
+    out = cut(rare.join(chosen, "h").select("h", "c", "class"), "lm-rare-classes")
+    for r in out.groupBy("class").agg(F.sum("c").alias("n")).collect():
+        model.rare_in_class[r["class"]] = r["n"]
+    trans[model.rare] = trans[:, model.rare] = 0
+    own = found.join(chosen, "h")
+    for r in own.where("beside = 0").groupBy("side", "c", "class").agg(F.sum("n").alias("n")).collect():  # at most classes squared rows, twice
+        at = (r["c"], r["class"]) if r["side"] == 0 else (r["class"], r["c"])
+        trans[at] += r["n"]
+    both = own.where("beside <> 0 and side = 0").join(chosen.select(F.col("h").alias("beside"), F.col("class").alias("left")), "beside")
+    for r in both.groupBy("left", "class").agg(F.sum("n").alias("n")).collect():
+        trans[r["left"], r["class"]] += r["n"]
+    done_with(found, chosen)
+    return out
+
+
 def class_bigrams(model: Model, bigrams: DataFrame) -> np.ndarray:
     t = model.n_classes
 
@@ -233,25 +306,36 @@ def class_bigrams(model: Model, bigrams: DataFrame) -> np.ndarray:
 
 
 def learn(train: DataFrame) -> tuple[DataFrame, Model, list[float]]:
-    """train: text. Gives the whole count table (h, c), the model, and the exchange's likelihoods."""
+    """train: text. Gives words that don't travel (h, c, class), the model, and the exchange's likelihoods."""
     counts, model = _known(train, "lm-counts")
     said: list[float] = []
+    rare = counts.limit(0).select("h", "c", F.lit(None).cast("int").alias("class"))
     if model.total:
         bigrams = cut(train.mapInArrow(lambda b: _bigrams(b, model), "v int, w int, n long").groupBy("v", "w").agg(F.sum("n").alias("n")), "lm-bigrams")
+        half = (mix64(model.hashes.view(np.uint64)) & np.uint64(1)).astype(bool)
+
+        def in_halves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                yield b.append_column("half", pa.array(half[b.column("word").to_numpy()]))
+
         sides = bigrams.where("w >= 0").select(F.col("w").alias("word"), F.lit(0).alias("side"), F.col("v").alias("other"), "n").unionAll(
             bigrams.where("v >= 0").select(F.col("v").alias("word"), F.lit(1).alias("side"), F.col("w").alias("other"), "n")
         )
-        contexts = cut(sides.repartition("word").sortWithinPartitions("word", "side"), "lm-contexts")
+        contexts = cut(sides.repartition("word").sortWithinPartitions("word").mapInArrow(in_halves, "word int, side int, other int, n long, half boolean"), "lm-contexts")
         said = exchange(model, contexts, bigrams)
         model.transitions = class_bigrams(model, bigrams)
+        done_with(contexts, bigrams)
+        rare = rare_classes(train, counts, model)
     model.prepare()
-    return counts, model, said
+    return rare, model, said
 
 
-SCORED = "row long, doc_id long, n_tokens long, n_sure long, base double, class double, rare array<long>"
+SCORED = "row long, doc_id long, n_tokens long, n_sure long, base double, class double, rare array<long>, left array<int>, next array<int>"
 
 
 def _score(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
+    """Sums over tokens whose own and previous word travel with the model. Of the others: the hash, the class before
+    (-1: rare too) and the place of the word after (-1: rare too, or none)."""
     from pyspark import TaskContext
 
     row = TaskContext.get().partitionId() << 36
@@ -260,41 +344,65 @@ def _score(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.Recor
         hashes, ends = tokens.of(batch.column("text").to_pylist())
         codes = places.find(hashes)
         sure, at = codes >= 0, np.maximum(codes, 0)
+        starts = np.concatenate(([0], ends[:-1]))
         now = model.class_of(codes)
         before = _previous(now, ends, CLASSES)
-        move = model.mix * model.p_class[before, now]
+        after_rare = np.concatenate(([False], ~sure[:-1]))
+        after_rare[starts] = False
         base_den = math.log10(model.uni_den)
         if len(model.hashes):
             base = np.where(sure, model.base_log[at], -base_den)
-            known = move * model.p_word[at] + (1 - model.mix) * model.p_uni[at]
+            own = np.log10(model.mix * model.p_class[before, now] * model.p_word[at] + (1 - model.mix) * model.p_uni[at])
         else:
-            base, known = np.full(len(codes), -base_den), np.ones(len(codes))
-        own = np.log10(np.where(sure, known, move / model.rare_den + (1 - model.mix) / model.uni_den))
-        starts = np.concatenate(([0], ends[:-1]))
+            base, own = np.full(len(codes), -base_den), np.zeros(len(codes))
+        own = np.where(sure & ~after_rare, own, 0.0)
         where = np.flatnonzero(~sure)
-        cuts = np.searchsorted(where, np.concatenate((starts, ends[-1:])))
-        rare = pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(hashes[where].view(np.int64)))
+        left = np.where(after_rare[where], -1, before[where])
+        follow = np.concatenate((codes[1:], [-1]))
+        follow[ends - 1] = -1
+        cuts = pa.array(np.searchsorted(where, np.concatenate((starts, ends[-1:]))).astype(np.int32))
+        lists = [pa.ListArray.from_arrays(cuts, pa.array(x)) for x in (hashes[where].view(np.int64), left.astype(np.int32), follow[where].astype(np.int32))]
         k = batch.num_rows
-        cols = [pa.array(np.arange(row, row + k)), batch.column("doc_id"), pa.array(ends - starts), pa.array(np.add.reduceat(sure.astype(np.int64), starts)), pa.array(np.add.reduceat(base, starts)), pa.array(np.add.reduceat(own, starts)), rare]
+        cols = [pa.array(np.arange(row, row + k)), batch.column("doc_id"), pa.array(ends - starts), pa.array(np.add.reduceat(sure.astype(np.int64), starts)), pa.array(np.add.reduceat(base, starts)), pa.array(np.add.reduceat(own, starts)), *lists]
         row += k
         yield pa.RecordBatch.from_arrays(cols, names=[f.split()[0] for f in SCORED.split(", ")])
 
 
-def score(docs: DataFrame, counts: DataFrame, model: Model) -> DataFrame:
+def _add_rare(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
+    """Log probabilities of rare tokens and of those after them, and how many have been seen."""
+    for b in batches:
+        logs, own, hits = np.zeros(b.num_rows), np.zeros(b.num_rows), np.zeros(b.num_rows, dtype=np.int64)
+        for i, (words, left, follow) in enumerate(zip(*(b.column(c) for c in ("words", "left", "next")), strict=True)):
+            if not words.is_valid:
+                continue
+            c, cls = (words.values.field(x).to_numpy() for x in ("c", "class"))
+            left, follow = left.values.to_numpy(), follow.values.to_numpy()
+            prev = np.where(left >= 0, left, np.concatenate(([model.rare], cls[:-1])))
+            p = np.where(c > 0, c / model.in_class[cls], 0.5 / model.rare_den)
+            total = np.log10(model.mix * model.p_class[prev, cls] * p + (1 - model.mix) * (c + 0.5) / model.uni_den).sum()
+            f = follow >= 0
+            if f.any():
+                n = follow[f]
+                total += np.log10(model.mix * model.p_class[cls[f], model.classes[n].astype(np.int64)] * model.p_word[n] + (1 - model.mix) * model.p_uni[n]).sum()
+            logs[i], own[i], hits[i] = np.log10(c + 0.5).sum(), total, (c > 0).sum()
+        plain = [b.column(c) for c in ("doc_id", "n_tokens", "n_sure", "base", "class")]
+        yield pa.RecordBatch.from_arrays([*plain, pa.array(logs), pa.array(own), pa.array(hits)], names=["doc_id", "n_tokens", "n_sure", "base", "class", "logs", "own", "hits"])
+
+
+def score(docs: DataFrame, rare: DataFrame, model: Model) -> DataFrame:
     """doc_id, n_tokens, n_known, train_tokens, base_score, score for each row of docs."""
     part = cut(id_text(docs).mapInArrow(lambda b: _score(b, model), SCORED), "lm-scored")
-    tokens = part.select("row", F.explode("rare").alias("h"))
-    found = tokens.join(counts, "h", "left").groupBy("row").agg(
-        F.sum(F.log10(F.coalesce(F.col("c"), F.lit(0)) + F.lit(0.5))).alias("logs"), F.count("c").alias("hits")
-    )
-    logs = F.coalesce(F.col("logs"), F.lit(0.0))
-    return part.drop("rare").join(found, "row", "left").select(
+    tokens = part.select("row", F.posexplode("rare").alias("i", "h"))
+    word = F.struct("i", F.coalesce(F.col("c"), F.lit(0)).alias("c"), F.coalesce(F.col("class"), F.lit(model.rare)).alias("class"))
+    found = tokens.join(rare, "h", "left").groupBy("row").agg(F.sort_array(F.collect_list(word)).alias("words"))
+    whole = part.drop("rare").join(found, "row", "left").drop("row")
+    return whole.mapInArrow(lambda b: _add_rare(b, model), "doc_id long, n_tokens long, n_sure long, base double, class double, logs double, own double, hits long").select(
         "doc_id",
         "n_tokens",
-        (F.col("n_sure") + F.coalesce(F.col("hits"), F.lit(0))).alias("n_known"),
+        (F.col("n_sure") + F.col("hits")).alias("n_known"),
         F.lit(model.total).cast("long").alias("train_tokens"),
-        (F.col("base") + logs).alias("base_score"),
-        (F.col("class") + logs).alias("score"),
+        (F.col("base") + F.col("logs")).alias("base_score"),
+        (F.col("class") + F.col("own")).alias("score"),
     )
 
 
@@ -305,8 +413,8 @@ def held_out(docs: DataFrame):
 def lm_scores(docs: DataFrame) -> DataFrame:
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     train = id_text(own.where(F.col("doc_id").isNotNull() & ~held_out(own))).select("text")
-    counts, model, _ = learn(train)
-    out = score(own, counts, model)
+    rare, model, _ = learn(train)
+    out = score(own, rare, model)
     return out.select("doc_id", F.coalesce(held_out(out), F.lit(False)).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score", (-F.col("score") / F.col("n_tokens")).alias("log10_perplexity"))
 
 
