@@ -5,8 +5,8 @@ log10 P(w | v) = log10(mix * P(class w | class v) * P(w | class w) + (1 - mix) *
 * Words are counted over all training rows. Words at or above ``KNOWN`` of all tokens (so at most
   1 / KNOWN of them) travel with the model and are assigned to classes by exchange: in each round every word
   of one half moves to the class under which its left and right neighbours' classes are most likely, given
-  the other words' classes. Bigrams are counted once and laid out by word; a word's class is found where
-  its neighbours are, and only that is sent to the driver.
+  the other words' classes. Bigrams are counted once and laid out by word, many packed in a row; a word's class is
+  found where its neighbours are, and only that is sent to the driver.
 * All rarer words, however many, then take the class that suits their neighbours in the same way, in a table of
   their own. Scoring sends a text's rare tokens to that table, with the class before and the word after
   them, and adds what comes back.
@@ -32,6 +32,8 @@ KNOWN = 5e-7
 CLASSES = 64
 ROUNDS = 6
 MIX = 0.95
+BUCKET = 500_000  # tokens whose pairs are counted in one task, about
+PART = 1 << 15  # pairs in a row of contexts, about
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 
 
@@ -128,28 +130,51 @@ def _known(train: DataFrame, label: str) -> tuple[DataFrame, Model]:
     return counts, Model(h[order], c[order], int(total), int(distinct))
 
 
-def _bigrams(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
-    """(word, side, other's id, count). ids: a clustered word's place, or -1 - class of any other."""
+def _planes(x: np.ndarray) -> bytes:
+    return x.view(np.uint8).reshape(len(x), -1).T.tobytes()
+
+
+def packed_pairs(first: np.ndarray, other: np.ndarray, n: np.ndarray) -> bytes:
+    """Pairs by ascending ``first`` as bytes, first bytes first: differences and upper bytes are mostly 0."""
+    return _planes(np.diff(first, prepend=np.int32(0))) + _planes(other) + _planes(n.astype(np.int64))
+
+
+def pairs_of(b: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first, other, count). first: twice a word's place, and one more where ``other`` follows the word; or, of two
+    that aren't clustered, -1 - class of the left one. other: a clustered word's place, or -1 - class of any other."""
+    raw, m = np.frombuffer(b, np.uint8), len(b) // 16
+    first, other = (np.ascontiguousarray(raw[4 * m * i : 4 * m * (i + 1)].reshape(4, m).T).view(np.int32).ravel() for i in (0, 1))
+    return np.cumsum(first, dtype=np.int32), other, np.ascontiguousarray(raw[8 * m :].reshape(8, m).T).view(np.int64).ravel()
+
+
+def _bigrams(batches: Iterator[pa.RecordBatch], model: Model, buckets: int) -> Iterator[pa.RecordBatch]:
+    """(bucket, pairs): each pair of tokens at both of its words, dealt by word."""
     tokens, places = Tokens(), HashIndex(model.hashes.view(np.uint64))
     moves = np.zeros(len(model.hashes) + 1, dtype=bool)
     moves[model.clustered] = True
     held: list[tuple[np.ndarray, np.ndarray]] = []
+    shift = model.n_classes + 2
+    base, span = len(model.hashes) + shift, 2 * len(model.hashes) + shift
 
     def ids(codes: np.ndarray) -> np.ndarray:
         clustered = (codes >= 0) & moves[np.maximum(codes, 0)]
         return np.where(clustered, codes, -1 - model.class_of(codes))
 
+    def keys(bucket: np.ndarray | int, first: np.ndarray, other: np.ndarray) -> np.ndarray:
+        return (bucket * span + first + shift) * base + other + shift
+
     def flush() -> Iterator[pa.RecordBatch]:
         if not held:
             return
         left, right = (np.concatenate([h[i] for h in held]) for i in (0, 1))
         held.clear()
-        shift = model.n_classes + 2
-        base = len(model.hashes) + shift
-        key, n = np.unique((left + shift) * base + right + shift, return_counts=True)
-        left, right = key // base - shift, key % base - shift
-        for at in range(0, len(key), 50_000):
-            yield pa.RecordBatch.from_arrays([pa.array(x[at : at + 50_000]) for x in (left.astype(np.int32), right.astype(np.int32), n.astype(np.int64))], names=["v", "w", "n"])
+        r, l, none = right >= 0, left >= 0, (right < 0) & (left < 0)
+        key, n = np.unique(np.concatenate((keys(right[r] % buckets, right[r] * 2, left[r]), keys(left[l] % buckets, left[l] * 2 + 1, right[l]), keys(0, left[none], right[none]))), return_counts=True)
+        place, other = key // base, (key % base - shift).astype(np.int32)
+        bucket, first = place // span, (place % span - shift).astype(np.int32)
+        at = np.flatnonzero(np.diff(bucket, prepend=-1))
+        pairs = [packed_pairs(first[i:j], other[i:j], n[i:j]) for i, j in zip(at.tolist(), [*at[1:].tolist(), len(key)], strict=True)]
+        yield pa.RecordBatch.from_arrays([pa.array(bucket[at].astype(np.int32)), pa.array(pairs, pa.binary())], names=["bucket", "pairs"])
 
     size = 0
     for batch in slices(batches, most_bytes=1 << 20):
@@ -158,12 +183,38 @@ def _bigrams(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.Rec
         now = ids(codes)
         held.append((_previous(now, ends, -1 - CLASSES), now))
         size += len(codes)
-        if size >= 2_000_000:
+        if size >= 600_000:
             yield from flush()
             size = 0
     yield from flush()
 
 
+def _contexts(bucket: pa.Table, half: np.ndarray) -> pa.Table:
+    """A bucket's pairs, counted and laid out by word, PART or a few more in a row; a word is whole in one row."""
+    first, other, n = (np.concatenate(x) for x in zip(*(pairs_of(b.as_py()) for b in bucket.column("pairs")), strict=True))
+    order = np.lexsort((other, first))
+    first, other, n = first[order], other[order], n[order]
+    new = np.flatnonzero(np.concatenate(([True], (first[1:] != first[:-1]) | (other[1:] != other[:-1]))))
+    first, other, n = first[new], other[new], np.add.reduceat(n, new)
+    out: list[tuple[bool, bytes]] = []
+    mine = np.where(first >= 0, half[np.maximum(first, 0) >> 1], False)
+    for side in (False, True):
+        x = [c[mine == side] for c in (first, other, n)]
+        if len(x[0]):
+            begins = np.flatnonzero(np.diff(x[0] >> 1, prepend=~(x[0][0] >> 1)))  # of words
+            cuts = begins[np.flatnonzero(np.diff(begins // PART, prepend=-1))].tolist()
+            out += [(side, packed_pairs(*(c[i:j] for c in x))) for i, j in zip(cuts, [*cuts[1:], len(x[0])], strict=True)]
+    return pa.table([pa.array([h for h, _ in out], pa.bool_()), pa.array([b for _, b in out], pa.binary())], names=["half", "pairs"])
+
+
+def contexts_of(train: DataFrame, model: Model) -> DataFrame:
+    """(half, pairs): all pairs of neighbours in training text at the words of each, by ``pairs_of``."""
+    half = (mix64(model.hashes.view(np.uint64)) & np.uint64(1)).astype(bool)
+    buckets = 1 + model.total // BUCKET
+    dealt = train.mapInArrow(lambda b: _bigrams(b, model, buckets), "bucket int, pairs binary")
+    return cut(dealt.groupBy("bucket").applyInArrow(lambda x: _contexts(x, half), "half boolean, pairs binary"), "lm-contexts")
+
+
 def _whole_words(batches: Iterator[pa.RecordBatch], rows: int = 1 << 15) -> Iterator[list[np.ndarray]]:
     """Columns of many rows at once, cut between two words; rows of a word follow each other."""
     held, size = [], 0
@@ -208,41 +259,39 @@ def _choose(batches: Iterator[pa.RecordBatch], gains: Gains, class_of: Callable[
         yield pa.RecordBatch.from_arrays([pa.array(ids.astype(np.int64)), pa.array(gain.argmax(axis=1).astype(np.int32))], names=["word", "class"])
 
 
-def exchange(model: Model, contexts: DataFrame, bigrams: DataFrame, rounds: int = ROUNDS) -> list[float]:
+def exchange(model: Model, contexts: DataFrame, rounds: int = ROUNDS) -> list[float]:
     """Assign classes; gives the training log likelihood (class part) before each round."""
     t = model.n_classes
     said = []
     for k in range(rounds if len(model.clustered) else 0):
-        trans = class_bigrams(model, bigrams)
+        trans = class_bigrams(model, contexts)
         row, col = trans.sum(axis=1), trans.sum(axis=0)
         said.append(float((trans * np.log((trans + 0.5) / (row[:, None] + 0.5 * t))).sum() - (col[:CLASSES] * np.log(np.maximum(col[:CLASSES], 1))).sum()))
-        gains, classes = Gains(trans), model.classes
-
-        def class_of(other: np.ndarray, classes: np.ndarray = classes) -> np.ndarray:
-            return np.where(other >= 0, classes[np.maximum(other, 0)], -1 - other).astype(np.int64)
-
-        def partly(batches: Iterator[pa.RecordBatch], gains: Gains = gains, class_of: Callable = class_of) -> Iterator[pa.RecordBatch]:
-            for word, side, other, n in _whole_words(batches):
-                ids, gain = gains.of(word, side, class_of(other), n)
-                yield pa.RecordBatch.from_arrays([pa.array(ids.astype(np.int64)), pa.array(gain.tolist(), pa.list_(pa.float64()))], names=["word", "gain"])
 
-        mine = contexts.where(F.col("half") == bool(k % 2 == 0)).drop("half")
-        got = mine.mapInArrow(lambda b, g=gains, c=class_of: _choose(b, g, c), "word long, class int").toArrow()  # at most 1 / KNOWN rows
+        def choose(batches: Iterator[pa.RecordBatch], gains: Gains = Gains(trans), classes: np.ndarray = model.classes) -> Iterator[pa.RecordBatch]:  # noqa: B008
+            for batch in batches:
+                for pairs in batch.column("pairs"):
+                    first, other, n = pairs_of(pairs.as_py())
+                    own = first >= 0
+                    first, other, n = first[own], other[own], n[own]
+                    if len(first):
+                        ids, gain = gains.of(first >> 1, first & 1, _class_of(other, classes), n)
+                        yield pa.RecordBatch.from_arrays([pa.array(ids.astype(np.int64)), pa.array(gain.argmax(axis=1).astype(np.int32))], names=["word", "class"])
+
+        mine = contexts.where(F.col("half") == bool(k % 2 == 0)).select("pairs")
+        got = mine.mapInArrow(choose, "word long, class int").toArrow()  # at most 1 / KNOWN rows
         word, to = (got.column(c).to_numpy() for c in ("word", "class"))
-        ids, times = np.unique(word, return_counts=True)
         moved = model.classes.copy()
         moved[word] = to
-        if (times > 1).any():  # a file read in parts: at most as many words as parts
-            parts = mine.where(F.col("word").isin(ids[times > 1].tolist())).mapInArrow(partly, "word long, gain array<double>").toArrow()
-            total: dict[int, np.ndarray] = {}
-            for w, g in zip(parts.column("word").to_pylist(), parts.column("gain").to_pylist(), strict=True):
-                total[w] = total.get(w, 0) + np.array(g)
-            for w, g in total.items():
-                moved[w] = g.argmax()
         model.classes = moved
     return said
 
 
+def _class_of(ids: np.ndarray, classes: np.ndarray) -> np.ndarray:
+    """Of ids as in ``pairs_of``."""
+    return np.where(ids >= 0, classes[np.maximum(ids, 0)], -1 - ids).astype(np.int64)
+
+
 def _rare_contexts(batches: Iterator[pa.RecordBatch], model: Model) -> Iterator[pa.RecordBatch]:
     """(h, side, class of the neighbour, the neighbour if it is rare too or else 0) of words that don't travel."""
     tokens, places = Tokens(), HashIndex(model.hashes.view(np.uint64))
@@ -288,18 +337,23 @@ def rare_classes(train: DataFrame, counts: DataFrame, model: Model) -> DataFrame
     return out
 
 
-def class_bigrams(model: Model, bigrams: DataFrame) -> np.ndarray:
-    t = model.n_classes
+def class_bigrams(model: Model, contexts: DataFrame) -> np.ndarray:
+    t, classes = model.n_classes, model.classes
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(t * t)
         for b in batches:
-            v, w = (np.where(x >= 0, model.classes[np.maximum(x, 0)], -1 - x).astype(np.int64) for x in (b.column("v").to_numpy(), b.column("w").to_numpy()))
-            total += np.bincount(v * t + w, weights=b.column("n").to_numpy(), minlength=t * t)
+            for pairs in b.column("pairs"):
+                first, other, n = pairs_of(pairs.as_py())
+                own, beside = _class_of(np.where(first >= 0, first >> 1, first), classes), _class_of(other, classes)
+                after = (first >= 0) & (first & 1 == 1)  # these stand at the word they follow, too, if that is clustered
+                left, right = np.where((first >= 0) & ~after, beside, own), np.where((first >= 0) & ~after, own, beside)
+                once = ~after | (other < 0)
+                total += np.bincount(left[once] * t + right[once], weights=n[once], minlength=t * t)
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at].astype(np.int64))], names=["at", "n"])
 
-    got = bigrams.mapInArrow(run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()  # at most classes squared rows
+    got = contexts.select("pairs").mapInArrow(run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()  # at most classes squared rows
     out = np.zeros(t * t)
     out[got.column("at").to_numpy()] = got.column("n").to_numpy()
     return out.reshape(t, t)
@@ -311,20 +365,10 @@ def learn(train: DataFrame) -> tuple[DataFrame, Model, list[float]]:
     said: list[float] = []
     rare = counts.limit(0).select("h", "c", F.lit(None).cast("int").alias("class"))
     if model.total:
-        bigrams = cut(train.mapInArrow(lambda b: _bigrams(b, model), "v int, w int, n long").groupBy("v", "w").agg(F.sum("n").alias("n")), "lm-bigrams")
-        half = (mix64(model.hashes.view(np.uint64)) & np.uint64(1)).astype(bool)
-
-        def in_halves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                yield b.append_column("half", pa.array(half[b.column("word").to_numpy()]))
-
-        sides = bigrams.where("w >= 0").select(F.col("w").alias("word"), F.lit(0).alias("side"), F.col("v").alias("other"), "n").unionAll(
-            bigrams.where("v >= 0").select(F.col("v").alias("word"), F.lit(1).alias("side"), F.col("w").alias("other"), "n")
-        )
-        contexts = cut(sides.repartition("word").sortWithinPartitions("word").mapInArrow(in_halves, "word int, side int, other int, n long, half boolean"), "lm-contexts")
-        said = exchange(model, contexts, bigrams)
-        model.transitions = class_bigrams(model, bigrams)
-        done_with(contexts, bigrams)
+        contexts = contexts_of(train, model)
+        said = exchange(model, contexts)
+        model.transitions = class_bigrams(model, contexts)
+        done_with(contexts)
         rare = rare_classes(train, counts, model)
     model.prepare()
     return rare, model, said
