@@ -362,3 +362,18 @@ def test_rate_counts_the_events_given(spark, tmp_path):
 
     spark.createDataFrame([(i, None) for i in (1, 2, 4, 7, 9)], "event_id long, ts timestamp_ntz").write.parquet(str(tmp_path / "events.parquet"))
     assert {r.digit: r.n for r in events.rate(spark, str(tmp_path)).collect()} == {0: 1, 1: 3, 2: 1}
+
+
+def test_measured_counts_the_same_many_at_once(spark, monkeypatch):
+    """In portions that don't end with batches; keys with nulls, or of texts, go row by row."""
+    rows = [(i * 7919 % 503, None if i % 97 == 0 else i * 31 % 11, f"t{i % 13}") for i in range(3000)]
+    df = spark.createDataFrame(rows, "a long, b int, c string").coalesce(1)
+    for keys in (["a"], ["a", "b"], ["c", "a"]):
+        for method in ("generate", "full", "pmnk1", "pmnk2"):
+            if keys[0] == "c" and method.startswith("pmnk"):
+                continue
+            got = sort.measured(df, keys, 1, method, at_once=1100).first()
+            with monkeypatch.context() as m:
+                m.setattr(sort.Rows, "numbers", lambda self, batches: None)
+                want = sort.measured(df, keys, 1, method, at_once=1100).first()
+            assert got == want and got["n"] == 3000
