@@ -377,3 +377,18 @@ def test_measured_counts_the_same_many_at_once(spark, monkeypatch):
                 m.setattr(sort.Rows, "numbers", lambda self, batches: None)
                 want = sort.measured(df, keys, 1, method, at_once=1100).first()
             assert got == want and got["n"] == 3000
+
+
+def test_measured_external_sorts_count_the_same_many_at_once(spark, monkeypatch):
+    """Doubles and short texts are numbers too; keys with nulls, of longer texts or downwards go row by row."""
+    rows = [(i * 7919 % 503 - 200, None if i % 97 == 0 else i * 31 % 11, f"t{i % 13}", f"a text {i % 7}", (i * 37 % 19 - 9) / 4 or -0.0) for i in range(3000)]
+    df = spark.createDataFrame(rows, "a long, b int, c string, d string, e double").coalesce(1)
+    for keys, many in ((["c", "e", "a"], True), (["e"], True), (["a", "b"], False), (["d", "a"], False), (["-a"], False)):
+        assert sort.Rows(df, sort.key_spec(keys), []).numeric(df) == many
+        for method in ("tree", "traditional"):
+            got = sort.measured(df, keys, 1, method, memory=50, fan_in=4, at_once=700).first().asDict()
+            with monkeypatch.context() as m:
+                m.setattr(sort.Rows, "numeric", lambda self, df: False)
+                want = sort.measured(df, keys, 1, method, memory=50, fan_in=4).first().asDict()
+            sizes = [(x.pop("spilled_bytes"), x.pop("plain_bytes")) for x in (got, want)]
+            assert got == want and got["n"] == 3000 and got["runs"] == 60 and min(sizes) > (0, 0)
